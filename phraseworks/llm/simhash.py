@@ -139,9 +139,11 @@ def _cell_rows(prints: DataFrame, limit: int) -> DataFrame:
 def links(prints: DataFrame, limit: int) -> DataFrame:
     """Links (u, v) that span the same components as all pairs of distinct prints within ``limit`` bits."""
     rows = settle(_cell_rows(prints.select("print").distinct(), limit), "simhash-cells")
-    sizes = rows.groupBy("grp", "cell").agg(F.count("*").alias("n")).where("n > 1").select(F.col("grp").alias("g"), F.col("cell").alias("c"), F.ceil(F.col("n") / TILE).cast("int").alias("blocks"))
-    dealt = rows.join(sizes, (F.col("grp") == F.col("g")) & (F.col("cell") == F.col("c"))).withColumn("block", F.pmod(F.xxhash64("print"), F.col("blocks")).cast("int"))
-    tiled = dealt.select("grp", "cell", "print", "block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other")).select(
+    # cells of one tile, nearly all, go as they are: only crowded ones are looked up and dealt to pairs of blocks
+    crowds = rows.groupBy("grp", "cell").agg(F.count("*").alias("n")).where(F.col("n") > TILE).select(F.col("grp").alias("g"), F.col("cell").alias("c"), F.ceil(F.col("n") / TILE).cast("int").alias("blocks"))
+    dealt = rows.join(crowds, (F.col("grp") == F.col("g")) & (F.col("cell") == F.col("c")), "left").withColumn("block", F.coalesce(F.pmod(F.xxhash64("print"), F.col("blocks")), F.lit(0)).cast("int"))
+    pairs = F.when(F.col("blocks") > 1, F.sequence(F.lit(0), F.col("blocks") - 1)).otherwise(F.array(F.lit(0)))
+    tiled = dealt.select("grp", "cell", "print", "block", F.explode(pairs).alias("other")).select(
         "grp", "cell", F.least("block", "other").alias("low"), F.greatest("block", "other").alias("high"), "block", "print")
     keys = ["grp", "cell", "low", "high"]
 
