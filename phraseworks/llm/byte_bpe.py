@@ -53,6 +53,7 @@ class ByteBpe:
         self.known: dict[int, bool] = {}
         self.spines: dict[tuple[int, int], list[int]] = {}
         self.memo: dict[str, tuple] = {}
+        self.counted: dict[str, int] = {}
 
     def _merge(self, data: bytes, wall: int = -1) -> tuple[list[bytes], tuple[int, int] | None]:
         """Merge by lowest rank, leftmost first; the parts, and the ids that the last merge joined. A merge over the byte
@@ -159,6 +160,20 @@ class ByteBpe:
             got = self.memo[piece] = (len(ids), ",".join(map(str, ids)), self.decode(ids))
         return got
 
+    def counts(self, pieces: list[str]) -> list[int]:
+        """Count of ids of each pre-token."""
+        if len(self.counted) >= 2 * MEMO:
+            self.counted.clear()
+        if len(self.known) >= 4 * MEMO:
+            self.known.clear()
+        get, out = self.counted.get, []
+        for p in pieces:
+            n = get(p)
+            if n is None:
+                n = self.counted[p] = len(self.piece(p.encode()))
+            out.append(n)
+        return out
+
     def encode(self, text: str | None) -> list[int]:
         return [i for p in self.find(text or "") for i in self.piece(p.encode())]
 

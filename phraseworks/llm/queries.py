@@ -12,7 +12,7 @@ from .common import doc_hash, table
 RANKS = public_tokenizers.path("byte_bpe_multi_50k.tiktoken")
 VOCABULARY = public_tokenizers.path("byte_bpe_50k.json")
 #: Personal data that op8 masks: mail addresses, then runs of digits.
-MASKS = [(r"[\w.+-]+@[\w-]+(?:\.[\w-]+)+", "<email>"), (r"\d{3,}(?:[ .-]?\d{2,})+", "<number>")]
+MASKS = [(r"[\w.+-]+@[\w-]+(?:\.[\w-]+)+", "<email>", "@"), (r"\d{3,}(?:[ .-]?\d{2,})+", "<number>", "")]
 MIN_SITES = 10
 RULES = [url_filters.Rule("net", "/", "block"), url_filters.Rule("example.net", "/en/", "allow"), url_filters.Rule("example.com", "/de/", "block"), url_filters.Rule("org", "/fr/", "allow")]
 

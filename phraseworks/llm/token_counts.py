@@ -27,18 +27,25 @@ class PieceTree:
     def __init__(self, bpe: ByteBpe, text: str) -> None:
         self.bpe, self.text, self.reencoded = bpe, text, 0
         pieces = bpe.find(text)
-        counts = [bpe.remembered(p)[0] for p in pieces]
-        self._build([[x] for x in zip(map(len, pieces), counts, strict=True)], list(map(len, pieces)), counts)
+        self._build([*map(len, pieces)], bpe.counts(pieces))
 
-    def _build(self, leaves: list[list[tuple[int, int]]], chars: list[int], tokens: list[int]) -> None:
-        self.width = 1 << max(0, len(leaves) - 1).bit_length()
-        self.leaves = leaves + [[] for _ in range(self.width - len(leaves))]
+    def _build(self, chars: list[int], tokens: list[int]) -> None:
+        """A leaf for each pre-token; a leaf that edits have changed is in ``changed`` with its pre-tokens."""
+        self.width = 1 << max(0, len(chars) - 1).bit_length()
+        self.changed: dict[int, list[tuple[int, int]]] = {}
         levels = [np.zeros((self.width, 2), np.int64)]
         levels[0][: len(chars), 0], levels[0][: len(tokens), 1] = chars, tokens
         while len(levels[-1]) > 1:
             levels.append(levels[-1].reshape(-1, 2, 2).sum(1))
         self.sums = np.concatenate([np.zeros((1, 2), np.int64), *levels[::-1]])
 
+    def _pieces(self, leaf: int) -> list[tuple[int, int]]:
+        got = self.changed.get(leaf)
+        if got is None:
+            size, tokens = self.sums[self.width + leaf].tolist()
+            got = [(size, tokens)] if size else []
+        return got
+
     @property
     def total(self) -> int:
         return int(self.sums[1, 1])
@@ -55,7 +62,7 @@ class PieceTree:
         return node - self.width, start
 
     def _set(self, leaf: int, pieces: list[tuple[int, int]]) -> None:
-        self.leaves[leaf] = pieces
+        self.changed[leaf] = pieces
         node = leaf + self.width
         change = np.array([sum(p[0] for p in pieces), sum(p[1] for p in pieces)]) - self.sums[node]
         while node:
@@ -73,40 +80,41 @@ class PieceTree:
         at, kept = begin, []
         met = False
         while leaf < self.width and not met:
-            for k, (size, _) in enumerate(self.leaves[leaf]):
+            for k, (size, _) in enumerate(self._pieces(leaf)):
                 border += size
                 while at < border + shift or at < start + len(new):
                     m = next(scan, None)
                     if m is None:
                         break
                     at = m.end()
-                    fresh.append((at - m.start(), self.bpe.remembered(m[0])[0]))
+                    fresh.append((at - m.start(), self.bpe.counts([m[0]])[0]))
                 if border >= end and at == border + shift and at >= start + len(new):
-                    kept, met = self.leaves[leaf][k + 1 :], True
+                    kept, met = self._pieces(leaf)[k + 1 :], True
                     break
             leaf += 1
         if not met:
-            fresh += [(m.end() - m.start(), self.bpe.remembered(m[0])[0]) for m in scan]
+            fresh += [(m.end() - m.start(), self.bpe.counts([m[0]])[0]) for m in scan]
         self.reencoded += len(fresh)
         for other in range(first + 1, leaf):
-            if self.leaves[other]:
+            if self._pieces(other):
                 self._set(other, [])
         self._set(first, fresh + kept)
-        if len(self.leaves[first]) > 64:
-            flat = [p for x in self.leaves for p in x]
-            self._build([[p] for p in flat], [p[0] for p in flat], [p[1] for p in flat])
+        if len(self.changed[first]) > 64:
+            flat = [p for leaf in range(self.width) for p in self._pieces(leaf)]
+            self._build([p[0] for p in flat], [p[1] for p in flat])
 
 
-def masking(rules: list[tuple[str, str]]) -> Callable[[str], list[tuple[int, int, str]]]:
-    """Edits that put a replacement in place of every match of a pattern, first rule first, last match first."""
+def masking(rules: list[tuple[str, str, str]]) -> Callable[[str], list[tuple[int, int, str]]]:
+    """Edits that put a replacement in place of every match of a pattern, first rule first, last match first. A rule
+    is (pattern, replacement, a string that every match holds or ""): texts without that string need no search."""
     import re
 
-    made = [(re.compile(p), r) for p, r in rules]
+    made = [(re.compile(p), r, needle) for p, r, needle in rules]
 
     def edits(text: str) -> list[tuple[int, int, str]]:
         spans: list[tuple[int, int, str]] = []
-        for pattern, new in made:
-            for m in pattern.finditer(text):
+        for pattern, new, needle in made:
+            for m in pattern.finditer(text) if needle in text else ():
                 if m.end() > m.start() and all(m.end() <= a or m.start() >= b for a, b, _ in spans):
                     spans.append((m.start(), m.end(), new))
         return sorted(spans, reverse=True)
@@ -125,7 +133,7 @@ def _run(bpe: ByteBpe, text: str, edits) -> tuple[int, int, int, int, str]:
 COUNTS = "n_tokens long, n_edits long, n_tokens_after long, n_reencoded long"
 
 
-def count_masked(docs: DataFrame, path: str, pattern: str, rules: list[tuple[str, str]], id_col: str = "doc_id", text_col: str = "text", with_text: bool = False) -> DataFrame:
+def count_masked(docs: DataFrame, path: str, pattern: str, rules: list[tuple[str, str, str]], id_col: str = "doc_id", text_col: str = "text", with_text: bool = False) -> DataFrame:
     """Token counts before and after masking: id, n_tokens, n_edits, n_tokens_after, n_reencoded (pre-tokens encoded for the
     edits)[, text_after]."""
 
