@@ -19,12 +19,13 @@ def keep_known_languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
 
 def drop_boilerplate_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Boilerplate lines go from all documents but the first that has them; n_chars follows the text."""
-    kept = line_dedup.drop_boilerplate(docs, queries.MIN_SITES)
+    kept = line_dedup.drop_boilerplate(docs.select(*COLUMNS), queries.MIN_SITES)
     return kept.withColumn("n_chars", F.when(F.col("dropped_lines") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars"))).select(*COLUMNS)
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The document with the least id of each group stays (one row of it, should the id repeat); null ids stay as they are."""
+    docs = docs.select(*COLUMNS)
     groups = simhash.near_duplicates(docs, shingle=5, limit=8)
     first = groups.where(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias("first_id")).distinct()
     kept = docs.join(first, F.col("doc_id") == F.col("first_id"), "left_semi").dropDuplicates(["doc_id"])

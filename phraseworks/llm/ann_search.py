@@ -7,7 +7,7 @@ original vectors. A list longer than ``TILE_ROWS`` is cut into tiles, as are the
 task's work. The probes are as many as the sample needs to hold ``TARGET`` of its true neighbours.
 
 Edge cases: vectors that are null, zero, or hold null or non-finite components take no part, nor do vectors of another
-length than the most frequent one; a query is never its own candidate (by id); ties go to the smaller id; probes go on
+length than the most frequent one; rows repeating an id and a vector count once; a query is never its own candidate (by id); ties go to the smaller id; probes go on
 until they hold more than k rows, so small tables return all candidates; an empty table gives no rows.
 """
 
@@ -22,7 +22,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import settle
-from .vectors import best, matrix, usable
+from .vectors import best, matrix, once, usable
 
 SAMPLE, TARGET, MOST_LISTS = 20_000, 0.97, 1024
 TILE_ROWS, TILE_QUERIES = 4_096, 2_048
@@ -141,7 +141,10 @@ def nearest(rows: DataFrame, is_query: Column, k: int = 5, rerank: int = 128, id
             q_ids, q = queries.column("id").to_numpy(), matrix(queries.column("vec"))
             ids, x = candidates.column("id").to_numpy(), matrix(candidates.column("vec"))
             codes = np.frombuffer(b"".join(candidates.column("codes").to_pylist()), np.uint8).reshape(len(ids), -1)
-            by_id = np.argsort(ids, kind="stable")
+            keep = once(q_ids, q)
+            q_ids, q = q_ids[keep], q[keep]
+            keep = once(ids, x)
+            by_id = keep[np.argsort(ids[keep], kind="stable")]
             ids, x, codes = ids[by_id], x[by_id], codes[by_id]
             for i in range(len(q_ids)):
                 unit = q[i] / np.linalg.norm(q[i])

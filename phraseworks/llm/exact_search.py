@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .vectors import best, matrix, usable
+from .vectors import best, matrix, once, usable
 
 #: Largest tile: candidates and queries.
 TILE_ROWS, TILE_QUERIES = 16_384, 4_096
@@ -88,9 +88,8 @@ def top_products(rows: DataFrame, is_query: Column, k: int = 10, scale: int = 10
         sides = []
         for t in (queries, candidates):
             ids, vec = t.column("id").to_numpy(), matrix(t.column("vec"))
-            if len(ids) != len(np.unique(ids)):  # equal ids with equal vectors count once
-                _, keep = np.unique(np.column_stack([ids, vec]), axis=0, return_index=True)
-                ids, vec = ids[np.sort(keep)], vec[np.sort(keep)]
+            keep = once(ids, vec)
+            ids, vec = ids[keep], vec[keep]
             sides.append((ids, vec))
         (q_ids, q), (ids, x) = sides
         if not len(q_ids) or not len(ids):

@@ -50,9 +50,11 @@ def drop_boilerplate(docs: DataFrame, min_sites: int = 10, id_col: str = "doc_id
     lines = _lines(docs, id_col, text_col, site_col)
     drops = lines.join(found, "key").where(F.col("doc") > F.col("keeper")).groupBy(F.col("doc").alias("drop_of")).agg(F.collect_set("key").alias("drop_keys"))
     names = [c for c in docs.columns if c != "dropped_lines"]
-    text, bad = F.col(text_col), F.col("drop_keys")
+    # the rows travel as one struct, so that no column of theirs meets a name used here
+    rows = docs.select(F.struct(*names).alias("row"), F.col(id_col).alias("row_id")).join(drops, F.col("row_id") == F.col("drop_of"), "left")
+    text, bad = F.col("row").getField(text_col), F.col("drop_keys")
     split = F.split(text, "\n", -1)
     stays = F.filter(split, lambda x: ~((F.length(F.trim(x, F.lit(" \t\r"))) > 0) & F.array_contains(bad, _key(x))))
-    joined = docs.select(*names).join(drops, docs[id_col] == F.col("drop_of"), "left")
     hit = bad.isNotNull() & text.isNotNull()
-    return joined.select(*[F.when(hit, F.array_join(stays, "\n")).otherwise(text).alias(c) if c == text_col else docs[c] for c in names], F.when(hit, F.size(split) - F.size(stays)).otherwise(0).cast("long").alias("dropped_lines"))
+    done = rows.select("row", F.when(hit, F.array_join(stays, "\n")).otherwise(text).alias("kept"), F.when(hit, F.size(split) - F.size(stays)).otherwise(0).cast("long").alias("gone"))
+    return done.select(*[(F.col("kept") if c == text_col else F.col("row").getField(c)).alias(c) for c in names], F.col("gone").alias("dropped_lines"))

@@ -176,7 +176,7 @@ def _histogram(order: int, n: int, v: int):
         back = back.ravel()
         out = {x: pa.array(grid[:, i].astype(np.int32)) for i, x in enumerate(names)}
         out["n"] = pa.array(np.bincount(back, minlength=len(grid)).astype(np.int64))
-        return pa.table(out | {x: pa.array(np.bincount(back, weights=r[use], minlength=len(grid))) for x, r in zip(sums, e.ratios, strict=True)})
+        return pa.table(out | {x: pa.array(np.bincount(back, weights=r[use], minlength=len(grid)).astype(np.float64)) for x, r in zip(sums, e.ratios, strict=True)})
 
     return run, ", ".join([f"{x} int" for x in names] + ["n long"] + [f"r{k} double" for k in range(1, order)])
 

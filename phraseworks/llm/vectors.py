@@ -32,3 +32,11 @@ def best(ids: np.ndarray, scores: np.ndarray, k: int) -> np.ndarray:
     else:
         among = np.arange(len(scores))
     return among[np.lexsort((ids[among], -scores[among]))[:k]]
+
+
+def once(ids: np.ndarray, vec: np.ndarray) -> np.ndarray:
+    """Places of the rows, in order, without those that repeat an id and its vector."""
+    if len(ids) == len(np.unique(ids)):
+        return np.arange(len(ids))
+    seen: set[tuple] = set()
+    return np.array([i for i in range(len(ids)) if (k := (int(ids[i]), vec[i].tobytes())) not in seen and not seen.add(k)], np.int64)
