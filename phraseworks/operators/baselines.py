@@ -86,14 +86,20 @@ def _switch_sampler(n_topics: int, sweeps: int, doc_prior: float, beta: float, g
         glued: dict[tuple[int, int], dict[int, int]] = {}
         follow: dict[tuple[int, int], list[int]] = {}
         z = [rng.integers(0, n_topics, len(r["ids"])) for r in rows]
-        x = [np.zeros(len(r["ids"]), np.int64) for r in rows]
+        # half of the neighbours start glued: from none at all, a pair would wait long for its first count
+        x = [rng.integers(0, 2, len(r["ids"])) * np.array(r["inner"], np.int64) for r in rows]
         for d, r in enumerate(rows):
+            ids = r["ids"]
             np.add.at(nd[d], z[d], 1)
-            np.add.at(nkw, (z[d], r["ids"]), 1)
-            np.add.at(nk, z[d], 1)
-            for i in range(1, len(r["ids"])):
+            for i, w in enumerate(ids):
+                if x[d][i]:
+                    m = glued.setdefault((int(z[d][i]), ids[i - 1]), {})
+                    m[w] = m.get(w, 0) + 1
+                else:
+                    nkw[z[d][i], w] += 1
+                    nk[z[d][i]] += 1
                 if r["inner"][i]:
-                    follow.setdefault((r["ids"][i - 1], int(z[d][i - 1])), [0, 0])[0] += 1
+                    follow.setdefault((ids[i - 1], int(z[d][i - 1])), [0, 0])[int(x[d][i])] += 1
         for _ in range(sweeps):
             for d, r in enumerate(rows):
                 ids, inner = r["ids"], r["inner"]

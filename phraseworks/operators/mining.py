@@ -88,7 +88,7 @@ def frequent_phrases(chunks: DataFrame, min_support: float = 10, max_len: int |
         here = alive.select("uid", "at", F.lit(n).alias("n"), "pid").join(level.select("pid", "cnt"), "pid").select("uid", "at", "n", "cnt")
         spans = here if spans is None else spans.unionByName(here)
         out.counts = out.counts.unionByName(level.select(F.lit(n).alias("n"), "phrase", "cnt"))
-    out.spans = spans
+    out.spans = spans if spans is not None else words.select("uid", "at", F.lit(2).alias("n"), F.lit(0).cast("long").alias("cnt")).where("false")
     return out
 
 
