@@ -26,26 +26,22 @@ def chunk(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep:
     but keep their number. split=False takes the whole text, boundaries read as blanks, as one chunk. Null text has no chunk."""
     text = F.lower(F.col(text_col))
     parts = F.split(text, boundary, -1) if split else F.array(F.regexp_replace(text, boundary, " "))
-    rows = docs.select(F.col(id_col).alias("doc_id"), *keep, F.posexplode(parts).alias("chunk_no", "part"))
-    return rows.select("doc_id", *keep, "chunk_no", tokens_of(F.col("part")).alias("toks")).where(F.size("toks") > 0)
-
-
-def stop_array(lang: Column, lists: dict[str, list[str]] = STOP_WORDS) -> Column:
-    """The stop words of a row's language; none for other languages."""
-    out = F.array().cast("array<string>")
-    for code, words in lists.items():
-        out = F.when(lang == code, F.array(*map(F.lit, words))).otherwise(out)
-    return out
+    # tokens come out of the generator, so that lambdas further up read a column and don't split the text again for each element
+    rows = docs.select(F.col(id_col).alias("doc_id"), *keep, F.posexplode(F.transform(parts, tokens_of)).alias("chunk_no", "toks"))
+    return rows.where(F.size("toks") > 0)
 
 
 def drop_stopwords(chunks: DataFrame, lang_col: str = "lang", lists: dict[str, list[str]] = STOP_WORDS) -> DataFrame:
     """chunks without stop words of their language; at(array<int>) keeps each token's place in the chunk before."""
-    kept = F.lit(None).cast("array<int>")
-    outside = lambda words: lambda i: ~F.get("toks", i).isin(*words)
+    outside = lambda words: lambda t: ~t["word"].isin(*words)
+    tagged = F.transform("toks", lambda w, i: F.struct(w.alias("word"), i.cast("int").alias("i")))
+    kept = tagged
     for code, words in lists.items():  # a literal list a branch, so no lookup table is built for each row
-        kept = F.when(F.col(lang_col) == code, F.filter(F.sequence(F.lit(0), F.size("toks") - 1), outside(words))).otherwise(kept)
-    placed = chunks.withColumn("at", F.coalesce(kept, F.sequence(F.lit(0), F.size("toks") - 1)))
-    return placed.withColumn("toks", F.transform("at", lambda i: F.get("toks", i))).where(F.size("toks") > 0)
+        kept = F.when(F.col(lang_col) == code, F.filter(tagged, outside(words))).otherwise(kept)
+    # a generator again, so that the filter runs once
+    others = [c for c in chunks.columns if c != "toks"]
+    rows = chunks.select(*others, F.explode(F.array(kept)).alias("kept")).where(F.size("kept") > 0)
+    return rows.select(*others, F.transform("kept", lambda t: t["word"]).alias("toks"), F.transform("kept", lambda t: t["i"]).alias("at"))
 
 
 def unique_chunks(chunks: DataFrame) -> DataFrame:

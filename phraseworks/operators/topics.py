@@ -1,8 +1,9 @@
 """Topic model over cliques: all words of a phrase instance share one topic. Plain LDA is the case of one-word cliques.
 
 ``snapshot`` sweeps in DataFrame operations from the counts of the sweep before, with uniform numbers from md5, so other
-engines can repeat it. ``exact`` and ``partitioned`` sample in numpy: the documents of a task go one after another through local
-counts, and the tasks' differences are added up at the end of each sweep (one task: no approximation).
+engines can repeat it. ``exact`` and ``partitioned`` sample in numpy: the documents of a task go through local counts,
+one after another (exact: one task, no approximation) or many side by side (partitioned), and the counts are taken anew from all
+tasks' topics at the end of each sweep.
 """
 
 from __future__ import annotations
@@ -216,18 +217,82 @@ def sweep_rows(docs: list[list[np.ndarray]], topics: list[np.ndarray], n_word: n
 STATE = "doc_id long, gs array<int>, words array<array<int>>, z array<int>"
 
 
-def _sweep(n_word: np.ndarray, n_topic: np.ndarray, doc_prior: np.ndarray, word_prior: float, seed: int, sweep: int, inner: int, repeat_offset: bool):
+def sweep_lanes(sizes: np.ndarray, lengths: np.ndarray, tokens: np.ndarray, z: np.ndarray, n_word: np.ndarray, n_topic: np.ndarray, doc_prior: np.ndarray, word_prior: float, rng: np.random.Generator, repeat_offset: bool = True, lanes: int = 128) -> None:
+    """One sweep over documents given flat: cliques a document, words a clique, word ids, topics (changed in place, as the counts).
+
+    ``lanes`` documents of like size go side by side: their first cliques are drawn together, then their second ones, and so on. A
+    draw sees the shared counts without the cliques drawn beside it; each document's own counts are always up to date."""
+    k_all, v_prior = len(n_topic), len(n_word) * word_prior
+    first = np.concatenate([[0], np.cumsum(sizes)])[:-1]
+    at = np.concatenate([[0], np.cumsum(lengths)])[:-1]
+    order = np.argsort(-sizes, kind="stable")
+    for block in range(0, len(order), lanes):
+        docs = order[block : block + lanes]
+        n_doc = np.zeros((len(docs), k_all))
+        for i, d in enumerate(docs):
+            mine = slice(first[d], first[d] + sizes[d])
+            n_doc[i] = np.bincount(z[mine], weights=lengths[mine], minlength=k_all)
+        left = sizes[docs]
+        for g in range(int(left[0]) if len(left) else 0):
+            live = int(np.searchsorted(-left, -g, side="left"))  # sizes fall, so the live lanes come first
+            c = first[docs[:live]] + g
+            old, w, begin = z[c], lengths[c], at[c]
+            rows = np.arange(live)
+            n_doc[rows, old] -= w
+            n_topic -= np.bincount(old, weights=w, minlength=k_all)
+            most, held = int(w.max()), []
+            for j in range(most):
+                on = rows if j == 0 else np.flatnonzero(w > j)
+                x = tokens[begin[on] + j]
+                np.subtract.at(n_word, (x, old[on]), 1)
+                held.append((on, x))
+            p = np.ones((live, k_all))
+            for j, (on, x) in enumerate(held):
+                words = n_word[x] + word_prior
+                if repeat_offset and j:
+                    words += sum((tokens[begin[on] + i] == x) for i in range(j))[:, None]
+                part = (doc_prior + j + n_doc[on]) * words / (v_prior + n_topic + j)
+                p = part if j == 0 else p
+                if j:
+                    p[on] *= part
+            sums = np.cumsum(p, axis=1)
+            new = np.minimum((sums <= (rng.random(live) * sums[:, -1])[:, None]).sum(1), k_all - 1)
+            z[c] = new
+            n_doc[rows, new] += w
+            n_topic += np.bincount(new, weights=w, minlength=k_all)
+            for on, x in held:
+                np.add.at(n_word, (x, new[on]), 1)
+
+
+def _flat(batch: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    import pyarrow.compute as pc
+
+    inner = batch.column(2).flatten()
+    return (pc.list_value_length(batch.column(2)).to_numpy(zero_copy_only=False).astype(np.int64), pc.list_value_length(inner).to_numpy(zero_copy_only=False).astype(np.int64), inner.flatten().to_numpy(zero_copy_only=False).astype(np.int64), batch.column(3).flatten().to_numpy(zero_copy_only=False).astype(np.int64))
+
+
+def _sweep(n_word: np.ndarray, n_topic: np.ndarray, doc_prior: np.ndarray, word_prior: float, seed: int, sweep: int, inner: int, repeat_offset: bool, exact: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         local_word, local_topic = n_word.astype(np.float64), n_topic.astype(np.float64)
         for batch in batches:
-            rows = batch.to_pylist()
-            docs = [[np.array(c, np.int64) for c in r["words"]] for r in rows]
-            z = [np.array(r["z"], np.int64) for r in rows]
-            key = int.from_bytes(repr(sorted(r["doc_id"] for r in rows)[:3]).encode()[:8], "little")
-            rng = np.random.default_rng([seed, sweep, key])  # the same partition recomputed draws the same topics
+            if not batch.num_rows:
+                continue
+            sizes, lengths, tokens, z = _flat(batch)
+            z = z.copy()
+            # the same partition recomputed draws the same topics
+            rng = np.random.default_rng([seed, sweep, int(batch.column(0)[0].as_py()) & 0x7FFFFFFF])
             for _ in range(inner):
-                sweep_rows(docs, z, local_word, local_topic, doc_prior, word_prior, rng, repeat_offset)
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), batch.column(2), pa.array([x.tolist() for x in z], pa.list_(pa.int32()))], ["doc_id", "gs", "words", "z"])
+                if exact:
+                    cuts = np.cumsum(sizes)[:-1]
+                    docs = np.split(np.arange(len(lengths)), cuts)
+                    parts = np.split(tokens, np.cumsum(lengths)[:-1]) if len(lengths) else []
+                    topics_of = [z[d] for d in docs]
+                    sweep_rows([[parts[i] for i in d] for d in docs], topics_of, local_word, local_topic, doc_prior, word_prior, rng, repeat_offset)
+                    z = np.concatenate(topics_of) if topics_of else z
+                else:
+                    sweep_lanes(sizes, lengths, tokens, z, local_word, local_topic, doc_prior, word_prior, rng, repeat_offset)
+            offsets = pa.array(np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32))
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), batch.column(2), pa.ListArray.from_arrays(offsets, pa.array(z.astype(np.int32)))], ["doc_id", "gs", "words", "z"])
 
     return run
 
@@ -278,7 +343,7 @@ def fit(cliques: DataFrame, n_topics: int | str = 5, sweeps: int = 20, doc_prior
             spread = now.select("doc_id", F.explode(F.arrays_zip("gs", "words", "z")).alias("c")).select("doc_id", F.col("c.words").alias("words"), F.col("c.z").alias("z"))
             for r in prior_step(spread, k, prior.tolist()).collect():  # n_topics numbers
                 prior[r["k"]] = max(r["prior"], 1e-6)
-        run = _sweep(n_word, n_topic, prior, word_prior, seed, s, inner_sweeps, repeat_offset)
+        run = _sweep(n_word, n_topic, prior, word_prior, seed, s, inner_sweeps, repeat_offset, mode == "exact")
         source = now.coalesce(1).sortWithinPartitions("doc_id") if mode == "exact" else now
         now = settle(source.mapInArrow(run, STATE), f"sweep-{s + 1}")
     flat = now.select("doc_id", F.posexplode(F.arrays_zip("gs", "words", "z")).alias("i", "c")).select("doc_id", F.col("c.gs").alias("g"), F.col("c.z").alias("z"), F.posexplode("c.words").alias("j", "word_id"))
