@@ -26,7 +26,7 @@ def drop_boilerplate_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) ->
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The document with the least id of each group stays (one row of it, should the id repeat); null ids stay as they are."""
     docs = docs.select(*COLUMNS)
-    groups = simhash.near_duplicates(docs, shingle=5, limit=8)
+    groups = simhash.near_duplicates(docs, shingle=5, limit=11, similar=0.8)
     first = groups.where(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias("first_id")).distinct()
     kept = docs.join(first, F.col("doc_id") == F.col("first_id"), "left_semi").dropDuplicates(["doc_id"])
     return kept.unionByName(docs.where(F.col("doc_id").isNull())).select(*COLUMNS)

@@ -8,6 +8,10 @@ cell the Manhattan bound over all segments comes first, then the exact Hamming d
 spanning forest of its links, so a dense group costs as many rows as it has members. Cells over ``TILE`` points are cut
 into blocks, and each pair of blocks is a task of its own.
 
+SimHash distances of texts as alike as 0.8 spread up to some 14 of 64 bits, where unrelated texts begin to meet. So
+``similar`` asks more of a link: a signature of 16 minimum hashes of the shingles travels with the point, and at least
+that share of its places must agree (less the signature's own spread).
+
 Edge cases: null and empty texts have fingerprint zero and link like any other; texts of fewer words than a shingle are
 one shingle; very long texts are hashed whole; rows with equal fingerprints always share a component; an empty table
 gives no rows; repeated ids are fine, null ids never name a component unless a component has no other.
@@ -29,37 +33,52 @@ from .components import components
 #: Points of a cell that one task compares with each other.
 TILE = 2048
 SEED = 42
+#: Bytes of a signature, and the odd factors of its hashes.
+PLACES = 16
+_ODD = np.array([int.from_bytes(xxhash.xxh64_digest(bytes([i])), "big") | 1 for i in range(PLACES)], np.uint64)
 _PAIRS = np.uint64(0x5555555555555555)
 
 
-def fingerprint(text: str | None, shingle: int) -> int:
+def hashes(text: str | None, shingle: int) -> list[int]:
     words = (text or "").encode().lower().split()  # bytes: only A-Z change, and words end at blanks and 0x09-0x0D
+    of, join = xxhash.xxh64_intdigest, b" ".join
     if not words:
-        return 0
-    of = xxhash.xxh64_intdigest
-    join = b" ".join
+        return []
     if len(words) <= shingle:
-        hashes = [of(join(words), SEED)]
-    else:
-        hashes = [of(join(w), SEED) for w in zip(*(words[i:] for i in range(shingle)), strict=False)]
+        return [of(join(words), SEED)]
+    return [of(join(w), SEED) for w in zip(*(words[i:] for i in range(shingle)), strict=False)]
+
+
+def fingerprint(found: list[int]) -> int:
+    """Bits that are set in over half of the hashes; 0 without any."""
     sums, step = np.zeros(64, np.int64), 1 << 16
-    for i in range(0, len(hashes), step):
-        bits = np.unpackbits(np.array(hashes[i : i + step], dtype=">u8").view(np.uint8).reshape(-1, 8), axis=1)
+    for i in range(0, len(found), step):
+        bits = np.unpackbits(np.array(found[i : i + step], dtype=">u8").view(np.uint8).reshape(-1, 8), axis=1)
         sums += bits.sum(axis=0, dtype=np.int64)
-    return int.from_bytes(np.packbits(2 * sums > len(hashes)).tobytes(), "big")
+    return int.from_bytes(np.packbits(2 * sums > len(found)).tobytes(), "big")
 
 
-def fingerprints(docs: DataFrame, shingle: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """id, print (the 64 bits as a signed long)."""
+def signature(found: list[int]) -> bytes:
+    """A byte of each of PLACES minimum hashes."""
+    if not found:
+        return bytes(PLACES)
+    h = np.array(found, np.uint64)
+    lows = np.array([((h ^ (h >> np.uint64(31))) * a).min() for a in _ODD], np.uint64)
+    return ((lows * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(56)).astype(np.uint8).tobytes()
+
+
+def fingerprints(docs: DataFrame, shingle: int, id_col: str = "doc_id", text_col: str = "text", signed: bool = False) -> DataFrame:
+    """id, print (the 64 bits as a signed long)[, sign binary]."""
 
     def make():
         def work(keys, texts):
-            prints = np.array([fingerprint(t, shingle) for t in texts], dtype=np.uint64).view(np.int64)
-            return {id_col: keys, "print": prints}
+            found = [hashes(t, shingle) for t in texts]
+            prints = np.array([fingerprint(h) for h in found], dtype=np.uint64).view(np.int64)
+            return {id_col: keys, "print": prints} | ({"sign": [signature(h) for h in found]} if signed else {})
 
         return work
 
-    return map_rows(docs.select(F.col(id_col).cast("long").alias(id_col), F.col(text_col).cast("string").alias(text_col)), make, f"{id_col} long, print long")
+    return map_rows(docs.select(F.col(id_col).cast("long").alias(id_col), F.col(text_col).cast("string").alias(text_col)), make, f"{id_col} long, print long" + ", sign binary" * signed)
 
 
 def counts_of(prints: np.ndarray) -> np.ndarray:
@@ -101,9 +120,9 @@ def bound(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return np.bitwise_count(x & _PAIRS).astype(np.int16) + 2 * np.bitwise_count(x & high).astype(np.int16)
 
 
-def forest(left: np.ndarray, right: np.ndarray | None, limit: int) -> list[tuple[int, int]]:
-    """Spanning forest of the links within ``limit`` among one block or between two."""
-    both = left if right is None else np.concatenate([left, right])
+def forest(both: np.ndarray, cut: int | None, limit: int, signs: np.ndarray | None = None, agree: int = 0) -> list[tuple[int, int]]:
+    """Spanning forest of the links within ``limit`` among the prints, or between those before and behind ``cut``, as places. With
+    signs (a row of bytes each) at least ``agree`` places must be equal too."""
     points, parent = counts_of(both), list(range(len(both)))
 
     def root(i: int) -> int:
@@ -113,38 +132,50 @@ def forest(left: np.ndarray, right: np.ndarray | None, limit: int) -> list[tuple
         return i
 
     out = []
-    for i in range(len(left)):
-        start = i + 1 if right is None else len(left)
+    for i in range(len(both) if cut is None else cut):
+        start = i + 1 if cut is None else cut
         maybe = start + np.flatnonzero(bound(points[start:], points[i]) <= limit)
-        for j in maybe[np.bitwise_count(both[maybe] ^ both[i]) <= limit].tolist() if len(maybe) else ():
+        maybe = maybe[np.bitwise_count(both[maybe] ^ both[i]) <= limit]
+        if signs is not None and len(maybe):
+            maybe = maybe[(signs[maybe] == signs[i]).sum(1) >= agree]
+        for j in maybe.tolist():
             a, b = root(i), root(j)
             if a != b:
                 parent[b] = a
                 out.append((i, j))
-    return [(int(both[i]), int(both[j])) for i, j in out]
+    return out
 
 
 def _cell_rows(prints: DataFrame, limit: int) -> DataFrame:
+    """grp, cell for each cell a print goes to, with all columns of prints."""
+    at = prints.columns.index("print")
+    names = prints.columns
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for start in range(0, batch.num_rows, 4096):
-                p = batch.column(0).slice(start, 4096).to_numpy(zero_copy_only=False).astype(np.int64).view(np.uint64)
-                index, group, cell = cells_of(p, limit)
+                part = batch.slice(start, 4096)
+                index, group, cell = cells_of(part.column(at).to_numpy(zero_copy_only=False).astype(np.int64).view(np.uint64), limit)
                 # the group's own bits never reach above its mask, so number and cell make one exact key with the group
-                yield pa.RecordBatch.from_pydict({"grp": group, "cell": cell.view(np.int64), "print": p[index].view(np.int64)})
+                yield pa.RecordBatch.from_arrays([pa.array(group), pa.array(cell.view(np.int64)), *(c.take(pa.array(index)) for c in part.columns)], ["grp", "cell", *names])
 
-    return prints.mapInArrow(run, "grp int, cell long, print long")
+    return prints.mapInArrow(run, "grp int, cell long, " + ", ".join(f"{n} {t}" for n, t in prints.dtypes).replace("bigint", "long"))
 
 
-def links(prints: DataFrame, limit: int) -> DataFrame:
-    """Links (u, v) that span the same components as all pairs of distinct prints within ``limit`` bits."""
-    rows = settle(_cell_rows(prints.select("print").distinct(), limit), "simhash-cells")
+def links(prints: DataFrame, limit: int, similar: float | None = None) -> DataFrame:
+    """Links (u, v) that span the same components as all pairs of distinct prints within ``limit`` bits. With ``similar``, prints has
+    also node (long) and sign, links are between nodes and need that share of equal places in the signatures."""
+    signed = similar is not None
+    extra = ["node", "sign"] if signed else []
+    # one standard deviation and a half under the share, as a signature only estimates it
+    agree = int(np.ceil(PLACES * similar - 1.5 * np.sqrt(PLACES * similar * (1 - similar)))) if signed else 0
+    rows = settle(_cell_rows(prints.select("print", *extra) if signed else prints.select("print").distinct(), limit), "simhash-cells")
     # cells of one tile, nearly all, go as they are: only crowded ones are looked up and dealt to pairs of blocks
     crowds = rows.groupBy("grp", "cell").agg(F.count("*").alias("n")).where(F.col("n") > TILE).select(F.col("grp").alias("g"), F.col("cell").alias("c"), F.ceil(F.col("n") / TILE).cast("int").alias("blocks"))
     dealt = rows.join(crowds, (F.col("grp") == F.col("g")) & (F.col("cell") == F.col("c")), "left").withColumn("block", F.coalesce(F.pmod(F.xxhash64("print"), F.col("blocks")), F.lit(0)).cast("int"))
     pairs = F.when(F.col("blocks") > 1, F.sequence(F.lit(0), F.col("blocks") - 1)).otherwise(F.array(F.lit(0)))
-    tiled = dealt.select("grp", "cell", "print", "block", F.explode(pairs).alias("other")).select(
-        "grp", "cell", F.least("block", "other").alias("low"), F.greatest("block", "other").alias("high"), "block", "print")
+    tiled = dealt.select("grp", "cell", "print", *extra, "block", F.explode(pairs).alias("other")).select(
+        "grp", "cell", F.least("block", "other").alias("low"), F.greatest("block", "other").alias("high"), "block", "print", *extra)
     keys = ["grp", "cell", "low", "high"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -153,17 +184,21 @@ def links(prints: DataFrame, limit: int) -> DataFrame:
 
         def work(table: pa.Table) -> pa.RecordBatch:
             cols = [table.column(i).to_numpy() for i in range(6)]
-            edges: list[tuple[int, int]] = []
+            prints, names = cols[5].view(np.uint64), table.column(6).to_numpy() if signed else cols[5]
+            signs = np.frombuffer(b"".join(table.column(7).to_pylist()), np.uint8).reshape(-1, PLACES) if signed else None
+            edges: list[np.ndarray] = []
             cuts = np.flatnonzero(np.any([c[1:] != c[:-1] for c in cols[:4]], axis=0)) + 1
             for a, b in zip([0, *cuts.tolist()], [*cuts.tolist(), len(cols[0])], strict=True):
                 if b - a < 2:
                     continue
-                p, block = cols[5][a:b].view(np.uint64), cols[4][a:b]
-                if cols[2][a] == cols[3][a]:
-                    edges += forest(p, None, limit)
-                else:
-                    edges += forest(p[block == cols[2][a]], p[block == cols[3][a]], limit)
-            e = np.array(edges, dtype=np.uint64).reshape(-1, 2).view(np.int64)
+                place, cut = np.arange(a, b), None
+                if cols[2][a] != cols[3][a]:
+                    low = cols[4][a:b] == cols[2][a]
+                    place, cut = np.concatenate([place[low], place[~low]]), int(low.sum())
+                found = forest(prints[place], cut, limit, signs[place] if signed else None, agree)
+                if found:
+                    edges.append(names[place[np.array(found)]])
+            e = np.concatenate(edges) if edges else np.zeros((0, 2), np.int64)
             return pa.RecordBatch.from_pydict({"u": e[:, 0], "v": e[:, 1]})
 
         for batch in batches:
@@ -190,12 +225,19 @@ def links(prints: DataFrame, limit: int) -> DataFrame:
     return tiled.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(run, "u long, v long").distinct()
 
 
-def near_duplicates(docs: DataFrame, shingle: int = 5, limit: int = 8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """A row a document: id, fingerprint (16 lowercase hex digits), component_id (least id of the component)."""
-    rows = settle(fingerprints(docs, shingle, id_col, text_col), "fingerprints")
-    least = rows.groupBy("print").agg(F.min(id_col).alias("low"))
-    nodes = components(links(rows, limit), "simhash-components")
-    named = least.join(nodes, F.col("print") == F.col("node"), "left").select("print", "low", F.coalesce("component", "print").alias("root"))
+def near_duplicates(docs: DataFrame, shingle: int = 5, limit: int = 11, similar: float | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """A row a document: id, fingerprint (16 lowercase hex digits), component_id (least id of the component). Documents link when
+    their prints differ in at most ``limit`` bits and, with ``similar``, their signatures agree in about that share."""
+    keys = ["print"] if similar is None else ["print", "sign"]
+    rows = settle(fingerprints(docs, shingle, id_col, text_col, similar is not None), "fingerprints")
+    least = rows.groupBy(*keys).agg(F.min(id_col).alias("low"))
+    if similar is None:
+        nodes = components(links(rows, limit), "simhash-components")
+        named = least.join(nodes, F.col("print") == F.col("node"), "left").select(*keys, "low", F.coalesce("component", "print").alias("root"))
+    else:  # a text's node is the least id that has it; texts of null ids alone have none and stay by themselves
+        nodes = components(links(least.where("low IS NOT NULL").withColumnRenamed("low", "node"), limit, similar), "simhash-components")
+        named = least.join(nodes, F.col("low") == F.col("node"), "left").select(*keys, "low", F.coalesce("component", "low").alias("root"))
     lows = named.groupBy("root").agg(F.min("low").alias("component_id"))
-    ids = named.select("print", "root").join(lows, "root").select(F.col("print").alias("p"), "component_id")
-    return rows.join(ids, F.col("print") == F.col("p")).select(id_col, F.lower(F.lpad(F.hex("print"), 16, "0")).alias("fingerprint"), "component_id")
+    ids = named.select(*[F.col(k).alias(f"{k}_k") for k in keys], "root").join(lows, "root").drop("root")
+    same = [F.col(k) == F.col(f"{k}_k") for k in keys]
+    return rows.join(ids, same, "left").select(id_col, F.lower(F.lpad(F.hex("print"), 16, "0")).alias("fingerprint"), "component_id")

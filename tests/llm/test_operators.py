@@ -124,6 +124,29 @@ def test_simhash(docs, given, none, shingle, limit):
     assert simhash.near_duplicates(none).count() == 0
 
 
+def test_simhash_with_signatures(docs, given, none):
+    """Against all pairs: the same components as links by distance and signature; texts that share little stay apart."""
+    need = math.ceil(16 * 0.8 - 1.5 * math.sqrt(16 * 0.8 * 0.2))
+    for df in (docs, given):
+        rows = [(r["doc_id"], simhash.hashes(r["text"], 5)) for r in df.select("doc_id", "text").collect() if r["doc_id"] is not None]
+        found = [(i, simhash.fingerprint(h), simhash.signature(h), set(h)) for i, h in rows]
+        parent = {i: i for i, *_ in found}
+
+        def root(i, parent=parent):
+            while parent[i] != i:
+                i = parent[i]
+            return i
+
+        for k, (i, p, s, words) in enumerate(found):
+            for j, q, t, others in found[k + 1 :]:
+                if (p ^ q).bit_count() <= 11 and sum(a == b for a, b in zip(s, t, strict=True)) >= need:
+                    assert not words or len(words & others) / len(words | others) > 0.3
+                    parent[max(root(i), root(j))] = min(root(i), root(j))
+        got = {r["doc_id"]: r["component_id"] for r in simhash.near_duplicates(df, 5, 11, 0.8).collect() if r["doc_id"] is not None}
+        assert got == {i: root(i) for i in parent}
+    assert simhash.near_duplicates(none, similar=0.8).count() == 0
+
+
 def test_simhash_crowded_cells(spark, monkeypatch):
     """Cells over the tile size are cut up and lose no link; the Manhattan bound never exceeds the Hamming distance."""
     rng = random.Random(4)

@@ -29,7 +29,7 @@ def test_stages(spark, sf):
     bad = {k for k, s in sites.items() if len(s) >= 10}
     want = {r["doc_id"]: "\n".join(x for x in r["text"].split("\n") if not (x.strip(" \t\r") in bad and r["doc_id"] > first[x.strip(" \t\r")])) for r in one.collect()}
     assert {r["doc_id"]: r["text"] for r in two.collect()} == want
-    groups = simhash.near_duplicates(two, 5, 8).groupBy("component_id").count()
+    groups = simhash.near_duplicates(two, 5, 11, 0.8).groupBy("component_id").count()
     assert three.count() == groups.count() and {r["doc_id"] for r in three.collect()} == {r["component_id"] for r in groups.collect()}
     rows = four.collect()
     check_packing(rows, 1024)
