@@ -124,6 +124,7 @@ def forest(both: np.ndarray, cut: int | None, limit: int, signs: np.ndarray | No
     """Spanning forest of the links within ``limit`` among the prints, or between those before and behind ``cut``, as places. With
     signs (a row of bytes each) at least ``agree`` places must be equal too."""
     points, parent = counts_of(both), list(range(len(both)))
+    label = np.arange(len(both))
 
     def root(i: int) -> int:
         while parent[i] != i:
@@ -131,18 +132,31 @@ def forest(both: np.ndarray, cut: int | None, limit: int, signs: np.ndarray | No
             i = parent[i]
         return i
 
-    out = []
-    for i in range(len(both) if cut is None else cut):
-        start = i + 1 if cut is None else cut
-        maybe = start + np.flatnonzero(bound(points[start:], points[i]) <= limit)
-        maybe = maybe[np.bitwise_count(both[maybe] ^ both[i]) <= limit]
-        if signs is not None and len(maybe):
-            maybe = maybe[(signs[maybe] == signs[i]).sum(1) >= agree]
-        for j in maybe.tolist():
-            a, b = root(i), root(j)
+    out, rows = [], len(both) if cut is None else cut
+    for first in range(0, rows, 32):
+        block = np.arange(first, min(first + 32, rows))
+        start = first + 1 if cut is None else cut
+        i, j = np.nonzero(bound(points[None, start:], points[block, None]) <= limit)
+        i, j = block[i], j + start
+        keep = label[i] != label[j]
+        if cut is None:
+            keep &= j > i
+        i, j = i[keep], j[keep]
+        keep = np.bitwise_count(both[i] ^ both[j]) <= limit
+        i, j = i[keep], j[keep]
+        if signs is not None and len(i):
+            keep = (signs[i] == signs[j]).sum(1) >= agree
+            i, j = i[keep], j[keep]
+        before = len(out)
+        for x, y in zip(i.tolist(), j.tolist(), strict=True):
+            a, b = root(x), root(y)
             if a != b:
                 parent[b] = a
-                out.append((i, j))
+                out.append((x, y))
+        if len(out) > before:
+            label = np.array(parent)
+            while not np.array_equal(label, up := label[label]):
+                label = up
     return out
 
 
