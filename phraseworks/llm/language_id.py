@@ -137,7 +137,7 @@ def fit(docs: DataFrame, learn_from: Column, per_language: int = PER_LANGUAGE, t
         return work
 
     table = map_rows(rows.where(F.rand(7) < share), make, "lang string, buckets binary, counts binary").toArrow()
-    return train(sorted(((np.frombuffer(b, "<u2").astype(np.int64), np.frombuffer(c, "<u4").astype(float), lang) for lang, b, c in zip(*(table.column(x).to_pylist() for x in ("lang", "buckets", "counts")), strict=True)), key=lambda s: (s[2], len(s[0]), s[0].tobytes())))
+    return train(sorted(((np.frombuffer(b, "<u2"), np.frombuffer(c, "<u4"), lang) for lang, b, c in zip(*(table.column(x).to_pylist() for x in ("lang", "buckets", "counts")), strict=True)), key=lambda s: (s[2], len(s[0]), s[0].tobytes())))
 
 
 def predict(docs: DataFrame, model: Model, keep: list[str], text_col: str = "text") -> DataFrame:

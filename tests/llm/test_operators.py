@@ -182,7 +182,9 @@ def test_components_of_long_chains(spark):
     assert components.components(edges.limit(0)).count() == 0
 
 
-def test_line_dedup(spark, docs, none):
+@pytest.mark.parametrize("few", [0, 1000])
+def test_line_dedup(spark, docs, none, few, monkeypatch):
+    monkeypatch.setattr(line_dedup, "FEW", few)
     kept = line_dedup.drop_boilerplate(docs, min_sites=3)
     assert kept.columns[: len(docs.columns) - 1] == [c for c in docs.columns if c != "dropped_lines"]
     got = {(r["doc_id"], r["text"], r["dropped_lines"]) for r in kept.collect()}
