@@ -38,6 +38,30 @@ def perplexity(state: DataFrame, scored: DataFrame, n_topics: int, doc_prior: fl
     return out.select("tokens", (-F.col("x") / F.col("tokens") / F.log(F.lit(2.0))).alias("bits"), F.exp(-F.col("x") / F.col("tokens")).alias("perplexity"))
 
 
+def held_phrase(doc_id: Column, g: Column) -> Column:
+    """One phrase instance in sixteen, by the md5 of its place."""
+    return F.substring(F.md5(F.concat_ws("|", doc_id.cast("string"), g.cast("string"))), 1, 1) == "0"
+
+
+def completion(state: DataFrame, n_topics: int, doc_prior: float = 0.5, word_prior: float = 0.01, sweeps: int = 6) -> DataFrame:
+    """tokens, bits, perplexity of held-out documents: word distributions come from the other documents, each held-out document's
+    topic shares from its cliques of even number, and its cliques of odd number are scored. Words unseen in training share the
+    smoothing of one place."""
+    out = held_out(F.col("doc_id"))
+    train, test = state.where(~out), state.where(out)
+    phis = topics.phi(train, n_topics, word_prior)
+    thetas = topics.infer(test.where("g % 2 = 0"), phis, n_topics, sweeps, doc_prior)
+    totals = {r["k"]: r["cnt"] for r in topics.counts(train)[2].collect()}  # n_topics numbers
+    tokens = test.where("g % 2 = 1").select("doc_id", F.explode("words").alias("word")).groupBy("doc_id", "word").agg(F.count("*").alias("m"))
+    vectors = phis.groupBy("word").agg(F.transform(F.array_sort(F.collect_list(F.struct("k", "phi"))), lambda x: x["phi"]).alias("ph"))
+    shares = thetas.groupBy("doc_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("k", "theta"))), lambda x: x["theta"]).alias("th"))
+    unseen = F.array(*[F.lit(word_prior / (totals.get(k, 0) + word_prior)) for k in range(n_topics)])
+    even = F.array(*[F.lit(1.0 / n_topics)] * n_topics)
+    p = F.aggregate(F.zip_with(F.coalesce("th", even), F.coalesce("ph", unseen), lambda a, b: a * b), F.lit(0.0), lambda a, b: a + b)
+    x = tokens.join(vectors, "word", "left").join(shares, "doc_id", "left").agg(F.sum("m").alias("tokens"), F.sum(F.col("m") * F.log(p)).alias("x"))
+    return x.select("tokens", (-F.col("x") / F.col("tokens") / F.log(F.lit(2.0))).alias("bits"), F.exp(-F.col("x") / F.col("tokens")).alias("perplexity"))
+
+
 def intrusion_questions(view: DataFrame, n_questions: int = 20, seed: int = 7) -> DataFrame:
     """question, option, phrase, is_intruder: three phrases of one topic's list and one of another's, chosen and shuffled by md5."""
     mark = lambda *cols: F.md5(F.concat_ws("|", F.lit(str(seed)), *[c.cast("string") for c in cols]))

@@ -340,6 +340,34 @@ def perplexity_frozen(spark, d):
     return evaluate.perplexity(s.state, s.cliques, K, DOC_PRIOR, WORD_PRIOR).select("tokens", _r(F.col("bits")).alias("bits"), _r(F.col("perplexity"), 3).alias("perplexity"))
 
 
+_HELD = "substr(md5(doc_id || '|' || g), 1, 1) = '0'"
+
+
+@query(sql(f"""SELECT sum(m)::BIGINT AS tokens, round(-sum(m * ln(p)) / sum(m) / ln(2), 6) AS bits, round(exp(-sum(m * ln(p)) / sum(m)), 3) AS perplexity FROM (
+    SELECT h.doc_id, h.word, any_value(h.m) AS m, sum((coalesce(a.c, 0) + {DOC_PRIOR}) / (coalesce(n.c, 0) + {DOC_PRIOR * K}) * (coalesce(b.c, 0) + {WORD_PRIOR}) / (t.c + {WORD_PRIOR} * (v.v + 1))) AS p
+    FROM (SELECT doc_id, word, count(*) AS m FROM tok WHERE {_HELD} GROUP BY ALL) h CROSS JOIN (SELECT count(DISTINCT word) AS v FROM tok WHERE NOT {_HELD}) v
+    CROSS JOIN (SELECT z, count(*) AS c FROM tok WHERE NOT {_HELD} GROUP BY z) t
+    LEFT JOIN (SELECT doc_id, z, count(*) AS c FROM tok WHERE NOT {_HELD} GROUP BY ALL) a ON a.doc_id = h.doc_id AND a.z = t.z
+    LEFT JOIN (SELECT word, z, count(*) AS c FROM tok WHERE NOT {_HELD} GROUP BY ALL) b ON b.word = h.word AND b.z = t.z
+    LEFT JOIN (SELECT doc_id, count(*) AS c FROM tok WHERE NOT {_HELD} GROUP BY doc_id) n ON n.doc_id = h.doc_id GROUP BY h.doc_id, h.word)""", "tok"))
+def perplexity_held_phrases(spark, d):
+    """A sixteenth of every document's phrases, hidden from the counts and scored with the document's other phrases."""
+    s = _stages(spark, d)
+    held = evaluate.held_phrase(F.col("doc_id"), F.col("g"))
+    return evaluate.perplexity(s.state.where(~held), s.cliques.where(held), K, DOC_PRIOR, WORD_PRIOR).select("tokens", _r(F.col("bits")).alias("bits"), _r(F.col("perplexity"), 3).alias("perplexity"))
+
+
+@query()
+def perplexity_completion(spark, d):
+    """Held-out documents by half: topics from the phrases of even number, scores on those of odd number, for both models."""
+    s = _stages(spark, d)
+    out = None
+    for model, state in (("clique", s.state), ("word", s.words.select("doc_id", "g", F.array("word").alias("words"), "z"))):
+        one = evaluate.completion(state, K, DOC_PRIOR, WORD_PRIOR).select(F.lit(model).alias("model"), "*")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 @query(sql(f"""SELECT question, row_number() OVER (PARTITION BY question ORDER BY m, phrase, r)::INT AS option, phrase, r = 2 AS is_intruder FROM (
     SELECT q.question, q.r, p.phrase, md5('7|' || q.question || '|' || q.k || '|' || p.phrase) AS m, row_number() OVER (PARTITION BY q.question, q.r ORDER BY md5('7|' || q.question || '|' || q.k || '|' || p.phrase), p.phrase) AS at_
     FROM (SELECT * FROM (SELECT i::INT AS question, k, row_number() OVER (PARTITION BY i ORDER BY md5('7|' || i || '|' || k), k) AS r FROM range(20) AS t(i), (SELECT k FROM topp GROUP BY k HAVING count(*) >= 3)) WHERE r <= 2) q JOIN topp p ON p.k = q.k)
