@@ -9,8 +9,9 @@ spanning forest of its links, so a dense group costs as many rows as it has memb
 into blocks, and each pair of blocks is a task of its own.
 
 SimHash distances of texts as alike as 0.8 spread up to some 14 of 64 bits, where unrelated texts begin to meet. So
-``similar`` asks more of a link: a signature of 16 minimum hashes of the shingles travels with the point, and at least
-that share of its places must agree (less the signature's own spread).
+``similar`` asks more of a link: that share of the two texts' shingles (as sets, common ones over all) must be equal. A
+signature of 16 minimum hashes travels with the point and takes out pairs that are far below the share; what it leaves
+only proposes groups. The sets of a group's texts then meet once, and every link of the result was compared on them.
 
 Edge cases: null and empty texts have fingerprint zero and link like any other; texts of fewer words than a shingle are
 one shingle; very long texts are hashed whole; rows with equal fingerprints always share a component; an empty table
@@ -33,6 +34,8 @@ from .components import components
 #: Points of a cell that one task compares with each other.
 TILE = 2048
 SEED = 42
+#: Points with their shingle sets that one task compares with each other.
+SET_TILE = 512
 #: Bytes of a signature, and the odd factors of its hashes.
 PLACES = 16
 _ODD = np.array([int.from_bytes(xxhash.xxh64_digest(bytes([i])), "big") | 1 for i in range(PLACES)], np.uint64)
@@ -67,18 +70,29 @@ def signature(found: list[int]) -> bytes:
     return ((lows * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(56)).astype(np.uint8).tobytes()
 
 
+def shingles(found: list[int]) -> bytes:
+    """The distinct hashes in rising order, eight bytes each."""
+    return np.unique(np.array(found, np.uint64)).tobytes()
+
+
+def similarity(a: np.ndarray, b: np.ndarray) -> float:
+    """Common elements over all of two sets of distinct hashes; 1 for two empty ones."""
+    common = len(np.intersect1d(a, b, assume_unique=True))
+    return common / (len(a) + len(b) - common) if len(a) or len(b) else 1.0
+
+
 def fingerprints(docs: DataFrame, shingle: int, id_col: str = "doc_id", text_col: str = "text", signed: bool = False) -> DataFrame:
-    """id, print (the 64 bits as a signed long)[, sign binary]."""
+    """id, print (the 64 bits as a signed long)[, sign binary, digest binary (of the set of shingles)]."""
 
     def make():
         def work(keys, texts):
             found = [hashes(t, shingle) for t in texts]
             prints = np.array([fingerprint(h) for h in found], dtype=np.uint64).view(np.int64)
-            return {id_col: keys, "print": prints} | ({"sign": [signature(h) for h in found]} if signed else {})
+            return {id_col: keys, "print": prints} | ({"sign": [signature(h) for h in found], "digest": [xxhash.xxh128_digest(shingles(h)) for h in found]} if signed else {})
 
         return work
 
-    return map_rows(docs.select(F.col(id_col).cast("long").alias(id_col), F.col(text_col).cast("string").alias(text_col)), make, f"{id_col} long, print long" + ", sign binary" * signed)
+    return map_rows(docs.select(F.col(id_col).cast("long").alias(id_col), F.col(text_col).cast("string").alias(text_col)), make, f"{id_col} long, print long" + ", sign binary, digest binary" * signed)
 
 
 def counts_of(prints: np.ndarray) -> np.ndarray:
@@ -120,9 +134,9 @@ def bound(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return np.bitwise_count(x & _PAIRS).astype(np.int16) + 2 * np.bitwise_count(x & high).astype(np.int16)
 
 
-def forest(both: np.ndarray, cut: int | None, limit: int, signs: np.ndarray | None = None, agree: int = 0) -> list[tuple[int, int]]:
+def forest(both: np.ndarray, cut: int | None, limit: int, signs: np.ndarray | None = None, agree: int = 0, sets: list[np.ndarray] | None = None, similar: float = 0.0) -> list[tuple[int, int]]:
     """Spanning forest of the links within ``limit`` among the prints, or between those before and behind ``cut``, as places. With
-    signs (a row of bytes each) at least ``agree`` places must be equal too."""
+    signs (a row of bytes each) at least ``agree`` places must be equal too, and with sets their similarity must reach ``similar``."""
     points, parent = counts_of(both), list(range(len(both)))
     label = np.arange(len(both))
 
@@ -150,7 +164,7 @@ def forest(both: np.ndarray, cut: int | None, limit: int, signs: np.ndarray | No
         before = len(out)
         for x, y in zip(i.tolist(), j.tolist(), strict=True):
             a, b = root(x), root(y)
-            if a != b:
+            if a != b and (sets is None or similarity(sets[x], sets[y]) >= similar):
                 parent[b] = a
                 out.append((x, y))
         if len(out) > before:
@@ -178,15 +192,28 @@ def _cell_rows(prints: DataFrame, limit: int) -> DataFrame:
 
 def links(prints: DataFrame, limit: int, similar: float | None = None) -> DataFrame:
     """Links (u, v) that span the same components as all pairs of distinct prints within ``limit`` bits. With ``similar``, prints has
-    also node (long) and sign, links are between nodes and need that share of equal places in the signatures."""
-    signed = similar is not None
-    extra = ["node", "sign"] if signed else []
-    # one standard deviation and a half under the share, as a signature only estimates it
-    agree = int(np.ceil(PLACES * similar - 1.5 * np.sqrt(PLACES * similar * (1 - similar)))) if signed else 0
-    rows = settle(_cell_rows(prints.select("print", *extra) if signed else prints.select("print").distinct(), limit), "simhash-cells")
+    also node (long) and sign, links are between nodes and need nearly that share of equal places in the signatures: they propose
+    groups, and ``verified_links`` looks at the shingles."""
+    extra = ["node", "sign"] if similar is not None else []
+    rows = settle(_cell_rows(prints.select("print", *extra) if extra else prints.select("print").distinct(), limit), "simhash-cells")
+    return _compared(rows, limit, TILE, similar)
+
+
+def verified_links(points: DataFrame, limit: int, similar: float) -> DataFrame:
+    """Links (u, v) that span the same components as all pairs within ``limit`` bits, with nearly a share ``similar`` of equal places and
+    with shingle sets at least ``similar`` alike. points: root (of the proposed group), print, node, sign, shingles."""
+    return _compared(points.select(F.lit(0).alias("grp"), F.col("root").alias("cell"), "print", "node", "sign", "shingles"), limit, SET_TILE, similar)
+
+
+def _compared(rows: DataFrame, limit: int, tile: int, similar: float | None) -> DataFrame:
+    """Spanning links of the points in each cell: rows (grp, cell, print[, node, sign[, shingles]])."""
+    extra = [c for c in ("node", "sign", "shingles") if c in rows.columns]
+    signed, exact = "sign" in extra, "shingles" in extra
+    # three standard deviations under the share, as a signature only estimates it
+    agree = int(np.ceil(PLACES * similar - 3 * np.sqrt(PLACES * similar * (1 - similar)))) if signed else 0
     # cells of one tile, nearly all, go as they are: only crowded ones are looked up and dealt to pairs of blocks
-    crowds = rows.groupBy("grp", "cell").agg(F.count("*").alias("n")).where(F.col("n") > TILE).select(F.col("grp").alias("g"), F.col("cell").alias("c"), F.ceil(F.col("n") / TILE).cast("int").alias("blocks"))
-    dealt = rows.join(crowds, (F.col("grp") == F.col("g")) & (F.col("cell") == F.col("c")), "left").withColumn("block", F.coalesce(F.pmod(F.xxhash64("print"), F.col("blocks")), F.lit(0)).cast("int"))
+    crowds = rows.groupBy("grp", "cell").agg(F.count("*").alias("n")).where(F.col("n") > tile).select(F.col("grp").alias("g"), F.col("cell").alias("c"), F.ceil(F.col("n") / tile).cast("int").alias("blocks"))
+    dealt = rows.join(crowds, (F.col("grp") == F.col("g")) & (F.col("cell") == F.col("c")), "left").withColumn("block", F.coalesce(F.pmod(F.xxhash64("print", *extra[:1]), F.col("blocks")), F.lit(0)).cast("int"))
     pairs = F.when(F.col("blocks") > 1, F.sequence(F.lit(0), F.col("blocks") - 1)).otherwise(F.array(F.lit(0)))
     tiled = dealt.select("grp", "cell", "print", *extra, "block", F.explode(pairs).alias("other")).select(
         "grp", "cell", F.least("block", "other").alias("low"), F.greatest("block", "other").alias("high"), "block", "print", *extra)
@@ -200,6 +227,7 @@ def links(prints: DataFrame, limit: int, similar: float | None = None) -> DataFr
             cols = [table.column(i).to_numpy() for i in range(6)]
             prints, names = cols[5].view(np.uint64), table.column(6).to_numpy() if signed else cols[5]
             signs = np.frombuffer(b"".join(table.column(7).to_pylist()), np.uint8).reshape(-1, PLACES) if signed else None
+            sets = [np.frombuffer(x, np.uint64) for x in table.column(8).to_pylist()] if exact else None
             edges: list[np.ndarray] = []
             cuts = np.flatnonzero(np.any([c[1:] != c[:-1] for c in cols[:4]], axis=0)) + 1
             for a, b in zip([0, *cuts.tolist()], [*cuts.tolist(), len(cols[0])], strict=True):
@@ -209,7 +237,7 @@ def links(prints: DataFrame, limit: int, similar: float | None = None) -> DataFr
                 if cols[2][a] != cols[3][a]:
                     low = cols[4][a:b] == cols[2][a]
                     place, cut = np.concatenate([place[low], place[~low]]), int(low.sum())
-                found = forest(prints[place], cut, limit, signs[place] if signed else None, agree)
+                found = forest(prints[place], cut, limit, signs[place] if signed else None, agree, [sets[i] for i in place] if exact else None, similar or 0.0)
                 if found:
                     edges.append(names[place[np.array(found)]])
             e = np.concatenate(edges) if edges else np.zeros((0, 2), np.int64)
@@ -241,17 +269,41 @@ def links(prints: DataFrame, limit: int, similar: float | None = None) -> DataFr
 
 def near_duplicates(docs: DataFrame, shingle: int = 5, limit: int = 11, similar: float | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """A row a document: id, fingerprint (16 lowercase hex digits), component_id (least id of the component). Documents link when
-    their prints differ in at most ``limit`` bits and, with ``similar``, their signatures agree in about that share."""
-    keys = ["print"] if similar is None else ["print", "sign"]
-    rows = settle(fingerprints(docs, shingle, id_col, text_col, similar is not None), "fingerprints")
-    least = rows.groupBy(*keys).agg(F.min(id_col).alias("low"))
-    if similar is None:
+    their prints differ in at most ``limit`` bits and, with ``similar``, their sets of shingles are at least that much alike."""
+    signed = similar is not None
+    keys = ["print", "digest"] if signed else ["print"]
+    rows = settle(fingerprints(docs, shingle, id_col, text_col, signed), "fingerprints")
+    least = rows.groupBy(*keys).agg(F.min(id_col).alias("low"), *([F.min("sign").alias("sign")] if signed else []))
+    if not signed:
         nodes = components(links(rows, limit), "simhash-components")
         named = least.join(nodes, F.col("print") == F.col("node"), "left").select(*keys, "low", F.coalesce("component", "print").alias("root"))
     else:  # a text's node is the least id that has it; texts of null ids alone have none and stay by themselves
-        nodes = components(links(least.where("low IS NOT NULL").withColumnRenamed("low", "node"), limit, similar), "simhash-components")
+        texts = settle(least.where("low IS NOT NULL").withColumnRenamed("low", "node"), "simhash-texts")
+        found = components(links(texts, limit, similar), "simhash-groups")
+        # a group's least node has no row of its own
+        groups = found.union(found.select("component", "component").distinct()).toDF("member", "root")
+        points = settle(_with_shingles(docs, texts.join(groups, F.col("node") == F.col("member")).select("node", *keys, "sign", "root"), shingle, id_col, text_col), "simhash-shingles")
+        nodes = components(verified_links(points, limit, similar), "simhash-components")
         named = least.join(nodes, F.col("low") == F.col("node"), "left").select(*keys, "low", F.coalesce("component", "low").alias("root"))
     lows = named.groupBy("root").agg(F.min("low").alias("component_id"))
     ids = named.select(*[F.col(k).alias(f"{k}_k") for k in keys], "root").join(lows, "root").drop("root")
     same = [F.col(k) == F.col(f"{k}_k") for k in keys]
     return rows.join(ids, same, "left").select(id_col, F.lower(F.lpad(F.hex("print"), 16, "0")).alias("fingerprint"), "component_id")
+
+
+def _with_shingles(docs: DataFrame, members: DataFrame, shingle: int, id_col: str, text_col: str) -> DataFrame:
+    """members (node, print, digest, sign, root) with shingles, from the documents' texts. A repeated id has only the texts that are
+    members, each as often as it is there."""
+    texts = docs.select(F.col(id_col).cast("long").alias("member"), F.col(text_col).cast("string").alias("body"))
+    rows = texts.join(members, F.col("member") == F.col("node")).select("body", "node", "print", "digest", "sign", "root")
+
+    def make():
+        def work(bodies, nodes, prints, digests, signs, roots):
+            sets = [shingles(hashes(b, shingle)) for b in bodies]
+            keep = [i for i, x in enumerate(sets) if xxhash.xxh128_digest(x) == digests[i]]
+            at = lambda column: [column[i] for i in keep]
+            return {"root": at(roots), "print": at(prints), "node": at(nodes), "sign": at(signs), "shingles": at(sets)}
+
+        return work
+
+    return map_rows(rows, make, "root long, print long, node long, sign binary, shingles binary")

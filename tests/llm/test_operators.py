@@ -147,6 +147,30 @@ def test_simhash_with_signatures(docs, given, none):
     assert simhash.near_duplicates(none, similar=0.8).count() == 0
 
 
+@pytest.mark.parametrize("tile", [512, 3])
+def test_similarity_is_of_the_shingles(spark, docs, given, monkeypatch, tile):
+    """Documents are together if and only if links of 0.8 or more, taken on the shingle sets themselves, join them."""
+    monkeypatch.setattr(simhash, "SET_TILE", tile)
+    words = [f"w{i}" for i in range(400)]
+    chain = [(i, " ".join(words[i * 12 : i * 12 + 200])) for i in range(12)]  # neighbours 0.88 alike, those two apart 0.78
+    for df in (docs, given, spark.createDataFrame(chain, "doc_id long, text string")):
+        rows = [(r["doc_id"], simhash.hashes(r["text"], 5)) for r in df.select("doc_id", "text").collect() if r["doc_id"] is not None]
+        found = [(i, simhash.fingerprint(h), simhash.signature(h), set(h)) for i, h in rows]
+        parent = {i: i for i, *_ in found}
+
+        def root(i, parent=parent):
+            while parent[i] != i:
+                i = parent[i]
+            return i
+
+        for k, (i, p, s, a) in enumerate(found):
+            for j, q, t, b in found[k + 1 :]:
+                if (p ^ q).bit_count() <= 11 and sum(x == y for x, y in zip(s, t, strict=True)) >= 8 and (a == b or len(a & b) / len(a | b) >= 0.8):
+                    parent[max(root(i), root(j))] = min(root(i), root(j))
+        got = {r["doc_id"]: r["component_id"] for r in simhash.near_duplicates(df, 5, 11, 0.8).collect() if r["doc_id"] is not None}
+        assert got == {i: root(i) for i in parent}
+
+
 def test_simhash_crowded_cells(spark, monkeypatch):
     """Cells over the tile size are cut up and lose no link; the Manhattan bound never exceeds the Hamming distance."""
     rng = random.Random(4)
