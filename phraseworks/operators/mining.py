@@ -37,8 +37,8 @@ def _table(level: DataFrame, label: str) -> DataFrame:
     return settle(level.withColumn("pid", F.monotonically_increasing_id()), label)
 
 
-def frequent_phrases(chunks: DataFrame, min_support: float = 10, max_len: int | None = 6, support_kind: str = "absolute", support_by: str = "token", prune_positions: bool = True, prune_docs: bool = True, boundary_rule: str = "exact", for_threshold: float | None = None) -> Mined:
-    """Mine chunks (toks[, doc_id]).
+def frequent_phrases(chunks: DataFrame, min_support: float = 10, max_len: int | None = None, support_kind: str = "absolute", support_by: str = "token", prune_positions: bool = True, prune_docs: bool = True, boundary_rule: str = "exact", for_threshold: float | None = None) -> Mined:
+    """Mine chunks (toks[, doc_id]), until no position is left or up to max_len words.
 
     support_by='document' counts the documents that hold a phrase. prune_positions=False counts every sequence up to max_len and filters after
     (no spans); prune_docs=False goes on to max_len even when no chunk has a live position left. boundary_rule='as_printed' lets a chunk's last
@@ -54,7 +54,8 @@ def frequent_phrases(chunks: DataFrame, min_support: float = 10, max_len: int |
     least = support(min_support, support_kind, tokens)
     floor = max(least, int(for_threshold**2) + 1) if for_threshold is not None else least
     if not prune_positions:
-        return Mined(all_ngrams(chunks, max_len or 6).where(F.col("cnt") >= least), None, rows.select("uid", "toks", "mult"), [], tokens, least)
+        longest = max_len or rows.agg(F.max(F.size("toks"))).first()[0] or 1
+        return Mined(all_ngrams(chunks, longest).where(F.col("cnt") >= least), None, rows.select("uid", "toks", "mult"), [], tokens, least)
     weight = F.count_distinct("doc_id") if by_doc else F.sum("mult")
     extra = ["doc_id"] if by_doc else ["mult"]
 

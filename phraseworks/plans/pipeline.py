@@ -17,7 +17,7 @@ from ..sources.io import scan, settle
 class Config:
     min_support: float = 10
     support_kind: str = "absolute"
-    max_len: int | None = 6
+    max_len: int | None = None
     sig_threshold: float = 3.0
     n_topics: int = 4
     sweeps: int = 20
@@ -87,14 +87,14 @@ def run(docs: DataFrame, config: Config | None = None) -> tuple[DataFrame, Stage
     return rank.topic_view(model.state, surfaces=stages.surfaces), stages, model
 
 
-_KEPT: dict[tuple[str, str], Stages] = {}
+_KEPT: dict[tuple[str, str, int | None], Stages] = {}
 
 
-def stages_of(spark: SparkSession, sf_dir: str) -> Stages:
+def stages_of(spark: SparkSession, sf_dir: str, max_len: int | None = None) -> Stages:
     """Stage tables of the documents in sf_dir, shared by the queries of one application."""
-    key = (spark.sparkContext.applicationId, sf_dir)
+    key = (spark.sparkContext.applicationId, sf_dir, max_len)
     if key not in _KEPT:
-        _KEPT[key] = Stages(scan(spark, sf_dir, "documents", "doc_id", "text", "lang", "source"))
+        _KEPT[key] = Stages(scan(spark, sf_dir, "documents", "doc_id", "text", "lang", "source"), Config(max_len=max_len))
     return _KEPT[key]
 
 

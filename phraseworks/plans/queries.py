@@ -29,7 +29,13 @@ def query(oracle: str | None = None) -> Callable[[Query], Query]:
     return register
 
 
-_stages = pipeline.stages_of
+def _stages(spark, d):
+    """Phrases of up to LONGEST words, as the SQL counts them."""
+    return pipeline.stages_of(spark, d, LONGEST)
+
+
+#: Phrases of any length, for queries without SQL.
+_whole = pipeline.stages_of
 
 
 def _r(c, digits: int = 6):
@@ -90,6 +96,11 @@ def frequent_phrases(spark, d):
     return _stages(spark, d).mined.counts
 
 
+@query()
+def frequent_phrases_whole(spark, d):
+    return _whole(spark, d).mined.counts
+
+
 @query(sql("SELECT phrase AS word, cnt FROM cnt WHERE n = 1", "cnt"))
 def unigram_counts(spark, d):
     return _stages(spark, d).mined.counts.where("n = 1").select(F.col("phrase").alias("word"), "cnt")
@@ -200,6 +211,16 @@ def bag_of_phrases(spark, d):
     return segment.bag_unique(_stages(spark, d).mined, THRESHOLD)
 
 
+@query()
+def segment_partition_whole(spark, d):
+    return _whole(spark, d).parts.select("doc_id", "chunk_no", "g", "phrase", F.col("len").alias("n_words"))
+
+
+@query()
+def bag_of_phrases_whole(spark, d):
+    return segment.bag_unique(_whole(spark, d).mined, THRESHOLD)
+
+
 @query(sql("SELECT c.phrase, c.cnt AS raw_cnt FROM cnt c ANTI JOIN bagged b ON b.phrase = c.phrase WHERE c.n > 1", "cnt", "bagged"))
 def rejected_candidates(spark, d):
     s = _stages(spark, d)
@@ -429,7 +450,7 @@ def coherence_zscores(spark, d):
 
 @query()
 def phrase_quality(spark, d):
-    s = _stages(spark, d)
+    s = _whole(spark, d)
     sig = _bigrams(s).select("phrase", segment.score(F.col("f1"), F.col("f2"), F.col("f12"), s.mined.tokens).alias("sig"))
     return evaluate.phrase_quality(sig, s.parts, scan(spark, d, "labels"))
 
@@ -519,7 +540,7 @@ def basket_itemsets(spark, d):
 
 @query()
 def cctm_gibbs(spark, d):
-    s = _stages(spark, d)
+    s = _whole(spark, d)
     return rank.topic_view(s.fit(sweeps=3).state, surfaces=s.surfaces)
 
 
@@ -531,14 +552,14 @@ def lda_gibbs(spark, d):
 @query()
 def fold_in(spark, d):
     """Topic shares of the held-out eighth of the documents under word distributions of the rest."""
-    s = _stages(spark, d)
+    s = _whole(spark, d)
     out = evaluate.held_out(F.col("doc_id"))
     return topics.infer(s.cliques.where(out), topics.phi(s.state.where(~out), K), K, 4)
 
 
 @query()
 def topics_auto(spark, d):
-    return rank.top(rank.word_frequency(topics.fit(_stages(spark, d).cliques, "auto", sweeps=2, k_max=8).state), 5, F.col("tf"), "word")
+    return rank.top(rank.word_frequency(topics.fit(_whole(spark, d).cliques, "auto", sweeps=2, k_max=8).state), 5, F.col("tf"), "word")
 
 
 @query()

@@ -130,3 +130,14 @@ def test_degenerate_text(spark):
 @pytest.mark.parametrize(("word", "want"), [("caresses", "caress"), ("ponies", "poni"), ("cats", "cat"), ("agreed", "agre"), ("plastered", "plaster"), ("motoring", "motor"), ("sing", "sing"), ("conflated", "conflat"), ("hopping", "hop"), ("falling", "fall"), ("filing", "file"), ("happy", "happi"), ("sky", "sky"), ("relational", "relat"), ("conditional", "condit"), ("vietnamization", "vietnam"), ("triplicate", "triplic"), ("hopeful", "hope"), ("goodness", "good"), ("revival", "reviv"), ("adoption", "adopt"), ("probate", "probat"), ("rate", "rate"), ("controll", "control"), ("roll", "roll"), ("generalizations", "gener")])
 def test_stems(word, want):
     assert stem(word) == want
+
+
+def test_phrases_of_any_length(spark):
+    """Without a cap mining goes on to the longest frequent phrase; a cap is an option."""
+    line = [f"w{i}" for i in range(9)]
+    df = spark.createDataFrame([(i, line) for i in range(3)] + [(3, line[:4])], "doc_id long, toks array<string>")
+    want = {(n, " ".join(line[i : i + n])): 4 if i + n <= 4 else 3 for n in range(1, 10) for i in range(10 - n)}
+    got = lambda **o: {(r["n"], r["phrase"]): r["cnt"] for r in mining.frequent_phrases(df, 3, **o).counts.collect()}
+    assert got() == want == got(prune_positions=False)
+    assert got(max_len=6) == {k: c for k, c in want.items() if k[0] <= 6}
+    assert Config().max_len is None
