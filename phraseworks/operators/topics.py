@@ -303,7 +303,8 @@ def fit(cliques: DataFrame, n_topics: int | str = 5, sweeps: int = 20, doc_prior
     n_topics='auto' starts from k_max topics under a truncated Dirichlet-process prior: after each sweep the document prior's mass
     follows the topics' use by stick breaking, so topics without use fade. mode='exact' is one sequential task, 'partitioned' is
     many with counts merged at every barrier, 'snapshot' is all in DataFrame operations. The vocabulary's counts go to the tasks
-    as an array; beyond SHIP_CELLS cells the fit turns to 'snapshot', which only joins."""
+    as an array; beyond SHIP_CELLS cells the fit turns to 'snapshot', which only joins. That mode has one fixed prior and one sweep a round, so it raises
+    ValueError where an automatic topic number, prior updates, a trace or inner sweeps are asked for."""
     auto = n_topics == "auto"
     k = k_max if auto else int(n_topics)
     prior = np.full(k, (50 / k if doc_prior is None else doc_prior) if not auto else concentration / k)
@@ -313,6 +314,9 @@ def fit(cliques: DataFrame, n_topics: int | str = 5, sweeps: int = 20, doc_prior
     words = dense_ids(cliques.select(F.explode("words").alias("word")).groupBy("word").agg(F.count("*").alias("cnt")), F.desc("cnt"), F.col("word"), name="word_id")
     v = words.count()
     if mode == "snapshot" or v * k > SHIP_CELLS:
+        asked = [n for n, on in (("n_topics='auto'", auto), ("optimise_every", optimise_every), ("trace_every", trace_every), ("inner_sweeps", inner_sweeps != 1)) if on]
+        if asked:
+            raise ValueError(f"snapshot mode ({v} words x {k} topics; other modes hold up to {SHIP_CELLS} cells) has no {', '.join(asked)}")
         trace = []
         for s in range(1, sweeps + 1):
             state = settle(snapshot_sweep(state, k, s, seed, doc_prior=float(prior[0]), word_prior=word_prior, repeat_offset=repeat_offset, vocabulary=v), f"sweep-{s}")

@@ -162,3 +162,12 @@ def test_intrusion_answers(spark):
     units = spark.createDataFrame([(f"d{k}{i}", f"p{k}{r}") for k in range(3) for i in range(4) for r in range(5)], "unit string, item string")
     got = evaluate.intrusion_score(q, evaluate.simulated_answers(q, units, "r")).first()
     assert got["answered"] == got["correct"] == 12
+
+
+@pytest.mark.parametrize("options", [{"n_topics": "auto"}, {"optimise_every": 1}, {"trace_every": 1}, {"inner_sweeps": 2}])
+def test_no_other_model_beyond_the_size(spark, monkeypatch, options):
+    """A vocabulary that is too large for the counts to travel is no silent end of the options that snapshot mode lacks."""
+    monkeypatch.setattr(topics, "SHIP_CELLS", 1)
+    rows = spark.createDataFrame([(1, 0, ["a"]), (1, 1, ["b", "c"])], "doc_id long, g int, words array<string>")
+    with pytest.raises(ValueError, match="snapshot"):
+        topics.fit(rows, **{"n_topics": 2, "sweeps": 1, "seed": 1} | options)
