@@ -311,14 +311,16 @@ def rule_filter(counts: DataFrame, stop_words: list[str], listed: DataFrame | No
     return rows if listed is None else rows.join(listed.select("phrase").distinct(), "phrase", "left_semi")
 
 
-def lda_variational(chunks: DataFrame, n_topics: int = 5, iterations: int = 10, seed: int = 7, optimizer: str = "online", vocabulary: int = 1 << 16) -> DataFrame:
-    """k, rank, word, weight: top words of the library's variational topic model."""
+def lda_variational(chunks: DataFrame, n_topics: int = 5, iterations: int = 10, seed: int = 7, optimizer: str = "online", vocabulary: int | None = None) -> DataFrame:
+    """k, rank, word, weight: top words of the library's variational topic model. Each iteration reads all documents, and all words
+    are in the vocabulary unless a size is given."""
     from pyspark.ml.clustering import LDA
     from pyspark.ml.feature import CountVectorizer
 
     docs = chunks.groupBy("doc_id").agg(F.flatten(F.collect_list("toks")).alias("toks"))
+    vocabulary = vocabulary or max(1, chunks.select(F.explode("toks").alias("word")).distinct().count())
     bags = CountVectorizer(inputCol="toks", outputCol="features", vocabSize=vocabulary).fit(docs)
-    model = LDA(k=n_topics, maxIter=iterations, seed=seed, optimizer=optimizer).fit(bags.transform(docs))
+    model = LDA(k=n_topics, maxIter=iterations, seed=seed, optimizer=optimizer, subsamplingRate=1.0).fit(bags.transform(docs))
     top = model.describeTopics(10).select(F.col("topic").alias("k"), F.posexplode(F.arrays_zip("termIndices", "termWeights")).alias("rank", "t"))
     spark = chunks.sparkSession
     listed = spark.createDataFrame(list(enumerate(bags.vocabulary)), "id int, word string")

@@ -171,3 +171,15 @@ def test_no_other_model_beyond_the_size(spark, monkeypatch, options):
     rows = spark.createDataFrame([(1, 0, ["a"]), (1, 1, ["b", "c"])], "doc_id long, g int, words array<string>")
     with pytest.raises(ValueError, match="snapshot"):
         topics.fit(rows, **{"n_topics": 2, "sweeps": 1, "seed": 1} | options)
+
+
+def test_variational_reads_everything(spark, monkeypatch):
+    """Whole batches, and a vocabulary of all words however many."""
+    from pyspark.ml import clustering, feature
+
+    asked = {}
+    for kind, name in ((clustering.LDA, "subsamplingRate"), (feature.CountVectorizer, "vocabSize")):
+        monkeypatch.setattr(kind, "fit", lambda self, df, f=kind.fit, name=name: (asked.update({name: self.getOrDefault(name)}), f(self, df))[1])
+    chunks = spark.createDataFrame([(i, [f"w{i}", "a"]) for i in range(20)], "doc_id long, toks array<string>")
+    assert baselines.lda_variational(chunks, 2, 1).count() == 20
+    assert asked["subsamplingRate"] == 1.0 and asked["vocabSize"] == 21
