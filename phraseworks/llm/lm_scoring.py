@@ -7,7 +7,8 @@ own counts are deleted, so each is held out from the counts that predict it.
 Counts travel by request and reply. Documents form blocks of bounded size; a block asks once for each distinct n-gram it
 has (sorted 64-bit hashes, differences packed), whatever its frequency, so no word is hot. Buckets of the hash space add
 up the blocks' training counts and answer in the order asked. The replies grow with the corpus and nothing of that kind
-passes through the driver: it gets the totals N and V and a histogram of bounded size for the weights.
+passes through the driver: it gets the totals N and V and the histogram for the weights, whose cells are bounded by the grid
+(class and quarter octave of each order above the base). An n-gram is its 64-bit hash: two that collide count as one.
 
 Edge cases: null text is empty and has only its end token; very long texts are scored whole; repeated rows count and are
 scored each; a null id falls into fold 0 and is in training; an empty table gives no rows; where nothing is in training
@@ -24,7 +25,8 @@ from pyspark.sql import functions as F
 
 from .common import settle
 
-BLOCK_BYTES, BUCKET_BYTES, LEAST = 8 << 20, 64 << 20, 64
+#: Text of a block and of a bucket; hashes of a bucket that are added up at a time.
+BLOCK_BYTES, BUCKET_BYTES, LEAST, RUN = 4 << 20, 32 << 20, 64, 1 << 18
 CLASSES = 24
 _MIX = np.uint64(0x9E3779B97F4A7C15)
 
@@ -64,8 +66,8 @@ class Block:
         self.keys, self.back = [], []
         tokens = np.concatenate(ids) if ids else np.zeros(0, np.int32)
         grams, words = own[tokens], own[tokens]
-        doc = np.repeat(np.arange(len(self.lengths)), self.lengths)
-        at = np.arange(len(tokens)) - self.starts[doc] if len(tokens) else np.zeros(0, np.int64)
+        doc = np.repeat(np.arange(len(self.lengths), dtype=np.int32), self.lengths)
+        at = (np.arange(len(tokens)) - self.starts[doc]).astype(np.int32) if len(tokens) else np.zeros(0, np.int32)
         start = np.uint64(xxhash.xxh64_intdigest(b""))
         for k in range(order):
             if k:
@@ -75,7 +77,7 @@ class Block:
                 grams = _mixed(grams + _mixed(earlier + np.uint64(k)))
             keys, back = np.unique(grams, return_inverse=True)
             self.keys.append(keys)
-            self.back.append(back)
+            self.back.append(back.astype(np.int32))
         self.doc, self.first = doc, at == 0
 
     def counts(self, train: np.ndarray) -> list[np.ndarray]:
@@ -109,17 +111,29 @@ def _request(order: int, buckets: int):
 
 
 def _reply(table: pa.Table) -> pa.Table:
-    asked = [np.cumsum(_unpacked(x)) for x in table.column("hashes").to_pylist()]
-    keys, back = np.unique(np.concatenate(asked), return_inverse=True)
-    own = np.concatenate([_unpacked(x) for x in table.column("counts").to_pylist()])
-    totals = np.bincount(back, weights=own.astype(np.float64), minlength=len(keys)).astype(np.uint64)
-    cuts = np.cumsum([len(a) for a in asked])[:-1]
+    """Totals of a bucket in the order asked. The requests come sorted, so the bucket is worked through in runs of its hash range and
+    only a run's keys and places are held beside the requests; totals take the place of the hashes they answer."""
+    asked = [np.cumsum(_unpacked(x.as_py())) for x in table.column("hashes")]
+    own = [_unpacked(x.as_py()).astype(np.uint32) for x in table.column("counts")]
+    longest = max(asked, key=len)
+    runs = -(-sum(map(len, asked)) // RUN)
+    borders = longest[np.arange(1, runs) * len(longest) // runs]
+    ends = [[0, *np.searchsorted(a, borders).tolist(), len(a)] for a in asked]
+    distinct = tokens = 0
+    for r in range(runs):
+        spans = [slice(e[r], e[r + 1]) for e in ends]
+        keys, back = np.unique(np.concatenate([a[x] for a, x in zip(asked, spans, strict=True)]), return_inverse=True)
+        totals = np.bincount(back, weights=np.concatenate([c[x] for c, x in zip(own, spans, strict=True)]), minlength=len(keys)).astype(np.uint64)
+        distinct, tokens, at = distinct + int((totals > 0).sum()), tokens + int(totals.sum()), 0
+        for a, x in zip(asked, spans, strict=True):
+            a[x] = totals[back[at : at + x.stop - x.start]]
+            at += x.stop - x.start
     first = [1] + [0] * (len(asked) - 1)
     return pa.table({
         **{c: table.column(c) for c in ("level", "bucket", "block")},
-        "totals": pa.array([_packed(totals[b]) for b in np.split(back, cuts)], pa.binary()),
-        "distinct": pa.array([f * int((totals > 0).sum()) for f in first], pa.int64()),
-        "tokens": pa.array([f * int(totals.sum()) for f in first], pa.int64()),
+        "totals": pa.array([_packed(a) for a in asked], pa.binary()),
+        "distinct": pa.array([f * distinct for f in first], pa.int64()),
+        "tokens": pa.array([f * tokens for f in first], pa.int64()),
     })
 
 
@@ -139,7 +153,7 @@ class Estimates:
         starts = np.full(len(block.doc), start)
         if deleted:  # take the document's own n-grams out
             for k, b in enumerate(block.back):
-                pairs, back, own = np.unique(block.doc.astype(np.int64) * (len(block.keys[k]) + 1) + b, return_inverse=True, return_counts=True)
+                _, back, own = np.unique(block.doc.astype(np.int64) * (len(block.keys[k]) + 1) + b, return_inverse=True, return_counts=True)
                 counts[k] = counts[k] - own[back]
             starts, n = starts - 1, n - block.lengths[block.doc]
         self.known = counts[0] > 0
@@ -215,10 +229,9 @@ def _scores(order: int, n: int, v: int, weights: np.ndarray):
     return run
 
 
-def score(docs: DataFrame, in_training: Column, order: int = 2, held_share: int = 10, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """id, held_out, n_tokens, n_known, train_tokens, base_score, score for every document. in_training is a condition on docs;
-    the training documents of
-    one block in ``held_share`` (blocks are dealt by a hash) learn the mixture weights."""
+def score(docs: DataFrame, in_training: Column, order: int = 2, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """id, held_out, n_tokens, n_known, train_tokens, base_score, score for every document. in_training is a condition on docs; every
+    training document, its own counts deleted, teaches the mixture weights."""
     rows = docs.select(F.col(id_col).cast("long").alias("id"), F.coalesce(in_training, F.lit(False)).cast("int").alias("train"), F.col(text_col).cast("string").alias("text"))
     n_docs, size = (x or 0 for x in rows.agg(F.count("*"), F.sum(F.octet_length("text"))).first())
     least = max(1, min(LEAST, -(-n_docs // 64)))
@@ -229,9 +242,7 @@ def score(docs: DataFrame, in_training: Column, order: int = 2, held_share: int
     learn, shape = _histogram(order, n, v)
     names = shape.replace(",", "").split()[::2]
     keys = names[: 2 * (order - 1)]
-    # whole blocks, as a block's n-grams answer to its own request; the grid of classes and quarter octaves is bounded by parameters
-    held = F.pmod(F.col("block"), F.lit(held_share)) == 0
-    table = dealt.where(held).groupBy("block").cogroup(replies.where(held).groupBy("block")).applyInArrow(learn, shape).groupBy(*keys).agg(*[F.sum(c).alias(c) for c in names[len(keys):]]).toArrow()
+    table = dealt.groupBy("block").cogroup(replies.groupBy("block")).applyInArrow(learn, shape).groupBy(*keys).agg(*[F.sum(c).alias(c) for c in names[len(keys):]]).toArrow()
     cell = {c: table.column(c).to_numpy() for c in names}
     weights = learn_weights(cell["n"], [cell[f"r{k}"] / np.maximum(cell["n"], 1) for k in range(1, order)], [cell[f"c{k}"].astype(np.int64) for k in range(1, order)])
     out = dealt.groupBy("block").cogroup(replies.groupBy("block")).applyInArrow(_scores(order, n, v, weights), "id long, held_out boolean, n_tokens long, n_known long, base_score double, score double")

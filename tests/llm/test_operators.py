@@ -9,6 +9,7 @@ import zlib
 
 import numpy as np
 import public_tokenizers as P
+import pyarrow as pa
 import pytest
 import tiktoken
 import xxhash
@@ -349,13 +350,81 @@ def test_lm_is_a_distribution(spark, order):
         assert np.allclose(e.ratios[k - 1] * e.base, want)
 
 
+def test_next_word_laws_sum_to_one():
+    """For each context the mixture's law over the training words and one unseen word sums to one."""
+    texts = [" ".join(random.Random(i).choices("abcde", k=7)) for i in range(30)]
+    block = lm_scoring.Block(pa.chunked_array([texts]), 2)
+    totals = block.counts(np.ones(len(texts), np.int64))
+    n, v = int(totals[0].sum()), len(block.keys[0])
+    weights = np.full((1, lm_scoring.CLASSES), 0.6)
+    weights[:, 0] = 0
+    for context in "abcde":
+        probe = lm_scoring.Block(pa.chunked_array([[f"{context} {w}".strip() for w in [*"abcde", "", "unseen"]]]), 2)
+        own = [np.array([dict(zip(block.keys[k].tolist(), totals[k].tolist(), strict=True)).get(x, 0) for x in probe.keys[k].tolist()], np.uint64) for k in range(2)]
+        e = lm_scoring.Estimates(probe, own, n, v, deleted=False)
+        law = (e.base * e.mixed(weights))[probe.starts + 1]
+        assert abs(law.sum() - 1) < 1e-9
+
+
+def brute_lm(rows):
+    """Bigram deleted interpolation written out token by token: rows of (words with the end token, in training?) -> scores."""
+    train = [ws for ws, t in rows if t]
+    one, two = collections.Counter(w for ws in train for w in ws), collections.Counter(p for ws in train for p in zip([b"", *ws], ws, strict=False))
+    n, v, starts = sum(one.values()), len(one), len(train)
+    klass = lambda c: min(int(math.log2(c)) + 1, 23) if c > 0 else 0
+
+    def token(prev, w, first, minus_one, minus_two, minus_docs, minus_n):
+        base = (one[w] - minus_one[w] + 0.5) / (n - minus_n + 0.5 * (v + 1))
+        context = starts - minus_docs if first else one[prev] - minus_one[prev]
+        pair = two[prev, w] - minus_two[prev, w]
+        return base, (pair / context / base if context > 0 else 0.0), klass(context)
+
+    none = collections.Counter()
+    cells = collections.defaultdict(lambda: [0, 0.0])
+    for ws in train:
+        own, pairs = collections.Counter(ws), collections.Counter(zip([b"", *ws], ws, strict=False))
+        for i, w in enumerate(ws):
+            _, r, c = token(ws[i - 1] if i else b"", w, i == 0, own, pairs, 1, len(ws))
+            cell = cells[c, min(max(math.floor(4 * math.log2(r)), -60), 160) if r > 0 else -99]
+            cell[0] += 1
+            cell[1] += r
+    weight = [0.0] + [0.5] * 23
+    for _ in range(60):
+        up, all_ = [0.0] * 24, [0.0] * 24
+        for (c, _), (m, r) in cells.items():
+            r /= m
+            all_[c] += m
+            up[c] += m * weight[c] * r / (weight[c] * r + 1 - weight[c])
+        weight = [0.0] + [min(max(u / a, 0), 0.999) if a else w for u, a, w in zip(up[1:], all_[1:], weight[1:], strict=True)]
+    out = []
+    for ws, _ in rows:
+        parts = [token(ws[i - 1] if i else b"", w, i == 0, none, none, 0, 0) for i, w in enumerate(ws)]
+        out.append(sum(math.log10(b * (weight[c] * r + 1 - weight[c])) for b, r, c in parts))
+    return out
+
+
+@pytest.mark.parametrize("run", [1 << 18, 50])
+def test_lm_scores_are_deleted_interpolation(docs, given, monkeypatch, run):
+    monkeypatch.setattr(lm_scoring, "RUN", run)
+    for df in (docs, given) if run > 50 else (docs,):
+        train = doc_hash("doc_id") % 5 != 1
+        rows = [(r["doc_id"], [*(r["text"] or "").encode().lower().split(), b""], r["t"]) for r in df.select("doc_id", "text", train.alias("t")).collect()]
+        want = collections.Counter((i, len(ws), round(x, 4)) for (i, ws, _), x in zip(rows, brute_lm([(ws, t) for _, ws, t in rows]), strict=True))
+        got = collections.Counter((r["doc_id"], r["n_tokens"], round(r["score"], 4)) for r in lm_scoring.score(df, train).collect())
+        assert sum((want - got).values()) <= 0.01 * len(rows), (want - got, got - want)  # rounding at the fourth digit
+
+
 def test_em_finds_the_mixture():
+    """Tokens drawn from 0.6 * p2 + 0.4 * p1 give back 0.6."""
     rng = np.random.default_rng(0)
-    ratio = np.where(rng.random(20_000) < 0.7, 3.0, 0.1)
-    # tokens drawn from 0.6 * p2 + 0.4 * p1 favour high ratios in that proportion
-    keep = rng.random(20_000) < (0.6 * ratio + 0.4) / 3
-    w = lm_scoring.learn_weights(np.ones(keep.sum()), [ratio[keep]], [np.full(keep.sum(), 5)])
-    assert 0 < w[0, 5] < 1 and w[0, 0] == 0
+    ratios = np.array([3.0, 0.1, 0.5])
+    p1 = np.array([0.2, 0.5, 0.3])
+    p2 = p1 * ratios  # 0.6 + 0.05 + 0.15, the rest on unseen outcomes of ratio 1
+    law = np.append(0.6 * p2 + 0.4 * p1, 0.6 * (1 - p2.sum()))
+    drawn = rng.choice(4, 200_000, p=law / law.sum())
+    r = np.append(ratios, (1 - p2.sum()) / 1e-9)[drawn]
+    w = lm_scoring.learn_weights(np.ones(len(r)), [r], [np.full(len(r), 5)])
+    assert abs(w[0, 5] - 0.6) < 0.02 and w[0, 0] == 0
 
 
 def test_token_counts(spark, docs, given, none):
