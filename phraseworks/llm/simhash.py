@@ -8,14 +8,17 @@ cell the Manhattan bound over all segments comes first, then the exact Hamming d
 spanning forest of its links, so a dense group costs as many rows as it has members. Cells over ``TILE`` points are cut
 into blocks, and each pair of blocks is a task of its own.
 
-SimHash distances of texts as alike as 0.8 spread up to some 14 of 64 bits, where unrelated texts begin to meet. So
-``similar`` asks more of a link: that share of the two texts' shingles (as sets, common ones over all) must be equal. A
-signature of 16 minimum hashes travels with the point and takes out pairs that are far below the share; what it leaves
-only proposes groups. The sets of a group's texts then meet once, and every link of the result was compared on them.
+SimHash distances of texts as alike as 0.8 spread up to some 14 of 64 bits, where unrelated texts begin to meet and the grid
+is no filter any more. So with ``similar`` the grid, at its small limit, proposes one part of the pairs, and a banded
+signature of minimum hashes the other: texts that agree in all ``ROWS`` places of one of ``BANDS`` bands meet in a cell, where
+the first ``PLACES`` bytes of the signature take out pairs that are far below the share. Two sets 0.8 alike share no band
+with a probability of 0.003. What both leave only proposes groups: the shingle sets (64-bit hashes, common ones over all) of a
+group's texts then meet once, and every link of the result was compared on them and is at least ``similar``.
 
 Edge cases: null and empty texts have fingerprint zero and link like any other; texts of fewer words than a shingle are
-one shingle; very long texts are hashed whole; rows with equal fingerprints always share a component; an empty table
-gives no rows; repeated ids are fine, null ids never name a component unless a component has no other.
+one shingle; very long texts are hashed whole; rows with equal fingerprints (with ``similar``: equal sets) always share a
+component; an empty table gives no rows; other columns are not read. A component is of texts, not of ids: unlike texts under
+one repeated id stay apart, though they may show the same component_id. Null ids never name a component unless it has no other.
 """
 
 from __future__ import annotations
@@ -36,9 +39,12 @@ TILE = 2048
 SEED = 42
 #: Points with their shingle sets that one task compares with each other.
 SET_TILE = 512
-#: Bytes of a signature, and the odd factors of its hashes.
-PLACES = 16
-_ODD = np.array([int.from_bytes(xxhash.xxh64_digest(bytes([i])), "big") | 1 for i in range(PLACES)], np.uint64)
+#: Bits at which the grid proposes pairs that are then compared on their shingles.
+PROPOSED = 4
+#: Minimum hashes: bands of rows, of which the first PLACES also give a byte each to the signature; the odd factors of the hashes.
+BANDS, ROWS, PLACES = 20, 6, 32
+_ODD = np.array([int.from_bytes(xxhash.xxh64_digest(bytes([i])), "big") | 1 for i in range(BANDS * ROWS)], np.uint64)
+_FOLD = np.array([int.from_bytes(xxhash.xxh64_digest(bytes([i, 1])), "big") | 1 for i in range(ROWS)], np.uint64)
 _PAIRS = np.uint64(0x5555555555555555)
 
 
@@ -61,13 +67,24 @@ def fingerprint(found: list[int]) -> int:
     return int.from_bytes(np.packbits(2 * sums > len(found)).tobytes(), "big")
 
 
-def signature(found: list[int]) -> bytes:
-    """A byte of each of PLACES minimum hashes."""
-    if not found:
-        return bytes(PLACES)
-    h = np.array(found, np.uint64)
-    lows = np.array([((h ^ (h >> np.uint64(31))) * a).min() for a in _ODD], np.uint64)
-    return ((lows * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(56)).astype(np.uint8).tobytes()
+def least_hashes(found: list[int]) -> np.ndarray:
+    """The minimum of each hash function over the shingles."""
+    h, lows = np.array(found, np.uint64), np.full(len(_ODD), np.iinfo(np.uint64).max, np.uint64)
+    h ^= h >> np.uint64(31)
+    for i in range(0, len(h), 2048):
+        lows = np.minimum(lows, (_ODD[:, None] * h[i : i + 2048]).min(1))
+    return lows
+
+
+def signature(lows: np.ndarray) -> bytes:
+    """A byte of each of the first PLACES minimum hashes."""
+    return ((lows[:PLACES] * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(56)).astype(np.uint8).tobytes()
+
+
+def bands(lows: np.ndarray) -> bytes:
+    """A key of 64 bits for each band."""
+    keys = (lows.reshape(BANDS, ROWS) * _FOLD).sum(1, dtype=np.uint64)
+    return (keys ^ (keys >> np.uint64(29))).tobytes()
 
 
 def shingles(found: list[int]) -> bytes:
@@ -76,23 +93,31 @@ def shingles(found: list[int]) -> bytes:
 
 
 def similarity(a: np.ndarray, b: np.ndarray) -> float:
-    """Common elements over all of two sets of distinct hashes; 1 for two empty ones."""
-    common = len(np.intersect1d(a, b, assume_unique=True))
-    return common / (len(a) + len(b) - common) if len(a) or len(b) else 1.0
+    """Common elements over all of two sorted sets of distinct hashes; 1 for two empty ones."""
+    if not len(a) or not len(b):
+        return float(len(a) == len(b))
+    few, many = (a, b) if len(a) < len(b) else (b, a)
+    common = int((many[np.minimum(np.searchsorted(many, few), len(many) - 1)] == few).sum())
+    return common / (len(a) + len(b) - common)
 
 
 def fingerprints(docs: DataFrame, shingle: int, id_col: str = "doc_id", text_col: str = "text", signed: bool = False) -> DataFrame:
-    """id, print (the 64 bits as a signed long)[, sign binary, digest binary (of the set of shingles)]."""
+    """id, print (the 64 bits as a signed long)[, body (64-bit hash of the text), digest (128 bits of the set of shingles), sign, bands]."""
 
     def make():
-        def work(keys, texts):
+        def work(keys, texts, *bodies):
             found = [hashes(t, shingle) for t in texts]
             prints = np.array([fingerprint(h) for h in found], dtype=np.uint64).view(np.int64)
-            return {id_col: keys, "print": prints} | ({"sign": [signature(h) for h in found], "digest": [xxhash.xxh128_digest(shingles(h)) for h in found]} if signed else {})
+            if not signed:
+                return {id_col: keys, "print": prints}
+            lows = [least_hashes(h) for h in found]
+            return {id_col: keys, "print": prints, "body": bodies[0], "digest": [xxhash.xxh128_digest(shingles(h)) for h in found], "sign": [signature(x) for x in lows], "bands": [bands(x) if h else b"" for x, h in zip(lows, found, strict=True)]}
 
         return work
 
-    return map_rows(docs.select(F.col(id_col).cast("long").alias(id_col), F.col(text_col).cast("string").alias(text_col)), make, f"{id_col} long, print long" + ", sign binary, digest binary" * signed)
+    text = F.col(text_col).cast("string")
+    rows = docs.select(F.col(id_col).cast("long").alias(id_col), text.alias("text"), *([F.xxhash64(text).alias("body")] if signed else []))
+    return map_rows(rows, make, f"{id_col} long, print long" + ", body long, digest binary, sign binary, bands binary" * signed)
 
 
 def counts_of(prints: np.ndarray) -> np.ndarray:
@@ -150,14 +175,14 @@ def forest(both: np.ndarray, cut: int | None, limit: int, signs: np.ndarray | No
     for first in range(0, rows, 32):
         block = np.arange(first, min(first + 32, rows))
         start = first + 1 if cut is None else cut
-        i, j = np.nonzero(bound(points[None, start:], points[block, None]) <= limit)
+        apart = label[block, None] != label[None, start:]  # what is connected needs no further link
+        i, j = np.nonzero(apart & (bound(points[None, start:], points[block, None]) <= limit) if limit < 64 else apart)
         i, j = block[i], j + start
-        keep = label[i] != label[j]
         if cut is None:
-            keep &= j > i
-        i, j = i[keep], j[keep]
-        keep = np.bitwise_count(both[i] ^ both[j]) <= limit
-        i, j = i[keep], j[keep]
+            i, j = i[j > i], j[j > i]
+        if limit < 64:
+            keep = np.bitwise_count(both[i] ^ both[j]) <= limit
+            i, j = i[keep], j[keep]
         if signs is not None and len(i):
             keep = (signs[i] == signs[j]).sum(1) >= agree
             i, j = i[keep], j[keep]
@@ -190,22 +215,35 @@ def _cell_rows(prints: DataFrame, limit: int) -> DataFrame:
     return prints.mapInArrow(run, "grp int, cell long, " + ", ".join(f"{n} {t}" for n, t in prints.dtypes).replace("bigint", "long"))
 
 
-def links(prints: DataFrame, limit: int, similar: float | None = None) -> DataFrame:
-    """Links (u, v) that span the same components as all pairs of distinct prints within ``limit`` bits. With ``similar``, prints has
-    also node (long) and sign, links are between nodes and need nearly that share of equal places in the signatures: they propose
-    groups, and ``verified_links`` looks at the shingles."""
-    extra = ["node", "sign"] if similar is not None else []
-    rows = settle(_cell_rows(prints.select("print", *extra) if extra else prints.select("print").distinct(), limit), "simhash-cells")
-    return _compared(rows, limit, TILE, similar)
+def links(prints: DataFrame, limit: int) -> DataFrame:
+    """Links (u, v) that span the same components as all pairs of distinct prints within ``limit`` bits."""
+    return _compared(settle(_cell_rows(prints.select("print").distinct(), limit), "simhash-cells"), limit, TILE)
+
+
+def banded_links(texts: DataFrame, similar: float) -> DataFrame:
+    """Links (u, v) between nodes of texts (node, print, sign, bands) that share a band and nearly a share ``similar`` of equal places:
+    they span the same components as all such pairs."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for start in range(0, whole.num_rows, 4096):
+                part = whole.slice(start, 4096)
+                keys = [np.frombuffer(x, np.int64) for x in part.column(3).to_pylist()]
+                at = np.repeat(np.arange(len(keys)), [len(k) for k in keys])
+                group = np.concatenate([np.arange(len(k), dtype=np.int32) for k in keys]) if keys else np.zeros(0, np.int32)
+                yield pa.RecordBatch.from_arrays([pa.array(group), pa.array(np.concatenate(keys) if keys else np.zeros(0, np.int64)), *(part.column(i).take(pa.array(at)) for i in (1, 0, 2))], ["grp", "cell", "print", "node", "sign"])
+
+    rows = texts.select("node", "print", "sign", "bands").mapInArrow(run, "grp int, cell long, print long, node long, sign binary")
+    return _compared(settle(rows, "simhash-bands"), 64, TILE, similar)
 
 
-def verified_links(points: DataFrame, limit: int, similar: float) -> DataFrame:
-    """Links (u, v) that span the same components as all pairs within ``limit`` bits, with nearly a share ``similar`` of equal places and
+def verified_links(points: DataFrame, similar: float) -> DataFrame:
+    """Links (u, v) that span the same components as all pairs of a proposed group with nearly a share ``similar`` of equal places and
     with shingle sets at least ``similar`` alike. points: root (of the proposed group), print, node, sign, shingles."""
-    return _compared(points.select(F.lit(0).alias("grp"), F.col("root").alias("cell"), "print", "node", "sign", "shingles"), limit, SET_TILE, similar)
+    return _compared(points.select(F.lit(0).alias("grp"), F.col("root").alias("cell"), "print", "node", "sign", "shingles"), 64, SET_TILE, similar)
 
 
-def _compared(rows: DataFrame, limit: int, tile: int, similar: float | None) -> DataFrame:
+def _compared(rows: DataFrame, limit: int, tile: int, similar: float | None = None) -> DataFrame:
     """Spanning links of the points in each cell: rows (grp, cell, print[, node, sign[, shingles]])."""
     extra = [c for c in ("node", "sign", "shingles") if c in rows.columns]
     signed, exact = "sign" in extra, "shingles" in extra
@@ -267,42 +305,75 @@ def _compared(rows: DataFrame, limit: int, tile: int, similar: float | None) ->
     return tiled.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(run, "u long, v long").distinct()
 
 
-def near_duplicates(docs: DataFrame, shingle: int = 5, limit: int = 11, similar: float | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def near_duplicates(docs: DataFrame, shingle: int = 5, limit: int = 4, similar: float | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """A row a document: id, fingerprint (16 lowercase hex digits), component_id (least id of the component). Documents link when
-    their prints differ in at most ``limit`` bits and, with ``similar``, their sets of shingles are at least that much alike."""
-    signed = similar is not None
-    keys = ["print", "digest"] if signed else ["print"]
-    rows = settle(fingerprints(docs, shingle, id_col, text_col, signed), "fingerprints")
-    least = rows.groupBy(*keys).agg(F.min(id_col).alias("low"), *([F.min("sign").alias("sign")] if signed else []))
-    if not signed:
+    their prints differ in at most ``limit`` bits; with ``similar``, when their sets of shingles are at least that much alike."""
+    if similar is not None:
+        rows, named = _similar_groups(docs, shingle, similar, id_col, text_col)
+        names = settle(named.groupBy("root").agg(F.min("low").alias("component_id")), "simhash-names")
+        ids = settle(named.join(names, "root").select(F.col("digest").alias("key"), "component_id"), "simhash-ids")
+        found = rows.join(ids, F.col("digest") == F.col("key"), "left")
+    else:
+        rows = settle(fingerprints(docs, shingle, id_col, text_col), "fingerprints")
+        least = rows.groupBy("print").agg(F.min(id_col).alias("low"))
         nodes = components(links(rows, limit), "simhash-components")
-        named = least.join(nodes, F.col("print") == F.col("node"), "left").select(*keys, "low", F.coalesce("component", "print").alias("root"))
-    else:  # a text's node is the least id that has it; texts of null ids alone have none and stay by themselves
-        texts = settle(least.where("low IS NOT NULL").withColumnRenamed("low", "node"), "simhash-texts")
-        found = components(links(texts, limit, similar), "simhash-groups")
-        # a group's least node has no row of its own
-        groups = found.union(found.select("component", "component").distinct()).toDF("member", "root")
-        points = settle(_with_shingles(docs, texts.join(groups, F.col("node") == F.col("member")).select("node", *keys, "sign", "root"), shingle, id_col, text_col), "simhash-shingles")
-        nodes = components(verified_links(points, limit, similar), "simhash-components")
-        named = least.join(nodes, F.col("low") == F.col("node"), "left").select(*keys, "low", F.coalesce("component", "low").alias("root"))
-    lows = named.groupBy("root").agg(F.min("low").alias("component_id"))
-    ids = named.select(*[F.col(k).alias(f"{k}_k") for k in keys], "root").join(lows, "root").drop("root")
-    same = [F.col(k) == F.col(f"{k}_k") for k in keys]
-    return rows.join(ids, same, "left").select(id_col, F.lower(F.lpad(F.hex("print"), 16, "0")).alias("fingerprint"), "component_id")
+        # written before they meet the rows again, so that a join can split a group that holds many of them
+        named = settle(least.join(nodes, F.col("print") == F.col("node"), "left").select("print", "low", F.coalesce("component", "print").alias("root")), "simhash-named")
+        names = settle(named.groupBy("root").agg(F.min("low").alias("component_id")), "simhash-names")
+        ids = settle(named.join(names, "root").select(F.col("print").alias("key"), "component_id"), "simhash-ids")
+        found = rows.join(ids, F.col("print") == F.col("key"), "left")
+    return found.select(id_col, F.lower(F.lpad(F.hex("print"), 16, "0")).alias("fingerprint"), "component_id")
+
+
+def one_of_each(docs: DataFrame, shingle: int = 5, similar: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """docs with one row of each component by ``similar``: the one of the least id (null ids come last, equal ids by a hash of the
+    text); of rows with the same id and text any one. All columns stay as they are."""
+    rows, named = _similar_groups(docs, shingle, similar, id_col, text_col)
+    order = F.struct(F.col(id_col).isNull().alias("last"), F.col(id_col).alias("of_id"), F.col("body").alias("of_body"))
+    per_text = rows.groupBy("digest").agg(F.min(order).alias("first"))
+    firsts = per_text.join(named.select(F.col("digest").alias("key"), "root"), F.col("digest") == F.col("key")).groupBy("root").agg(F.min("first").alias("first")).select("first.of_id", "first.of_body")
+    copies = rows.groupBy(F.col(id_col).alias("row_id"), F.col("body").alias("row_body")).agg(F.count("*").alias("copies"))
+    stay = settle(firsts.join(copies, F.col("of_id").eqNullSafe(F.col("row_id")) & (F.col("of_body") == F.col("row_body"))).select("of_id", "of_body", "copies"), "simhash-stay")
+    # the rows travel as one struct, so that no column of theirs meets a name used here
+    held = docs.select(F.struct(*docs.columns).alias("row"), F.col(id_col).cast("long").alias("held_id"), F.xxhash64(F.col(text_col).cast("string")).alias("held_body"))
+    kept = held.join(stay, F.col("held_id").eqNullSafe(F.col("of_id")) & (F.col("held_body") == F.col("of_body"))).select("row", "held_id", "held_body", "copies")
+    once = kept.where("copies = 1").select("row").unionByName(kept.where("copies > 1").dropDuplicates(["held_id", "held_body"]).select("row"))
+    return once.select(*[F.col("row").getField(c).alias(c) for c in docs.columns])
+
+
+def _similar_groups(docs: DataFrame, shingle: int, similar: float, id_col: str, text_col: str) -> tuple[DataFrame, DataFrame]:
+    """The documents' fingerprint rows, and of each distinct set of shingles: digest, low (its least id), root (a number that the
+    sets of one component share)."""
+    rows = settle(fingerprints(docs, shingle, id_col, text_col, signed=True), "fingerprints")
+    order = F.struct(F.col(id_col).isNull().alias("last"), F.col(id_col).alias("of_id"), F.col("body").alias("of_body"))
+    # a node is a distinct set of shingles, numbered where it is written
+    texts = settle(rows.groupBy("digest").agg(F.min(order).alias("first"), F.min("print").alias("print"), F.min("sign").alias("sign"), F.min("bands").alias("bands")).select(F.monotonically_increasing_id().alias("node"), "digest", "first.of_id", "first.of_body", "print", "sign", "bands"), "simhash-texts")
+    prints = texts.groupBy("print").agg(F.min("node").alias("home"))
+    near = links(texts, PROPOSED)
+    home = lambda c: prints.select(F.col("print").alias(f"{c}_print"), F.col("home").alias(f"{c}_home"))
+    by_grid = near.join(home("u"), F.col("u") == F.col("u_print")).join(home("v"), F.col("v") == F.col("v_print")).select(F.col("u_home").alias("u"), F.col("v_home").alias("v"))
+    same_print = texts.join(prints.withColumnRenamed("print", "p"), F.col("print") == F.col("p")).where("node <> home").select(F.col("node").alias("u"), F.col("home").alias("v"))
+    found = components(by_grid.union(same_print).union(banded_links(texts, similar)), "simhash-groups")
+    # a group's least node has no row of its own
+    groups = found.union(found.select("component", "component").distinct()).toDF("member", "root")
+    members = texts.join(groups, F.col("node") == F.col("member")).select("node", "digest", "of_id", "of_body", "print", "sign", "root")
+    points = settle(_with_shingles(docs, members, shingle, id_col, text_col), "simhash-shingles")
+    nodes = components(verified_links(points, similar), "simhash-components")
+    named = texts.join(nodes.withColumnRenamed("node", "n"), F.col("node") == F.col("n"), "left").select("digest", F.col("of_id").alias("low"), F.coalesce("component", "node").alias("root"))
+    return rows, settle(named, "simhash-named")
 
 
 def _with_shingles(docs: DataFrame, members: DataFrame, shingle: int, id_col: str, text_col: str) -> DataFrame:
-    """members (node, print, digest, sign, root) with shingles, from the documents' texts. A repeated id has only the texts that are
-    members, each as often as it is there."""
-    texts = docs.select(F.col(id_col).cast("long").alias("member"), F.col(text_col).cast("string").alias("body"))
-    rows = texts.join(members, F.col("member") == F.col("node")).select("body", "node", "print", "digest", "sign", "root")
+    """root, print, node, sign, shingles of the members, from the text of one document each; rows that repeat an id and a text meet
+    in the aggregation before they are read."""
+    text = F.col(text_col).cast("string")
+    texts = docs.select(F.col(id_col).cast("long").alias("held_id"), F.xxhash64(text).alias("held_body"), text.alias("held_text"))
+    joined = texts.join(members, F.col("held_id").eqNullSafe(F.col("of_id")) & (F.col("held_body") == F.col("of_body")))
+    rows = joined.groupBy("node").agg(F.min("held_text").alias("held_text"), F.min("print").alias("print"), F.min("sign").alias("sign"), F.min("root").alias("root"))
 
     def make():
-        def work(bodies, nodes, prints, digests, signs, roots):
-            sets = [shingles(hashes(b, shingle)) for b in bodies]
-            keep = [i for i, x in enumerate(sets) if xxhash.xxh128_digest(x) == digests[i]]
-            at = lambda column: [column[i] for i in keep]
-            return {"root": at(roots), "print": at(prints), "node": at(nodes), "sign": at(signs), "shingles": at(sets)}
+        def work(nodes, bodies, prints, signs, roots):
+            return {"root": roots, "print": prints, "node": nodes, "sign": signs, "shingles": [shingles(hashes(b, shingle)) for b in bodies]}
 
         return work
 
