@@ -12,7 +12,8 @@ COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 
 
 def keep_known_languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that language ID rejects go; the others keep all their columns."""
+    """Documents that language ID rejects go: those without a letter, null ones included, and those it is not sure of. The others
+    keep all their columns. Without any labelled row nothing can be judged, and all go."""
     model = language_id.fit(docs, F.lit(True))
     return language_id.predict(docs, model, COLUMNS).where(~F.col("rejected")).select(*COLUMNS)
 
@@ -24,16 +25,13 @@ def drop_boilerplate_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) ->
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The document with the least id of each group stays (one row of it, should the id repeat); null ids stay as they are."""
-    docs = docs.select(*COLUMNS)
-    groups = simhash.near_duplicates(docs, shingle=5, limit=11, similar=0.8)
-    first = groups.where(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias("first_id")).distinct()
-    kept = docs.join(first, F.col("doc_id") == F.col("first_id"), "left_semi").dropDuplicates(["doc_id"])
-    return kept.unionByName(docs.where(F.col("doc_id").isNull())).select(*COLUMNS)
+    """Of each group of texts that links of 0.8 or more on five-word shingles join, the document with the least id stays (null ids
+    come last; of rows that repeat an id and its text one stays). Unlike texts under one id are different documents."""
+    return simhash.one_of_each(docs.select(*COLUMNS), shingle=5, similar=0.8)
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pieces of all documents with their places in sequences of 1024 tokens."""
+    """Pieces of all documents with their places in sequences of 1024 tokens; a null text is empty and has its end id alone."""
     return packing.pack_documents(docs, queries.VOCABULARY, capacity=1024, end_id=2)
 
 
