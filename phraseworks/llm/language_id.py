@@ -6,7 +6,8 @@ labelled rows, ``per_language`` expected for each language (of their whole texts
 temperature for the scores, and the rejection bound, under which that share of good texts lies that may be lost.
 
 Edge cases: null text, or text without a letter, is ``und`` with score 0 and rejected; a null label is not learned from;
-without any labelled row everything is ``und``; very long texts are read whole; repeated rows are judged each.
+without any labelled row everything is ``und``; very long texts are read whole; repeated rows are judged each, null ids too; an
+empty table gives no rows; other columns than those asked for are not read, whatever their names.
 """
 
 from __future__ import annotations
@@ -118,13 +119,15 @@ def train(samples: list[tuple[np.ndarray, np.ndarray, str]], epochs: int = 4, ra
     return model
 
 
-def fit(docs: DataFrame, learn_from: Column, per_language: int = PER_LANGUAGE, text_col: str = "text", lang_col: str = "lang") -> Model:
-    """Train on a random share of the rows of each language, per_language expected, among docs where learn_from holds; features are made where the texts are."""
-    rows = docs.where(learn_from & F.col(lang_col).isNotNull()).select(F.col(text_col).cast("string").alias("text"), F.col(lang_col).cast("string").alias("lang"))
+def fit(docs: DataFrame, learn_from: Column, per_language: int = PER_LANGUAGE, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> Model:
+    """Train on a share of the rows of each language, per_language expected, among docs where learn_from holds. A hash of id and text
+    deals the rows, so the same table gives the same model however it is cut into files. Features are made where the texts are."""
+    text = F.col(text_col).cast("string")
+    rows = docs.where(learn_from & F.col(lang_col).isNotNull()).select(text.alias("text"), F.col(lang_col).cast("string").alias("lang"), F.pmod(F.xxhash64(F.lit("language"), F.col(id_col).cast("long"), text), F.lit(1 << 30)).alias("dealt"))
     sizes = {r["lang"]: r["count"] for r in rows.groupBy("lang").count().collect()}  # a row a language
     if not sizes:
         return train([])
-    # a random share, not a hash of the text: copies of one text must not all come at once
+    # the id is in the hash, so that copies of one text do not all come at once
     share = F.lit(0.0)
     for lang, n in sizes.items():
         share = F.when(F.col("lang") == lang, min(1.0, per_language / n)).otherwise(share)
@@ -132,12 +135,28 @@ def fit(docs: DataFrame, learn_from: Column, per_language: int = PER_LANGUAGE, t
     def make():
         def work(texts, langs):
             found = [np.unique(subwords(t), return_counts=True) for t in texts]
-            return {"lang": langs, "buckets": [b.astype("<u2").tobytes() for b, _ in found], "counts": [c.astype("<u4").tobytes() for _, c in found]}
+            # counts take two bytes where they fit, which the lengths tell
+            return {"lang": langs, "buckets": [b.astype("<u2").tobytes() for b, _ in found], "counts": [c.astype("<u2" if c.max(initial=0) < 1 << 16 else "<u4").tobytes() for _, c in found]}
 
         return work
 
-    table = map_rows(rows.where(F.rand(7) < share), make, "lang string, buckets binary, counts binary").toArrow()
-    return train(sorted(((np.frombuffer(b, "<u2"), np.frombuffer(c, "<u4"), lang) for lang, b, c in zip(*(table.column(x).to_pylist() for x in ("lang", "buckets", "counts")), strict=True)), key=lambda s: (s[2], len(s[0]), s[0].tobytes())))
+    table = map_rows(rows.where(F.col("dealt") < share * (1 << 30)).select("text", "lang"), make, "lang string, buckets binary, counts binary").toArrow()
+    samples = []
+    for batch in table.to_batches():
+        buckets, counts = (_views(batch.column(i)) for i in (1, 2))
+        samples += [(b.view("<u2"), c.view("<u2" if len(c) == len(b) else "<u4"), lang) for b, c, lang in zip(buckets, counts, batch.column(0).to_pylist(), strict=True)]
+    model = train(sorted(samples, key=lambda s: (s[2], len(s[0]), s[0].tobytes(), s[1].tobytes())))
+    del samples, table
+    pa.default_memory_pool().release_unused()
+    return model
+
+
+def _views(column: pa.Array) -> list[np.ndarray]:
+    """The bytes of each value of a binary column, without a copy."""
+    _, offsets, data = column.buffers()
+    ends = np.frombuffer(offsets, np.int32)[column.offset : column.offset + len(column) + 1]
+    flat = np.frombuffer(data, np.uint8) if data else np.zeros(0, np.uint8)
+    return [flat[a:b] for a, b in zip(ends.tolist(), ends[1:].tolist(), strict=False)]
 
 
 def predict(docs: DataFrame, model: Model, keep: list[str], text_col: str = "text") -> DataFrame:
