@@ -2,13 +2,16 @@
 
 On a segment of L components, a.b is at most L * mean(a) * mean(b) + |a - mean(a)| * |b - mean(b)|; summed over segments
 this bounds the whole product from above (the squared distance from below), the more closely the finer the segments.
-Queries and candidates meet in tiles of bounded size. In a tile the candidates that look best at the finest level give
-each query a first k-th score; each level, coarse to fine, then drops the candidates whose bound is under it, and
-survivors get their exact score. Tiles return k rows a query, and the last step keeps the k best of all tiles.
+Queries and candidates meet in tiles of bounded size. In a tile, ``GROUP`` queries of like coarse means go through it together:
+the coarsest level bounds all candidates, and the exact scores of the most promising ones give each query a first k-th score.
+Only candidates that some query of the group may still need go on to the next level, with the columns of that level; those
+left after the finest get exact scores, one by one where few pairs are left. Tiles return k rows a query, and the last step
+keeps the k best of all tiles.
 
 Edge cases: vectors that are null, empty, or hold null or non-finite components take no part; vectors are compared with
 vectors of their own length only; a query is never its own candidate (by id); rows repeating an id and a vector count
-once; ties go to the smaller id; an empty table gives no rows.
+once; ties go to the smaller id; an empty table gives no rows; other columns are not read, whatever their names. Scores are
+exact integers; one beyond the range of a long is cut to it.
 """
 
 from __future__ import annotations
@@ -24,7 +27,9 @@ from .vectors import best, matrix, once, usable
 TILE_ROWS, TILE_QUERIES = 16_384, 4_096
 #: Tiles that even small tables are cut into, for the sake of parallel work.
 LEAST_TILES = 32
-SEGMENTS = (1, 4, 16)
+SEGMENTS = (1, 4, 16, 32)
+#: Queries that go through a tile together, and candidates that give each its first bar.
+GROUP, SEEDS = 64, 64
 
 
 def features(x: np.ndarray, segments: int) -> np.ndarray:
@@ -35,40 +40,59 @@ def features(x: np.ndarray, segments: int) -> np.ndarray:
     return np.hstack([means * np.sqrt([len(c) for c in cuts]), rest])
 
 
-def tile_top(q_ids: np.ndarray, q: np.ndarray, ids: np.ndarray, x: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, float]:
-    """(place of the query, id, score) of the k best in one tile, and the share of pairs that needed an exact score."""
-    exact_floats = np.abs(q).max(initial=0) * np.abs(x).max(initial=0) * max(1, x.shape[1]) < 2**53
-    if not exact_floats:
-        q, x = q.astype(np.int64), x.astype(np.int64)
-    far = np.iinfo(np.int64).min
-    fq, fx = q.astype(np.float64), x.astype(np.float64)
-    slack = 1e-9 * np.outer(np.linalg.norm(fq, axis=1), np.linalg.norm(fx, axis=1)) + 1e-6
-    levels = [(features(fq, s), features(fx, s)) for s in SEGMENTS]
-    other = q_ids[:, None] != ids[None, :]
-    looks = np.where(other, levels[-1][0] @ levels[-1][1].T, -np.inf)
-    take = min(k, len(ids))
-    first = np.argpartition(-looks, take - 1, axis=1)[:, :take]
-    seeds = np.einsum("qd,qkd->qk", q, x[first]).astype(np.float64)
-    seeds[~np.take_along_axis(other, first, 1)] = -np.inf
-    floor = seeds.min(1) if take == k else np.full(len(q), -np.inf)
-    alive = other
-    for a, b in levels:
-        alive = alive & (a @ b.T + slack >= floor[:, None])
-    at = np.nonzero(alive)
-    share = len(at[0]) / max(1, alive.size)
-    scores = np.full(alive.shape, far, np.int64)
-    if share > 0.05:
-        scores = np.where(alive, np.rint(q @ x.T).astype(np.int64) if exact_floats else q @ x.T, far)
-    else:
-        for s in range(0, len(at[0]), 65_536):
-            i, j = at[0][s : s + 65_536], at[1][s : s + 65_536]
-            scores[i, j] = np.einsum("nd,nd->n", q[i], x[j]).astype(np.int64)
-    out = []
-    for i in range(len(q)):
-        live = np.flatnonzero(alive[i])
-        top = live[best(ids[live], scores[i, live], k)]
-        out.append((np.full(len(top), i), ids[top], scores[i, top]))
-    return (*(np.concatenate(c) for c in zip(*out, strict=True)), share)
+def _products(q: np.ndarray, x: np.ndarray) -> np.ndarray:
+    """Exact inner products of all rows of q and x: in floats while they hold them, in longs, or in Python's numbers cut to longs."""
+    most = float(np.abs(q).max(initial=0)) * float(np.abs(x).max(initial=0)) * max(1, x.shape[1])
+    if most < 2**53:
+        return np.rint(q @ x.T).astype(np.int64)
+    if most < 2**62:
+        return q.astype(np.int64) @ x.astype(np.int64).T
+    whole = [[sum(int(a) * int(b) for a, b in zip(r, c, strict=True)) for c in x] for r in q]
+    return np.array([[max(-(1 << 63), min((1 << 63) - 1, v)) for v in r] for r in whole], np.int64).reshape(len(q), len(x))
+
+
+def tile_top(q_ids: np.ndarray, q: np.ndarray, ids: np.ndarray, x: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, list[float]]:
+    """(place of the query, id, score) of the k best in one tile, and the share of all pairs that each level looked at, the exact
+    scores last."""
+    sizes = [s for s in SEGMENTS if s == 1 or s < x.shape[1]]
+    q_levels, levels = [features(q, s) for s in sizes], [features(x, s) for s in sizes]
+    q_norm, norm = np.linalg.norm(q, axis=1), np.linalg.norm(x, axis=1)
+    looked, out = np.zeros(len(sizes) + 1), []
+    # queries whose means have like signs and sizes meet in a group, so that they need like candidates
+    order = np.lexsort(np.vstack([q_levels[0][:, 0], *(features(q, 4)[:, :4] > 0).T]))
+    for begin in range(0, len(order), GROUP):
+        rows = order[begin : begin + GROUP]
+        slack = lambda cols, rows=rows: 1e-9 * np.outer(q_norm[rows], norm[cols]) + 1e-6
+        cols = np.arange(len(ids))
+        alive = q_ids[rows, None] != ids[None, :]
+        bounds = np.where(alive, q_levels[0][rows] @ levels[0].T + slack(cols), -np.inf)
+        looked[0] += bounds.size
+        take = min(max(SEEDS, 4 * k), len(ids))
+        first = np.argpartition(-bounds, take - 1, axis=1)[:, :take]
+        seeds = np.einsum("qd,qsd->qs", q[rows], x[first])
+        seeds = np.where(np.take_along_axis(alive, first, 1), seeds, -np.inf)
+        bar = -np.partition(-seeds, k - 1, axis=1)[:, k - 1] if take >= k else np.full(len(rows), -np.inf)
+        # scores beyond a long are equal, so no bar is higher than the highest of them
+        bar = np.minimum(bar, 2.0**63) - 1e-9 * q_norm[rows] * norm.max(initial=0) - 1e-6
+        alive &= bounds >= bar[:, None]
+        for n, (mine, theirs) in enumerate(zip(q_levels[1:], levels[1:], strict=True), 1):
+            needed = alive.any(0)
+            cols, alive = cols[needed], alive[:, needed]
+            alive &= mine[rows] @ theirs[cols].T + slack(cols) >= bar[:, None]
+            looked[n] += alive.size
+        needed = alive.any(0)
+        cols, alive = cols[needed], alive[:, needed]
+        if alive.mean() > 0.05 if alive.size else False:
+            scores = _products(q[rows], x[cols])
+            looked[-1] += alive.size
+            lists = [(np.flatnonzero(a), s[a]) for a, s in zip(alive, scores, strict=True)]
+        else:
+            lists = [(at, _products(q[r : r + 1], x[cols[at]])[0]) for r, at in zip(rows, map(np.flatnonzero, alive), strict=True)]
+            looked[-1] += alive.sum()
+        for r, (at, scores) in zip(rows, lists, strict=True):
+            top = best(ids[cols[at]], scores, k)
+            out.append((np.full(len(top), r), ids[cols[at[top]]], scores[top]))
+    return (*(np.concatenate(c) for c in zip(*out, strict=True)), (looked / max(1, len(q) * len(ids))).tolist())
 
 
 def top_products(rows: DataFrame, is_query: Column, k: int = 10, scale: int = 1024, id_col: str = "vec_id", vec_col: str = "embedding") -> DataFrame:
