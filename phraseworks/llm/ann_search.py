@@ -6,9 +6,12 @@ products with all codewords) scores the codes, and the best ``rerank`` codes of
 original vectors. A list longer than ``TILE_ROWS`` is cut into tiles, as are the queries that visit it, so no list is one
 task's work. The probes are as many as the sample needs to hold ``TARGET`` of its true neighbours.
 
-Edge cases: vectors that are null, zero, or hold null or non-finite components take no part, nor do vectors of another
-length than the most frequent one; rows repeating an id and a vector count once; a query is never its own candidate (by id); ties go to the smaller id; probes go on
-until they hold more than k rows, so small tables return all candidates; an empty table gives no rows.
+Vectors meet vectors of their own length. The most frequent length, and others with over ``FEW`` vectors (at most ``INDEXES``
+lengths), have an index each; the vectors of rarer lengths are compared with each other exactly, in tiles.
+
+Edge cases: vectors that are null, empty, zero, or hold null or non-finite components take no part; rows repeating an id and a
+vector count once; a query is never its own candidate (by id); ties go to the smaller id; probes go on until they hold more
+than k rows, so small tables return all candidates; an empty table gives no rows; other columns are not read, whatever their names.
 """
 
 from __future__ import annotations
@@ -27,6 +30,7 @@ from .vectors import best, matrix, once, usable
 SAMPLE, TARGET, MOST_LISTS = 20_000, 0.97, 1024
 TILE_ROWS, TILE_QUERIES = 4_096, 2_048
 WORDS, PART = 256, 4
+FEW, INDEXES = 4_096, 16
 
 
 def lloyd(x: np.ndarray, k: int, rounds: int, rng: np.random.Generator) -> np.ndarray:
@@ -86,12 +90,53 @@ def nearest(rows: DataFrame, is_query: Column, k: int = 5, rerank: int = 128, id
     """query_id, rank (from 1), the candidate's id under id_col's name, score (cosine) of the k nearest found for each row where
     is_query, a condition on column ``id``, holds."""
     good = usable(rows, id_col, vec_col, nonzero=True)
-    spark = rows.sparkSession
-    result = "query_id long, rank int, id long, score double"
-    dims = good.groupBy(F.size("vec").alias("dim")).count().orderBy(F.desc("count"), "dim").first()
-    if dims is None:
-        return spark.createDataFrame([], result).withColumnRenamed("id", id_col)
-    good, n = good.where(F.size("vec") == dims["dim"]), dims["count"]
+    sizes = good.groupBy(F.size("vec").alias("dim")).count()
+    dims = sizes.orderBy(F.desc("count"), "dim").limit(INDEXES).collect()
+    dims = [r for i, r in enumerate(dims) if i == 0 or r["count"] > FEW]
+    tops = [_indexed(good.where(F.size("vec") == r["dim"]), r["count"], is_query, k, rerank) for r in dims]
+    rest = good.where(~F.size("vec").isin([r["dim"] for r in dims])) if dims else good
+    if not dims or sizes.count() > len(dims):
+        tops.append(_compared(rest, is_query, k))
+    found = tops[0]
+    for t in tops[1:]:
+        found = found.unionByName(t)
+    rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "id"))
+    return found.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), F.col("id").alias(id_col), "score")
+
+
+def _compared(good: DataFrame, is_query: Column, k: int) -> DataFrame:
+    """query_id, id, score of the k nearest in each tile, by all cosines within a length."""
+    n, n_q = (v or 0 for v in good.agg(F.count("*"), F.sum(is_query.cast("long"))).first())
+    tiles, q_tiles = max(1, -(-n // TILE_ROWS)), max(1, -(-n_q // TILE_QUERIES))
+    every = lambda count: F.explode(F.sequence(F.lit(0), F.lit(count - 1)))
+    mine = lambda count: F.pmod(F.xxhash64("id"), F.lit(count)).cast("int")
+    left = good.where(is_query).select(F.size("vec").alias("dim"), every(tiles).alias("tile"), mine(q_tiles).alias("q_tile"), "id", "vec")
+    right = good.select(F.size("vec").alias("dim"), mine(tiles).alias("tile"), every(q_tiles).alias("q_tile"), "id", "vec")
+    keys = ["dim", "tile", "q_tile"]
+
+    def run(queries: pa.Table, candidates: pa.Table) -> pa.Table:
+        out = [(np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0))]
+        if len(queries) and len(candidates):
+            sides = []
+            for t in (queries, candidates):
+                ids, x = t.column("id").to_numpy(), matrix(t.column("vec"))
+                keep = once(ids, x)
+                sides.append((ids[keep], x[keep]))
+            (q_ids, q), (ids, x) = sides
+            for i in range(len(q_ids)):
+                near = np.flatnonzero(ids != q_ids[i])
+                scores = exact_cosines(q[i], x[near])
+                top = best(ids[near], scores, k)
+                out.append((np.full(len(top), q_ids[i]), ids[near[top]], scores[top]))
+        cols = [np.concatenate(c) for c in zip(*out, strict=True)]
+        return pa.table({"query_id": cols[0], "id": cols[1], "score": cols[2]})
+
+    return left.groupBy(*keys).cogroup(right.groupBy(*keys)).applyInArrow(run, "query_id long, id long, score double")
+
+
+def _indexed(good: DataFrame, n: int, is_query: Column, k: int, rerank: int) -> DataFrame:
+    """query_id, id, score of the k nearest in each tile of the lists that a query visits; vectors of one length."""
+    spark = good.sparkSession
     share = min(1.0, 1.1 * SAMPLE / n)
     taken = good.where(F.pmod(F.xxhash64("id", F.lit(11)), F.lit(1 << 30)) < F.lit(int(share * (1 << 30)))) if share < 1 else good
     sample = matrix(taken.select("vec").limit(SAMPLE).toArrow().column(0))
@@ -160,6 +205,4 @@ def nearest(rows: DataFrame, is_query: Column, k: int = 5, rerank: int = 128, id
         cols = [np.concatenate(c) for c in zip(*out, strict=True)] if out else [np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)]
         return pa.table({"query_id": cols[0], "id": cols[1], "score": cols[2]})
 
-    tops = left.groupBy(*keys).cogroup(right.groupBy(*keys)).applyInArrow(run, "query_id long, id long, score double")
-    rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "id"))
-    return tops.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), F.col("id").alias(id_col), "score")
+    return left.groupBy(*keys).cogroup(right.groupBy(*keys)).applyInArrow(run, "query_id long, id long, score double")
