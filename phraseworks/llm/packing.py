@@ -7,9 +7,9 @@ weighted norm of what would remain (or the largest weighted dot-product of deman
 Pieces are dealt to tasks of bounded size by a hash. Bins that a task fills to ``CLOSE`` of the tokens are final; the
 pieces of its other bins meet again in fewer tasks, until one task holds all that is left.
 
-Edge cases: null text is empty and still is one piece of length 1 (its end id); texts of any length are tokenised whole;
-only documents over the capacity are cut, the short piece first; repeated rows are packed each; an empty table gives no
-rows.
+Edge cases: null text is empty and still is one piece of length 1 (its end id); texts of any length are tokenised whole, and the
+string of a special token in them is that token; only documents over the capacity are cut, the short piece first; repeated
+rows are packed each; rows with a null id are packed under it; an empty table gives no rows; other columns are not read.
 """
 
 from __future__ import annotations
@@ -36,10 +36,12 @@ def byte_letters() -> dict[str, int]:
     return {chr(b): b for b in plain} | {chr(256 + i): b for i, b in enumerate(rest)}
 
 
-@lru_cache(maxsize=2)
-def encoder(path: str):
-    """Function from texts to id lists for a tokenizer file, without special tokens. A byte-level file whose merges are in the
-    order of their ids is run by the faster rank-based encoder, which then gives the same ids; any other by its own library."""
+@lru_cache(maxsize=4)
+def encoder(path: str, special: bool = True):
+    """Function from texts to id lists for a tokenizer file, as its library gives them with add_special_tokens=False: none is put
+    before or behind, but the string of a special token in a text is that token; with special=False it is ordinary text. A
+    byte-level file whose merges are in the order of their ids is run by the faster rank-based encoder, which then gives the
+    same ids; texts that hold a special token's string, and all texts of any other file, by the file's own library."""
     import tiktoken
     from tokenizers import Tokenizer
 
@@ -49,17 +51,20 @@ def encoder(path: str):
     letters, vocab = byte_letters(), model.get("vocab", {})
     merges = [m if isinstance(m, str) else " ".join(m) for m in model.get("merges", [])]
     made = [vocab.get(m.replace(" ", "")) for m in merges]
+    own = Tokenizer.from_file(path)
+    own.encode_special_tokens = not special
+    by_library = lambda texts: [x.ids for x in own.encode_batch(texts, add_special_tokens=False)]
     ranked = model.get("type") == "BPE" and pre.get("type") == "ByteLevel" and not pre.get("add_prefix_space") and not spec.get("normalizer") and None not in made and made == sorted(set(made))
-    if ranked:
-        special = {t["content"] for t in spec.get("added_tokens", [])}
-        ranks = {bytes(letters[c] for c in w): i for w, i in vocab.items() if w not in special}
+    added = {t["content"] for t in spec.get("added_tokens", [])}
+    plain = all(t.get("special") for t in spec.get("added_tokens", []))
+    if ranked and plain:
+        ranks = {bytes(letters[c] for c in w): i for w, i in vocab.items() if w not in added}
         pattern = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""  # fixed value of the byte-level pre-tokenizer
         if len(ranks) == 256 + len(merges):
-            own = tiktoken.Encoding("own", pat_str=pattern, mergeable_ranks=ranks, special_tokens={})
-            return lambda texts: [own.encode_ordinary(t) for t in texts]
-    own = Tokenizer.from_file(path)
-    own.encode_special_tokens = True
-    return lambda texts: [x.ids for x in own.encode_batch(texts, add_special_tokens=False)]
+            fast = tiktoken.Encoding("own", pat_str=pattern, mergeable_ranks=ranks, special_tokens={})
+            marks = added if special else ()
+            return lambda texts: [by_library([t])[0] if any(m in t for m in marks) else fast.encode_ordinary(t) for t in texts]
+    return by_library
 
 
 PIECE = "doc_id long, piece int, start long, length long, ids_crc32 long"
