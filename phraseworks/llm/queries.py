@@ -80,7 +80,7 @@ def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
-    labelled = [(u.split("://", 1)[1].split("/", 1)[0], "/" + u.split("://", 1)[1].split("/", 1)[1], y) for u, y in url_table.LABELLED]
+    labelled = [(*url_filters.split(u), y) for u, y in url_table.labelled()]
     return url_filters.judge(table(spark, sf_dir, "pages"), RULES, url_filters.train(labelled))
 
 

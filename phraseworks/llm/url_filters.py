@@ -2,8 +2,13 @@
 
 The regression is trained in numpy from a small table of labelled URLs (1: block). Host and path n-grams are hashed apart.
 
+The regression knows words by their n-grams: it blocks what shares them with the table's blocked hosts or paths, and a word
+unlike any in the table is no evidence.
+
 Edge cases: a null URL or one without ``://`` has an empty host and path, fits no rule and gets the verdict of the empty
-feature set; very long URLs are read whole; repeated rows are judged each; other columns are not read.
+feature set; very long URLs are read whole; repeated rows are judged each, null ids too; an empty table gives no rows; without
+any labelled URL all is allowed (score 0.5 is under no bound of 0.5, so the bound is passed strictly); other columns are
+not read, whatever their names.
 """
 
 from __future__ import annotations
@@ -17,7 +22,7 @@ from pyspark.sql import functions as F
 
 from .common import map_rows
 
-DIM, GRAMS = 1 << 14, (3, 4, 5)
+DIM, GRAMS = 1 << 18, (3, 4, 5)
 
 
 @dataclass(frozen=True)
@@ -68,10 +73,20 @@ class Model:
         return 1 / (1 + float(np.exp(-np.clip(self.weights[f].sum() / np.sqrt(max(1, len(f))) + self.bias, -50, 50))))
 
 
-def train(labelled: list[tuple[str, str, int]], epochs: int = 200, rate: float = 0.5, decay: float = 1e-4, seed: int = 3) -> Model:
+def split(url: str) -> tuple[str, str]:
+    """Host and path of one URL of the training table, as ``parts`` gives them."""
+    _, mark, rest = url.partition("://")
+    cut = min((rest.find(c) for c in "/?#" if c in rest), default=len(rest))
+    path = rest[cut:] if mark else ""
+    return (rest[:cut].translate({i: i + 32 for i in range(65, 91)}) if mark else ""), path[: min((path.find(c) for c in "?#" if c in path), default=len(path))]
+
+
+def train(labelled: list[tuple[str, str, int]], epochs: int = 40, rate: float = 0.5, decay: float = 1e-4, seed: int = 3) -> Model:
     """labelled: host, path, 1 to block or 0."""
-    model, rng = Model(np.zeros(DIM), 0.0), np.random.default_rng(seed)
-    data = [(features(h, p), y) for h, p, y in labelled]
+    data, rng = [(features(h, p), y) for h, p, y in labelled], np.random.default_rng(seed)
+    blocked = sum(y for *_, y in labelled)
+    # the shares of the labels, held fixed, so that a URL without evidence gets the more common verdict
+    model = Model(np.zeros(DIM), float(np.log((1 + blocked) / (1 + len(labelled) - blocked))))
     for epoch in range(epochs):
         step = rate / (1 + epoch / 20)
         for i in rng.permutation(len(data)):
@@ -79,7 +94,6 @@ def train(labelled: list[tuple[str, str, int]], epochs: int = 200, rate: float =
             size = np.sqrt(max(1, len(f)))
             error = 1 / (1 + np.exp(-np.clip(model.weights[f].sum() / size + model.bias, -50, 50))) - y
             model.weights[f] -= step * (error / size + decay * model.weights[f])
-            model.bias -= 0.1 * step * error
     return model
 
 
@@ -93,5 +107,5 @@ def judge(pages: DataFrame, rules: list[Rule], model: Model, id_col: str = "page
 
     scored = map_rows(rows, make, f"{id_col} long, host string, path string, block_score double")
     rule, verdict = match(F.col("host"), F.col("path"), rules)
-    learned = F.when(F.col("block_score") >= bound, "block").otherwise("allow")
+    learned = F.when(F.col("block_score") > bound, "block").otherwise("allow")
     return scored.select(id_col, "host", "path", rule.alias("rule"), F.coalesce(verdict, learned).alias("verdict"), "block_score")
