@@ -6,7 +6,8 @@ threshold decide at once, lines whose estimate is near it get an exact distinct
 
 Edge cases: lines compare after trimming blanks, tabs and carriage returns; blank lines are never counted or removed;
 null text stays null and has no lines; a null site counts as no site; a null id neither keeps nor loses lines of its
-own (its text is unchanged); repeated rows of one id count as one document; other columns pass through unread.
+own (its text is unchanged); repeated rows of one id count as one document; other columns pass through unread, whatever their
+names; an empty table gives an empty table. A line is its 64-bit hash: two that collide count as one.
 """
 
 from __future__ import annotations

@@ -11,8 +11,8 @@ passes through the driver: it gets the totals N and V and the histogram for the
 (class and quarter octave of each order above the base). An n-gram is its 64-bit hash: two that collide count as one.
 
 Edge cases: null text is empty and has only its end token; very long texts are scored whole; repeated rows count and are
-scored each; a null id falls into fold 0 and is in training; an empty table gives no rows; where nothing is in training
-all counts are 0 and the score is the base score.
+scored each; a null id falls into fold 0 and is in training; an empty table gives no rows; other columns are not read, whatever
+their names; where nothing is in training all counts are 0 and the score is the base score.
 """
 
 from __future__ import annotations

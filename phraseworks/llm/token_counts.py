@@ -1,12 +1,13 @@
 """Edit-aware token counts: a segment tree over the pre-tokens of each document.
 
 A leaf holds pre-tokens with their lengths and token counts, an inner node the sums below it. An edit encodes again
-only the pre-tokens that it touches and those behind it up to the first old border that the new text shares; then the
-sums on the way to the root are corrected. The total is the root's sum.
+only the pre-tokens that it touches, those of a run of blanks before it, and those behind it up to the first old border that
+the new text shares; then the sums on the way to the root are corrected. The total is the root's sum.
 
 Edge cases: null text is empty and counts 0; an empty document takes edits at 0; edits with null or out-of-range
 offsets are cut to the text; edits apply in order, each to the text the earlier ones left; repeated document rows get
-the same edits each; edits of unknown documents have no effect.
+the same edits each; edits of unknown documents have no effect; documents with a null id are counted and take no edits; an
+empty table gives no rows; other columns are not read, whatever their names.
 """
 
 from __future__ import annotations
@@ -74,7 +75,11 @@ class PieceTree:
         end = max(start, min(end, len(self.text)))
         shift = len(new) - (end - start)
         self.text = self.text[:start] + new + self.text[end:]
-        first, begin = self._leaf_at(max(0, start - 1))
+        # where a run of blanks is cut depends on what follows it, so the run before the edit is scanned anew as well
+        back = start
+        while back and self.text[back - 1].isspace():
+            back -= 1
+        first, begin = self._leaf_at(max(0, back - 1))
         fresh, scan = [], self.bpe.matches(self.text, begin)
         leaf, border = first, begin  # old pieces up to the old offset ``border`` are replaced
         at, kept = begin, []
