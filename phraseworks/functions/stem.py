@@ -6,13 +6,13 @@ import re
 from functools import lru_cache
 
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 # fixed values: suffixes of steps 2, 3 and 4 with their replacements
-_STEP2 = {"ational": "ate", "tional": "tion", "enci": "ence", "anci": "ance", "izer": "ize", "abli": "able", "alli": "al", "entli": "ent", "eli": "e", "ousli": "ous", "ization": "ize", "ation": "ate", "ator": "ate", "alism": "al", "iveness": "ive", "fulness": "ful", "ousness": "ous", "aliti": "al", "iviti": "ive", "biliti": "ble"}
-_STEP3 = {"icate": "ic", "ative": "", "alize": "al", "iciti": "ic", "ical": "ic", "ful": "", "ness": ""}
-_STEP4 = "al ance ence er ic able ible ant ement ment ent ion ou ism ate iti ous ive ize".split()
+STEP2 = {"ational": "ate", "tional": "tion", "enci": "ence", "anci": "ance", "izer": "ize", "abli": "able", "alli": "al", "entli": "ent", "eli": "e", "ousli": "ous", "ization": "ize", "ation": "ate", "ator": "ate", "alism": "al", "iveness": "ive", "fulness": "ful", "ousness": "ous", "aliti": "al", "iviti": "ive", "biliti": "ble"}
+STEP3 = {"icate": "ic", "ative": "", "alize": "al", "iciti": "ic", "ical": "ic", "ful": "", "ness": ""}
+STEP4 = "al ance ence er ic able ible ant ement ment ent ion ou ism ate iti ous ive ize".split()
 
 
 def _shape(word: str) -> str:
@@ -55,11 +55,11 @@ def stem(word: str) -> str:
             word += "e"
     if word.endswith("y") and "v" in _shape(word[:-1]):
         word = word[:-1] + "i"
-    for table in (_STEP2, _STEP3):
+    for table in (STEP2, STEP3):
         end = _longest(word, table)
         if end and _measure(word[: -len(end)]):
             word = word[: -len(end)] + table[end]
-    end = _longest(word, _STEP4)
+    end = _longest(word, STEP4)
     if end and _measure(word[: -len(end)]) > 1 and (end != "ion" or word[-4] in "st"):
         word = word[: -len(end)]
     if word.endswith("e"):
@@ -76,3 +76,13 @@ def stem_vocabulary(vocab: DataFrame) -> DataFrame:
         return words.map(stem)
 
     return vocab.withColumn("stem", stems("word"))
+
+
+def stem_phrase(phrase: Column) -> Column:
+    """The phrase with each word's stem in its place."""
+
+    @F.pandas_udf("string")
+    def stems(phrases: pd.Series) -> pd.Series:
+        return phrases.map(lambda p: " ".join(map(stem, p.split(" "))))
+
+    return stems(phrase)

@@ -44,6 +44,17 @@ def drop_stopwords(chunks: DataFrame, lang_col: str = "lang", lists: dict[str, l
     return rows.select(*others, F.transform("kept", lambda t: t["word"]).alias("toks"), F.transform("kept", lambda t: t["i"]).alias("at"))
 
 
+def apply_stems(chunks: DataFrame, stems: DataFrame) -> DataFrame:
+    """chunks with each token's stem in its place: stems (word, stem) holds the words that change. Chunks without such a word are
+    not regrouped; ``at`` still says where each token stood, so surfaces show the written form."""
+    others = [c for c in chunks.columns if c not in ("doc_id", "chunk_no", "toks")]
+    changed = stems.where("word <> stem").select(F.col("word").alias("_word"), "stem")
+    rows = chunks.select("doc_id", "chunk_no", F.posexplode("toks").alias("i", "word")).join(changed, F.col("word") == F.col("_word"), "left")
+    new = rows.groupBy("doc_id", "chunk_no").agg(F.max(F.col("stem").isNotNull()).alias("hit"), F.transform(F.array_sort(F.collect_list(F.struct("i", F.coalesce("stem", "word").alias("w")))), lambda x: x["w"]).alias("_toks")).where("hit")
+    joined = chunks.join(new.select("doc_id", "chunk_no", "_toks"), ["doc_id", "chunk_no"], "left")
+    return joined.select("doc_id", "chunk_no", *others, F.coalesce("_toks", "toks").alias("toks"))
+
+
 def unique_chunks(chunks: DataFrame) -> DataFrame:
     """toks, mult: each distinct chunk once, with its number of copies."""
     return chunks.groupBy("toks").agg(F.count("*").alias("mult"))
@@ -86,6 +97,13 @@ def surface(raw: DataFrame, spans: DataFrame) -> DataFrame:
     return counts.groupBy("phrase").agg(F.min_by("surface", F.struct(-F.col("n"), "surface")).alias("surface"), F.sum("n").alias("cnt"))
 
 
+def word_surfaces(raw: DataFrame, chunks: DataFrame) -> DataFrame:
+    """word, surface, cnt: the written form that a token of chunks most often stood for (ties by text); chunks has ``at``."""
+    shown = chunks.select("doc_id", "chunk_no", F.explode(F.arrays_zip("toks", "at")).alias("t")).join(raw.select("doc_id", "chunk_no", F.col("toks").alias("raw_toks")), ["doc_id", "chunk_no"])
+    counts = shown.select(F.col("t.toks").alias("word"), F.get("raw_toks", F.col("t.at")).alias("surface")).groupBy("word", "surface").agg(F.count("*").alias("n"))
+    return counts.groupBy("word").agg(F.min_by("surface", F.struct(-F.col("n"), "surface")).alias("surface"), F.sum("n").alias("cnt"))
+
+
 def unescape(text: Column) -> Column:
     for entity, char in (("&lt;", "<"), ("&gt;", ">"), ("&quot;", '"'), ("&#39;", "'"), ("&nbsp;", " "), ("&amp;", "&")):
         text = F.replace(text, F.lit(entity), F.lit(char))

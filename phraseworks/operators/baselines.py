@@ -9,9 +9,12 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..sources.io import settle
+from ..sources.io import discard, settle
 from . import topics
 
+#: Successors that a permutation deals in one task, and tokens that a block of the bigram switch holds.
+DEAL, SWITCH_TOKENS = 250_000, 200_000
+
 
 def lda(chunks: DataFrame, **options) -> topics.Model:
     """Word-level topic model: the clique model's own code over one-word cliques."""
@@ -40,19 +43,22 @@ def _gain(n_vw: Column, n_v: Column, p_w: Column) -> Column:
 
 def posthoc_round(tokens: DataFrame, p_value: float = 0.05, n_perm: int = 20, seed: int = 7, min_count: int = 5) -> DataFrame:
     """k, v, w, n, gain, bar: pairs of one round whose gain over the back-off law beats the (1 - p) quantile of the largest gains of
-    permutations, in which the successors of each v are dealt anew."""
-    pairs = adjacent_pairs(tokens)
+    permutations, in which the successors of each v are dealt anew. Above ``DEAL`` slots a topic is cut by a hash into parts of
+    about that size, and successors are dealt within a part."""
+    pairs = settle(adjacent_pairs(tokens), "posthoc-pairs")
     firsts = pairs.groupBy("k", "v").agg(F.sum("n").alias("n_v"))
     share = pairs.groupBy("k", "w").agg(F.sum("n").alias("n_w")).withColumn("p_w", F.col("n_w") / F.sum("n_w").over(Window.partitionBy("k")))
     real = pairs.where(F.col("n") >= min_count).join(firsts, ["k", "v"]).join(share, ["k", "w"]).withColumn("gain", _gain(F.col("n"), F.col("n_v"), F.col("p_w")))
     # successors of all v in a topic are permuted by the order of a seeded hash
     heads = real.select("k", "v").distinct()
     slots = pairs.join(heads, ["k", "v"], "left_semi").select("k", "v", "w", F.explode(F.sequence(F.lit(1), F.col("n").cast("int"))).alias("i"))
-    rolls = slots.withColumn("perm", F.explode(F.sequence(F.lit(1), F.lit(n_perm))))
+    parts = max(1, -(-(pairs.agg(F.sum("n")).first()[0] or 0) // DEAL))
+    rolls = slots.withColumn("perm", F.explode(F.sequence(F.lit(1), F.lit(n_perm)))).withColumn("part", F.pmod(F.xxhash64(F.lit("part"), "k", "v", "w", "i", "perm"), F.lit(parts)))
     mark = lambda salt: F.xxhash64(F.lit(seed), F.lit(salt), "k", "v", "w", "i", "perm")
-    left = rolls.select("k", "perm", "v", F.row_number().over(Window.partitionBy("k", "perm").orderBy("v", "w", "i")).alias("at"))
-    right = rolls.select("k", "perm", "w", F.row_number().over(Window.partitionBy("k", "perm").orderBy(mark("deal"), "v", "w", "i")).alias("at"))
-    dealt = left.join(right, ["k", "perm", "at"]).groupBy("k", "perm", "v", "w").agg(F.count("*").alias("n")).join(firsts, ["k", "v"]).join(share.select("k", "w", "p_w"), ["k", "w"])
+    deck = Window.partitionBy("k", "perm", "part")
+    left = rolls.select("k", "perm", "part", "v", F.row_number().over(deck.orderBy("v", "w", "i")).alias("at"))
+    right = rolls.select("k", "perm", "part", "w", F.row_number().over(deck.orderBy(mark("deal"), "v", "w", "i")).alias("at"))
+    dealt = left.join(right, ["k", "perm", "part", "at"]).groupBy("k", "perm", "v", "w").agg(F.count("*").alias("n")).join(firsts, ["k", "v"]).join(share.select("k", "w", "p_w"), ["k", "w"])
     peaks = dealt.groupBy("k", "perm").agg(F.max(_gain(F.col("n"), F.col("n_v"), F.col("p_w"))).alias("peak"))
     bars = peaks.groupBy("k").agg(F.percentile("peak", F.lit(1 - p_value)).alias("bar"))
     return real.join(bars, "k").where("gain > bar").select("k", "v", "w", "n", "gain", "bar")
@@ -77,73 +83,108 @@ def posthoc_merge(tokens: DataFrame, p_value: float = 0.05, n_perm: int = 20, ma
     return tokens
 
 
-def _switch_sampler(n_topics: int, sweeps: int, doc_prior: float, beta: float, gamma: float, delta: float, v: int, seed: int):
+SWITCH = "block int, doc_id long, ids array<int>, inner array<int>, z array<int>, x array<int>"
+
+
+def _switch_start(n_topics: int, seed: int):
+    """Topics and flags before the first sweep, by document. Half of the neighbours start glued: from none at all, a pair would wait
+    long for its first count."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rng = np.random.default_rng(seed)
-        rows = [r for b in batches for r in b.to_pylist()]
-        nd = np.zeros((len(rows), n_topics))
-        nkw, nk = np.zeros((n_topics, v)), np.zeros(n_topics)
+        for batch in batches:
+            z, x = [], []
+            for doc, inner in zip(batch.column(1).to_pylist(), batch.column(3).to_pylist(), strict=True):
+                rng = np.random.default_rng([seed, doc & 0x7FFFFFFF])
+                z.append(rng.integers(0, n_topics, len(inner)).tolist())
+                x.append((rng.integers(0, 2, len(inner)) * np.array(inner, np.int64)).tolist())
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(z, pa.list_(pa.int32())), pa.array(x, pa.list_(pa.int32()))], ["block", "doc_id", "ids", "inner", "z", "x"])
+
+    return run
+
+
+def _switch_slices(now: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """kind, a, b, c, n: the counts of all documents, of which each block gets those of its own words and neighbours, and free words a
+    topic (z, n). Kinds: 0 free word (topic, word), 1 glued word (topic, word before, word), 2 glued words behind (topic, word before),
+    3 flags (topic before, word before, flag)."""
+    at = lambda c, i: F.get(F.col(c), i)
+    token = F.transform("ids", lambda w, i: F.struct(w.alias("w"), at("inner", i).alias("inner"), at("z", i).alias("z"), at("x", i).alias("x"), at("ids", i - 1).alias("pw"), at("z", i - 1).alias("pz")))
+    tokens = now.select(F.explode(token).alias("t")).select("t.*")
+    none = F.lit(0)
+    free = tokens.where("x = 0").groupBy("z", "w").agg(F.count("*").alias("n"))
+    glued = tokens.where("x = 1").groupBy("z", "pw", "w").agg(F.count("*").alias("n"))
+    flags = tokens.where("inner = 1").groupBy("pz", "pw", "x").agg(F.count("*").alias("n"))
+    behind = glued.groupBy("z", "pw").agg(F.sum("n").alias("n"))
+    rows = free.select(F.lit(0).alias("kind"), F.col("z").alias("a"), F.col("w").alias("b"), none.alias("c"), "n")
+    for kind, df, cols in ((1, glued, ("z", "pw", "w")), (2, behind, ("z", "pw")), (3, flags, ("pz", "pw", "x"))):
+        c = F.col(cols[2]) if len(cols) > 2 else none
+        rows = rows.unionByName(df.select(F.lit(kind).alias("kind"), F.col(cols[0]).alias("a"), F.col(cols[1]).alias("b"), c.alias("c"), "n"))
+    return rows, free.groupBy("z").agg(F.sum("n").alias("n"))
+
+
+def _switch_sweep(n_topics: int, nk: np.ndarray, doc_prior: float, beta: float, gamma: float, delta: float, v: int, seed: int, sweep: int):
+    """One sweep over a block's documents, from the counts of all documents at its start and the block's own changes since."""
+
+    def run(key: tuple[pa.Scalar, ...], docs: pa.Table, slices: pa.Table) -> pa.Table:
+        rng = np.random.default_rng([seed, sweep, key[0].as_py()])
+        rows = docs.sort_by("doc_id").to_pylist()
+        total = nk.copy()
+        place = {w: i for i, w in enumerate(dict.fromkeys(w for r in rows for w in r["ids"]))}
+        free = np.zeros((n_topics, len(place)))
         glued: dict[tuple[int, int], dict[int, int]] = {}
+        behind: dict[tuple[int, int], int] = {}  # glued words a topic has behind a word
         follow: dict[tuple[int, int], list[int]] = {}
-        z = [rng.integers(0, n_topics, len(r["ids"])) for r in rows]
-        # half of the neighbours start glued: from none at all, a pair would wait long for its first count
-        x = [rng.integers(0, 2, len(r["ids"])) * np.array(r["inner"], np.int64) for r in rows]
-        for d, r in enumerate(rows):
-            ids = r["ids"]
-            np.add.at(nd[d], z[d], 1)
+        for kind, a, b, c, n in zip(*(slices.column(x).to_pylist() for x in ("kind", "a", "b", "c", "n")), strict=True):
+            if kind == 0:
+                free[a, place[b]] = n
+            elif kind == 1:
+                glued.setdefault((a, b), {})[c] = n
+            elif kind == 2:
+                behind[a, b] = n
+            else:
+                follow.setdefault((b, a), [0, 0])[c] = n
+        for r in rows:
+            ids, inner, z, x = r["ids"], r["inner"], r["z"], r["x"]
+            nd = np.bincount(z, minlength=n_topics).astype(float)
+            draws = rng.random(len(ids))
             for i, w in enumerate(ids):
-                if x[d][i]:
-                    m = glued.setdefault((int(z[d][i]), ids[i - 1]), {})
+                old, flag, at = z[i], x[i], place[w]
+                prev = (ids[i - 1], z[i - 1]) if inner[i] else None
+                nd[old] -= 1
+                if prev:
+                    follow[prev][flag] -= 1
+                if flag:
+                    glued[old, ids[i - 1]][w] -= 1
+                    behind[old, ids[i - 1]] -= 1
+                else:
+                    free[old, at] -= 1
+                    total[old] -= 1
+                th = doc_prior + nd
+                p = th * (beta + free[:, at]) / (v * beta + total)
+                if prev:
+                    s = follow.setdefault(prev, [0, 0])
+                    before = prev[0]
+                    tied = [(delta + glued.get((k, before), {}).get(w, 0)) / (v * delta + behind.get((k, before), 0)) for k in range(n_topics)]
+                    p = np.concatenate([(gamma + s[0]) * p, (gamma + s[1]) * th * tied])
+                c = np.cumsum(p)
+                pick = min(int(np.searchsorted(c, draws[i] * c[-1], side="right")), len(c) - 1)
+                new, flag = pick % n_topics, pick // n_topics
+                z[i], x[i] = new, flag
+                nd[new] += 1
+                if prev:
+                    follow[prev][flag] += 1
+                if flag:
+                    m = glued.setdefault((new, ids[i - 1]), {})
                     m[w] = m.get(w, 0) + 1
+                    behind[new, ids[i - 1]] = behind.get((new, ids[i - 1]), 0) + 1
                 else:
-                    nkw[z[d][i], w] += 1
-                    nk[z[d][i]] += 1
-                if r["inner"][i]:
-                    follow.setdefault((ids[i - 1], int(z[d][i - 1])), [0, 0])[int(x[d][i])] += 1
-        for _ in range(sweeps):
-            for d, r in enumerate(rows):
-                ids, inner = r["ids"], r["inner"]
-                for i, w in enumerate(ids):
-                    old, flag = int(z[d][i]), int(x[d][i])
-                    prev = (ids[i - 1], int(z[d][i - 1])) if i and inner[i] else None
-                    nd[d, old] -= 1
-                    if prev:
-                        follow[prev][flag] -= 1
-                    if flag:
-                        glued[old, ids[i - 1]][w] -= 1
-                    else:
-                        nkw[old, w] -= 1
-                        nk[old] -= 1
-                    th = doc_prior + nd[d]
-                    p0 = th * (beta + nkw[:, w]) / (v * beta + nk)
-                    if prev:
-                        s = follow.setdefault(prev, [0, 0])
-                        p1 = np.empty(n_topics)
-                        for k in range(n_topics):
-                            m = glued.get((k, ids[i - 1]))
-                            p1[k] = th[k] * (delta + (m.get(w, 0) if m else 0)) / (v * delta + (sum(m.values()) if m else 0))
-                        p = np.concatenate([(gamma + s[0]) * p0, (gamma + s[1]) * p1])
-                    else:
-                        p = p0
-                    c = np.cumsum(p)
-                    pick = min(int(np.searchsorted(c, rng.random() * c[-1], side="right")), len(c) - 1)
-                    new, flag = pick % n_topics, pick // n_topics
-                    z[d][i], x[d][i] = new, flag
-                    nd[d, new] += 1
-                    if prev:
-                        follow[prev][flag] += 1
-                    if flag:
-                        m = glued.setdefault((new, ids[i - 1]), {})
-                        m[w] = m.get(w, 0) + 1
-                    else:
-                        nkw[new, w] += 1
-                        nk[new] += 1
-                    if i + 1 < len(ids) and inner[i + 1] and old != new:  # the next word's flag is counted under this topic
-                        f = int(x[d][i + 1])
-                        follow[w, old][f] -= 1
-                        follow.setdefault((w, new), [0, 0])[f] += 1
-        if rows:
-            yield pa.RecordBatch.from_arrays([pa.array([r["doc_id"] for r in rows], pa.int64()), pa.array([a.tolist() for a in z], pa.list_(pa.int32())), pa.array([a.tolist() for a in x], pa.list_(pa.int32()))], ["doc_id", "z", "x"])
+                    free[new, at] += 1
+                    total[new] += 1
+                if old != new and i + 1 < len(ids) and inner[i + 1]:  # the next word's flag is counted under this topic
+                    f = x[i + 1]
+                    follow[w, old][f] -= 1
+                    follow.setdefault((w, new), [0, 0])[f] += 1
+        lists = lambda c: pa.array([r[c] for r in rows], pa.list_(pa.int32()))
+        return pa.table({"block": pa.array([r["block"] for r in rows], pa.int32()), "doc_id": pa.array([r["doc_id"] for r in rows], pa.int64()), **{c: lists(c) for c in ("ids", "inner", "z", "x")}})
 
     return run
 
@@ -166,21 +207,42 @@ def glued_runs(tokens: DataFrame) -> DataFrame:
     return runs.groupBy("doc_id", "run").agg(F.array_sort(F.collect_list(F.struct("i", "word", "z"))).alias("t")).select("doc_id", "run", F.concat_ws(" ", F.transform("t", lambda t: t["word"])).alias("phrase"), F.size("t").alias("len"), F.element_at("t", -1)["z"].alias("z"))
 
 
-def bigram_switch(chunks: DataFrame, n_topics: int = 5, sweeps: int = 10, doc_prior: float = 0.5, beta: float = 0.01, gamma: float = 0.1, delta: float = 0.01, partitions: int = 1, seed: int = 7) -> DataFrame:
+def bigram_switch(chunks: DataFrame, n_topics: int = 5, sweeps: int = 10, doc_prior: float = 0.5, beta: float = 0.01, gamma: float = 0.1, delta: float = 0.01, partitions: int = 8, seed: int = 7) -> DataFrame:
     """Phrases (doc_id, run, phrase, len, z) of a model in which a word may be glued to the one before it and then comes from a
-    distribution of its own for that topic and word. Tasks sample their documents alone, so phrase counts are per task."""
-    docs, _, v = _coded(chunks)
-    sampled = docs.select("doc_id", "ids", "inner").repartition(partitions, "doc_id").sortWithinPartitions("doc_id").mapInArrow(_switch_sampler(n_topics, sweeps, doc_prior, beta, gamma, delta, v, seed), "doc_id long, z array<int>, x array<int>")
-    both = docs.select("doc_id", "toks").join(sampled, "doc_id")
+    distribution of its own for that topic and word. Blocks of documents (at least ``partitions``, and one for each SWITCH_TOKENS
+    tokens) sweep from the same counts, which are taken anew from all of them after each sweep; a block is sent the counts of
+    its own words and neighbours only."""
+    docs, words, v = _coded(chunks)
+    tokens = words.agg(F.sum("cnt")).first()[0] or 0
+    blocks = max(partitions, -(-tokens // SWITCH_TOKENS))
+    block = topics.block_of("doc_id", topics.block_labels(chunks.sparkSession, blocks), blocks)
+    now = settle(docs.select(block.alias("block"), "doc_id", "ids", "inner").mapInArrow(_switch_start(n_topics, seed), SWITCH), "switch")
+    near = now.select("block", F.explode(F.transform("ids", lambda w, i: F.struct(w.alias("w"), F.get("ids", i - 1).alias("pw"), F.get("inner", i).alias("inner")))).alias("t"))
+    needs = settle(near.select("block", F.col("t.w").alias("w")).distinct(), "switch-words")
+    pairs = settle(near.where("t.inner = 1").select("block", "t.pw", "t.w").distinct(), "switch-pairs")
+    for s in range(sweeps):
+        rows, totals = _switch_slices(now)
+        rows = settle(rows, "switch-counts")
+        nk = np.zeros(n_topics)
+        for r in totals.collect():  # n_topics numbers
+            nk[r["z"]] = r["n"]
+        single = rows.where("kind <> 1").join(needs, F.col("b") == F.col("w")).select("block", "kind", "a", "b", "c", "n")
+        both = rows.where("kind = 1").join(pairs, (F.col("b") == F.col("pw")) & (F.col("c") == F.col("w"))).select("block", "kind", "a", "b", "c", "n")
+        sides = now.repartition(blocks, "block").groupBy("block"), single.unionByName(both).repartition(blocks, "block").groupBy("block")
+        before, now = now, settle(sides[0].cogroup(sides[1]).applyInArrow(_switch_sweep(n_topics, nk, doc_prior, beta, gamma, delta, v, seed, s), SWITCH), "switch")
+        discard(before)
+        discard(rows)
+    both = docs.select("doc_id", "toks").join(now.select("doc_id", "z", "x"), "doc_id")
     return glued_runs(both.select("doc_id", F.posexplode(F.arrays_zip("toks", "z", "x")).alias("i", "t")).select("doc_id", "i", F.col("t.toks").alias("word"), F.col("t.z").alias("z"), F.col("t.x").alias("x")))
 
 
-def itemset_keyphrases(tokens: DataFrame, min_support: int = 10, max_size: int = 2, purity_weight: float = 0.5, complete: float = 0.1, largest_set: int = 5000) -> DataFrame:
+def itemset_keyphrases(tokens: DataFrame, min_support: int = 10, max_size: int = 2, purity_weight: float = 0.5, complete: float = 0.1, largest_set: int | None = None) -> DataFrame:
     """k, items, f, coverage, purity, concordance, completeness, score: frequent word sets among the words of one topic in one
-    document. A transaction over largest_set words is refused by an error, as the number of its sets explodes."""
+    document. Only words that are frequent in their topic are paired. With largest_set, a transaction over so many words is an error
+    before the number of its sets explodes; without, all are worked through."""
     baskets = tokens.select("doc_id", F.col("z").alias("k"), "word").distinct()
-    worst = baskets.groupBy("doc_id", "k").count().agg(F.max("count")).first()[0] or 0
-    if worst > largest_set:
+    worst = (baskets.groupBy("doc_id", "k").count().agg(F.max("count")).first()[0] or 0) if largest_set is not None else 0
+    if largest_set is not None and worst > largest_set:
         raise ValueError(f"a transaction has {worst} words, over {largest_set}")
     n_k = baskets.select("doc_id", "k").distinct().groupBy("k").agg(F.count("*").alias("n_k"))
     ones = baskets.groupBy("k", "word").agg(F.count("*").alias("f")).where(F.col("f") >= min_support)

@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..sources.io import settle
 from . import topics
 
 
@@ -109,7 +110,8 @@ def simulated_answers(questions: DataFrame, units: DataFrame, rater: str, margin
     joint = F.col("both") / F.col("n")
     npmi = F.when(F.col("both") == 0, -1.0).when(F.col("both") == F.col("n"), 1.0).otherwise(F.log(joint / (F.col("n_a") * F.col("n_b") / F.col("n") / F.col("n"))) / -F.log(joint))
     sides = p.select("grp", F.col("a").alias("item"), npmi.alias("s")).unionByName(p.select("grp", F.col("b").alias("item"), npmi.alias("s")))
-    means = sides.groupBy("grp", "item").agg(F.avg("s").alias("s")).join(questions.select(F.col("question").alias("grp"), F.col("phrase").alias("item"), "option"), ["grp", "item"])
+    # rounded, so that equal means are equal in whatever order their terms were added
+    means = sides.groupBy("grp", "item").agg(F.round(F.avg("s"), 9).alias("s")).join(questions.select(F.col("question").alias("grp"), F.col("phrase").alias("item"), "option"), ["grp", "item"])
     low = means.groupBy("grp").agg(F.array_sort(F.collect_list(F.struct("s", "option"))).alias("o"))
     return low.select(F.col("grp").alias("question"), F.lit(rater).alias("rater"), F.when(F.get("o", F.lit(1))["s"] - F.get("o", F.lit(0))["s"] > margin, F.get("o", F.lit(0))["option"]).alias("choice"))
 
@@ -142,14 +144,57 @@ def proxy_ratings(view: DataFrame, docs: DataFrame, raters: int = 5, item_kind:
     return out
 
 
+def percent_ranks(rows: DataFrame, value: str, name: str) -> DataFrame:
+    """rows with the share of the other rows whose value is smaller, by ranges of the sorted values: no task holds all rows."""
+    from ..functions.text import dense_ids
+
+    at = dense_ids(rows, F.col(value), name="_at")
+    first = at.groupBy(F.col(value).alias("_value")).agg(F.min("_at").alias("_first"))
+    n = rows.agg(F.count("*").alias("_all"))
+    joined = at.join(first, F.col(value) == F.col("_value")).crossJoin(n)  # one row on the right
+    return joined.withColumn(name, F.when(F.col("_all") > 1, F.col("_first") / (F.col("_all") - 1)).otherwise(0.0)).drop("_at", "_value", "_first", "_all")
+
+
 def phrase_quality(scores: DataFrame, parts: DataFrame, labels: DataFrame) -> DataFrame:
     """phrase, quality 1..10: decile of the mean rank of a phrase's significance (phrase, sig) and of its share of instances in
     documents labelled good."""
+    from ..functions.text import dense_ids
+
     inst = parts.where("len > 1").select("doc_id", "phrase").join(labels.select("doc_id", "quality"), "doc_id")
     share = inst.groupBy("phrase").agg(F.avg("quality").alias("good"))
-    both = scores.join(share, "phrase")
-    ranked = both.withColumn("r1", F.percent_rank().over(Window.orderBy("sig"))).withColumn("r2", F.percent_rank().over(Window.orderBy("good")))
-    return ranked.select("phrase", F.ntile(10).over(Window.orderBy(F.round((F.col("r1") + F.col("r2")) / 2, 9), "phrase")).alias("quality"))
+    both = settle(scores.join(share, "phrase"), "quality")
+    ranked = percent_ranks(percent_ranks(both, "sig", "r1"), "good", "r2").select("phrase", F.round((F.col("r1") + F.col("r2")) / 2, 9).alias("r"))
+    n = both.count()
+    size, longer = n // 10, n % 10  # the first ``longer`` tenths hold a row more
+    at, border = F.col("at"), longer * (size + 1)
+    tenth = F.when(at < border, F.floor(at / (size + 1))).otherwise(F.floor((at - border) / max(1, size)) + longer)
+    return dense_ids(ranked, F.col("r"), F.col("phrase"), name="at").select("phrase", (tenth + 1).cast("int").alias("quality"))
+
+
+def holders(units: DataFrame, view: DataFrame) -> DataFrame:
+    """unit, item: units (unit, item: a word) that hold all words of a listed phrase, in any order."""
+    listed = view.where("kind = 'phrase'").select(F.col("text").alias("item")).distinct().select("item", F.array_distinct(F.split("item", " ")).alias("ws"))
+    asked = listed.select("item", F.size("ws").alias("n"), F.explode("ws").alias("word"))
+    met = units.select("unit", F.col("item").alias("word")).distinct().join(asked, "word")
+    return met.groupBy("unit", "item", "n").agg(F.count("*").alias("have")).where("have = n").select("unit", "item")
+
+
+def proxy_qualities(view: DataFrame, chunks: DataFrame, raters: int = 5, longest: int = 6) -> DataFrame:
+    """rater, method, property, rating 1..10 of each topic's phrase list: raters are hash folds of the corpus, their judgement how
+    often the rarest word of a phrase stands in the phrase, as written, where it stands at all. view has a column method."""
+    from .mining import ngrams_of
+
+    fold = (F.conv(F.substring(F.md5(F.col("doc_id").cast("string")), 1, 4), 16, 10).cast("int") % raters).alias("rater")
+    listed = view.where("kind = 'phrase'").select("method", "k", F.col("text").alias("phrase"))
+    wanted = listed.select("phrase").distinct().select("phrase", F.split("phrase", " ").alias("ws"))
+    grams = chunks.select(fold, F.explode(F.flatten(F.array(*[ngrams_of(F.col("toks"), n) for n in range(1, longest + 1)]))).alias("gram"))
+    needed = wanted.select(F.col("phrase").alias("gram")).union(wanted.select(F.explode("ws").alias("gram"))).distinct()
+    found = settle(grams.join(needed, "gram", "left_semi").groupBy("rater", "gram").agg(F.count("*").alias("c")), "phrase-counts")
+    folds = view.sparkSession.range(raters).select(F.col("id").cast("int").alias("rater"))
+    words = wanted.crossJoin(folds).select("rater", "phrase", F.explode("ws").alias("gram")).join(found, ["rater", "gram"], "left")  # as many folds as asked for
+    rare = words.groupBy("rater", "phrase").agg(F.min(F.coalesce("c", F.lit(0))).alias("least"))
+    rated = rare.join(found.select("rater", F.col("gram").alias("phrase"), "c"), ["rater", "phrase"], "left").select("rater", "phrase", F.when(F.col("least") > 0, F.least(F.lit(1.0), F.coalesce("c", F.lit(0)) / F.col("least"))).otherwise(0.0).alias("share"))
+    return listed.join(rated, "phrase").groupBy("rater", "method", "k").agg(F.avg("share").alias("v")).select("rater", "method", F.lit("quality").alias("property"), (1 + 9 * F.col("v")).alias("rating"))
 
 
 def draws(parts: DataFrame) -> DataFrame:

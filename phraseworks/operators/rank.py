@@ -21,14 +21,17 @@ def top(rows: DataFrame, n: int, by: Column, *ties: str, group: str = "k") -> Da
     return rows.withColumn("rank", F.row_number().over(Window.partitionBy(group).orderBy(by.desc(), *ties))).where(F.col("rank") <= n)
 
 
-def topic_view(state: DataFrame, n_words: int = 10, n_phrases: int = 10, min_words: int = 2, surfaces: DataFrame | None = None) -> DataFrame:
+def topic_view(state: DataFrame, n_words: int = 10, n_phrases: int = 10, min_words: int = 2, surfaces: DataFrame | None = None, word_surfaces: DataFrame | None = None) -> DataFrame:
     """k, kind ('word' or 'phrase'), rank, text, score: each topic's top words and top phrases of at least min_words words.
-    surfaces (phrase, surface) puts the written form in place of the mined one."""
+    surfaces (phrase, surface) puts the written form in place of the mined one, word_surfaces (word, surface) does so for words."""
     words = top(word_frequency(state), n_words, F.col("tf"), "word").select("k", F.lit("word").alias("kind"), "rank", F.col("word").alias("text"), F.col("tf").alias("score"))
     phrases = top(topical_frequency(state).where(F.col("n_words") >= min_words), n_phrases, F.col("tf"), "phrase").select("k", F.lit("phrase").alias("kind"), "rank", F.col("phrase").alias("text"), F.col("tf").alias("score"))
     if surfaces is not None:
         s = surfaces.select(F.col("phrase").alias("p"), "surface")
         phrases = phrases.join(s, F.col("text") == F.col("p"), "left").select("k", "kind", "rank", F.coalesce("surface", "text").alias("text"), "score")
+    if word_surfaces is not None:
+        s = word_surfaces.select(F.col("word").alias("p"), "surface")
+        words = words.join(s, F.col("text") == F.col("p"), "left").select("k", "kind", "rank", F.coalesce("surface", "text").alias("text"), "score")
     return words.unionByName(phrases)
 
 
@@ -62,12 +65,14 @@ def multi_facet(tf: DataFrame, scores: DataFrame, weights: tuple[float, float, f
     scores: phrase, sig."""
     whole = Window.partitionBy("phrase")
     rows = tf.where("n_words > 1").withColumn("purity", F.col("tf") / F.sum("tf").over(whole)).join(scores, "phrase", "left").select("k", "phrase", F.log("tf").alias("f1"), F.col("purity").alias("f2"), F.coalesce("sig", F.lit(0.0)).alias("f3"), F.col("n_words").cast("double").alias("f4"))
-    topic = Window.partitionBy("k")
-    scaled = F.lit(0.0)
-    for name, w in zip(("f1", "f2", "f3", "f4"), weights, strict=True):
-        low, high = F.min(name).over(topic), F.max(name).over(topic)
+    names = ("f1", "f2", "f3", "f4")
+    # a row for each topic, so no task holds a whole topic
+    spread = rows.groupBy("k").agg(*[f(n).alias(f"{m}_{n}") for n in names for m, f in (("low", F.min), ("high", F.max))])
+    joined, scaled = rows.join(spread, "k"), F.lit(0.0)
+    for name, w in zip(names, weights, strict=True):
+        low, high = F.col(f"low_{name}"), F.col(f"high_{name}")
         scaled = scaled + w * F.when(high > low, (F.col(name) - low) / (high - low)).otherwise(0.0)
-    return rows.select("k", "phrase", scaled.alias("facet_score"))
+    return joined.select("k", "phrase", scaled.alias("facet_score"))
 
 
 def drop_background(tf: DataFrame, n_topics: int, share: float = 0.9) -> DataFrame:

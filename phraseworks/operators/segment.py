@@ -11,7 +11,9 @@ import heapq
 import math
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -39,7 +41,23 @@ def score_value(f1: float, f2: float, f12: float, tokens: int) -> float:
     return round((f12 - f1 * f2 / tokens) / math.sqrt(f12), DIGITS)
 
 
-def merge_chunk(size: int, counts: dict[tuple[int, int], int], threshold: float, tokens: int, scorer=None) -> tuple[list[tuple[int, int]], list[tuple[int, int, int, float]]]:
+class Spans:
+    """Counts of a chunk's frequent spans: for each start those of one word, two words and so on, as what begins a frequent phrase
+    is frequent."""
+
+    def __init__(self, ats: list[int], ends: list[int], flat: np.ndarray | list[int]) -> None:
+        self.rows = {at: (a, b - a) for at, a, b in zip(ats, ends, ends[1:], strict=False)}
+        self.flat = flat
+
+    def get(self, span: tuple[int, int]) -> int | None:
+        first, most = self.rows.get(span[0], (0, 0))
+        return self.flat[first + span[1] - 1] if span[1] <= most else None
+
+    def __getitem__(self, span: tuple[int, int]) -> int:
+        return self.flat[self.rows[span[0]][0] + span[1] - 1]
+
+
+def merge_chunk(size: int, counts: Spans | dict[tuple[int, int], int], threshold: float, tokens: int, scorer=None) -> tuple[list[tuple[int, int]], list[tuple[int, int, int, float]]]:
     """Units (start, length) of a chunk of ``size`` tokens and its merges (start, left length, right length, score).
 
     ``counts`` has the frequent spans (start, length). Units form a linked list; a heap holds the mergeable pairs, and pairs that
@@ -84,28 +102,41 @@ def merge_chunk(size: int, counts: dict[tuple[int, int], int], threshold: float,
 
 
 def _spans(mined: Mined) -> DataFrame:
-    """For each distinct chunk with a frequent pair: uid, size, spans array<struct<at, n, cnt>> of one word and more."""
+    """For each distinct chunk with a frequent pair: uid, size, spans array<struct<at, cnts>>, cnts being the counts of one word and
+    more from ``at`` on."""
     chunks = mined.chunks
     multi = mined.spans.select("uid", "at", "n", "cnt")
     starts = mined.chunks.join(multi.select("uid").distinct(), "uid", "left_semi")
     words = starts.select("uid", F.posexplode("toks").alias("at", "word")).join(mined.counts.where("n = 1").select(F.col("phrase").alias("word"), "cnt"), "word").select("uid", "at", F.lit(1).alias("n"), "cnt")
-    spans = words.unionByName(multi).groupBy("uid").agg(F.collect_list(F.struct("at", "n", "cnt")).alias("spans"))
+    by_start = words.unionByName(multi).groupBy("uid", "at").agg(F.transform(F.array_sort(F.collect_list(F.struct("n", "cnt"))), lambda x: x["cnt"]).alias("cnts"))
+    spans = by_start.groupBy("uid").agg(F.collect_list(F.struct("at", "cnts")).alias("spans"))
     return chunks.select("uid", F.size("toks").alias("size")).join(spans, "uid")
 
 
 UNITS = "uid long, units array<struct<at: int, len: int>>, merges array<struct<at: int, left: int, right: int, sig: double>>"
+#: Chunks, and counts of a chunk, that are Python objects at one time.
+SLICE, FEW_COUNTS = 512, 100_000
 
 
 def _heap_kernel(threshold: float, tokens: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            uids, units, merges = [], [], []
-            for row in batch.to_pylist():
-                u, m = merge_chunk(row["size"], {(s["at"], s["n"]): s["cnt"] for s in row["spans"]}, threshold, tokens)
-                uids.append(row["uid"])
-                units.append([{"at": a, "len": n} for a, n in u])
-                merges.append([{"at": a, "left": x, "right": y, "sig": s} for a, x, y, s in m])
-            yield pa.RecordBatch.from_arrays([pa.array(uids, pa.int64()), pa.array(units, pa.list_(pa.struct([("at", pa.int32()), ("len", pa.int32())]))), pa.array(merges, pa.list_(pa.struct([("at", pa.int32()), ("left", pa.int32()), ("right", pa.int32()), ("sig", pa.float64())])))], ["uid", "units", "merges"])
+        for whole in batches:
+            for begin in range(0, whole.num_rows, SLICE):
+                batch = whole.slice(begin, SLICE)
+                uids, units, merges = batch.column(0), [], []
+                spans = batch.column(2)
+                inner = spans.flatten()
+                ats, counts = inner.field(0).to_pylist(), inner.field(1)
+                ends = counts.offsets.to_numpy()
+                flat, first = counts.values.to_numpy(zero_copy_only=False), 0
+                for size, n in zip(batch.column(1).to_pylist(), pc.list_value_length(spans).to_pylist(), strict=True):
+                    own = ends[first : first + n + 1]
+                    values = flat[own[0] : own[-1]]
+                    u, m = merge_chunk(size, Spans(ats[first : first + n], (own - own[0]).tolist(), values.tolist() if len(values) < FEW_COUNTS else values), threshold, tokens)
+                    first += n
+                    units.append([{"at": a, "len": k} for a, k in u])
+                    merges.append([{"at": a, "left": x, "right": y, "sig": s} for a, x, y, s in m])
+                yield pa.RecordBatch.from_arrays([uids, pa.array(units, pa.list_(pa.struct([("at", pa.int32()), ("len", pa.int32())]))), pa.array(merges, pa.list_(pa.struct([("at", pa.int32()), ("left", pa.int32()), ("right", pa.int32()), ("sig", pa.float64())])))], ["uid", "units", "merges"])
 
     return run
 
@@ -113,7 +144,7 @@ def _heap_kernel(threshold: float, tokens: int):
 def expression_kernel(spans: DataFrame, threshold: float, tokens: int) -> DataFrame:
     """The same units in built-in functions only: one fold step a possible merge. Quadratic in the chunk, so for short chunks."""
     key = lambda at, n: at * 1024 + n
-    table = F.map_from_entries(F.transform("spans", lambda s: F.struct(key(s["at"], s["n"]).alias("k"), s["cnt"].cast("double").alias("v"))))
+    table = F.map_from_entries(F.flatten(F.transform("spans", lambda s: F.transform(s["cnts"], lambda c, i: F.struct(key(s["at"], i + 1).alias("k"), c.cast("double").alias("v"))))))
     unit = "array<struct<at:int,len:int>>"
     first = F.transform(F.sequence(F.lit(0), F.col("size") - 1), lambda i: F.struct(i.alias("at"), F.lit(1).alias("len"))).cast(unit)
 

@@ -1,9 +1,13 @@
 """Topic model over cliques: all words of a phrase instance share one topic. Plain LDA is the case of one-word cliques.
 
 ``snapshot`` sweeps in DataFrame operations from the counts of the sweep before, with uniform numbers from md5, so other
-engines can repeat it. ``exact`` and ``partitioned`` sample in numpy: the documents of a task go through local counts,
-one after another (exact: one task, no approximation) or many side by side (partitioned), and the counts are taken anew from all
-tasks' topics at the end of each sweep.
+engines can repeat it. ``exact`` and ``partitioned`` sample in numpy: documents form blocks, and a block goes through local
+counts of the words it has, its documents one after another (exact: one block, no approximation) or many side by side
+(partitioned); the counts are taken anew from all blocks' topics at the end of each sweep.
+
+Blocks are as many as keep a block's words times topics within ``BLOCK_CELLS``. While all counts are at most ``SHIP_CELLS`` they
+are broadcast; beyond, each block is joined with the counts of its own words. Both ways give a block the same numbers, so the
+result does not depend on the way.
 """
 
 from __future__ import annotations
@@ -15,13 +19,14 @@ from dataclasses import dataclass
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..sources.io import settle
+from ..sources.io import discard, settle
 
-#: Counts that may travel with a task's closure: words times topics.
-SHIP_CELLS = 50_000_000
+#: Counts that may be broadcast, and counts that a block may hold: words times topics.
+SHIP_CELLS, BLOCK_CELLS = 20_000_000, 32_000_000
 
 
 def uniform(seed: int, sweep: int, *keys: Column) -> Column:
@@ -108,36 +113,44 @@ def phi(state: DataFrame, n_topics: int, word_prior: float = 0.01) -> DataFrame:
     return vectors.select("word", F.posexplode("n_word").alias("k", "cnt")).select("word", "k", ((F.col("cnt") + word_prior) / (F.get(total, F.col("k")) + word_prior * v)).alias("phi"))
 
 
-def _rising(histogram: DataFrame, prior: Column) -> DataFrame:
-    """Sum over a histogram (k, n, docs) of digamma(n + prior) - digamma(prior), as a finite sum: one term 1/(prior + i) for each i < n."""
-    return histogram.where("n > 0").select("k", F.col("docs"), F.explode(F.sequence(F.lit(0), (F.col("n") - 1).cast("int"))).alias("i")).groupBy("k").agg(F.sum(F.col("docs") / (prior + F.col("i"))).alias("part"))
+def digamma(x: Column) -> Column:
+    """The logarithmic derivative of the gamma function for x > 0: six steps of the recurrence, then the asymptotic series."""
+    y = x + 6
+    below = 1 / x
+    for i in range(1, 6):
+        below = below + 1 / (x + i)
+    return F.log(y) - 1 / (2 * y) - 1 / (12 * y**2) + 1 / (120 * y**4) - 1 / (252 * y**6) + 1 / (240 * y**8) - below
 
 
-def prior_step(state: DataFrame, n_topics: int, doc_prior: list[float]) -> DataFrame:
-    """k, prior: one fixed-point step of the document priors. Works on the histogram of counts, not on documents."""
-    _, doc_topic, _ = counts(state)
+def _doc_prior_step(doc_topic: DataFrame, doc_prior: list[float]) -> DataFrame:
+    """k, prior from (doc_id, k, cnt), through histograms of the counts."""
     per_topic = doc_topic.groupBy("k", F.col("cnt").alias("n")).agg(F.count("*").alias("docs"))
-    whole = doc_topic.groupBy("doc_id").agg(F.sum("cnt").alias("n")).groupBy("n").agg(F.count("*").alias("docs")).withColumn("k", F.lit(-1))
-    prior = F.get(F.array(*map(F.lit, doc_prior)), F.col("k"))
-    up = _rising(per_topic, prior)
-    down = _rising(whole, F.lit(float(sum(doc_prior)))).select(F.col("part").alias("below"))
+    whole = doc_topic.groupBy("doc_id").agg(F.sum("cnt").alias("n")).groupBy("n").agg(F.count("*").alias("docs"))
+    prior, mass = F.get(F.array(*map(F.lit, doc_prior)), F.col("k")), F.lit(float(sum(doc_prior)))
+    up = per_topic.groupBy("k").agg(F.sum(F.col("docs") * (digamma(F.col("n") + prior) - digamma(prior))).alias("part"))
+    down = whole.agg(F.sum(F.col("docs") * (digamma(F.col("n") + mass) - digamma(mass))).alias("below"))
     return up.crossJoin(down).select("k", (prior * F.col("part") / F.col("below")).alias("prior"))  # one row on the right
 
 
-def word_prior_step(state: DataFrame, n_topics: int, word_prior: float) -> float:
-    """One fixed-point step of the symmetric word prior; the driver gets histograms' sums and n_topics totals."""
-    word_topic, _, topic_total = counts(state)
-    v = word_topic.select("word").distinct().count()
-    small = word_topic.groupBy("k", F.col("cnt").alias("n")).agg(F.count("*").alias("docs"))
-    up = _rising(small, F.lit(word_prior)).agg(F.sum("part")).first()[0]
+def prior_step(state: DataFrame, n_topics: int, doc_prior: list[float]) -> DataFrame:
+    """k, prior: one fixed-point step of the document priors. Works on the histogram of counts, not on documents."""
+    return _doc_prior_step(counts(state)[1], doc_prior)
+
 
-    def digamma(x: float) -> float:
-        out = 0.0
-        while x < 6:
-            out, x = out - 1 / x, x + 1
-        return out + math.log(x) - 1 / (2 * x) - 1 / (12 * x**2) + 1 / (120 * x**4) - 1 / (252 * x**6)
+def _word_prior_step(word_topic: DataFrame, totals: list[int], v: int, word_prior: float) -> float:
+    prior = F.lit(word_prior)
+    small = word_topic.groupBy(F.col("cnt").alias("n")).agg(F.count("*").alias("cells"))
+    parts = small.agg(F.sum(F.col("cells") * (digamma(F.col("n") + prior) - digamma(prior))).alias("up"))
+    sizes = word_topic.sparkSession.createDataFrame([(float(t),) for t in totals], "t double")  # n_topics numbers
+    below = sizes.agg(F.sum(digamma(F.col("t") + v * word_prior) - digamma(F.lit(v * word_prior))).alias("down"))
+    up, down = parts.crossJoin(below).first()
+    return word_prior * up / (v * down) if up and down else word_prior
 
-    return word_prior * up / (v * sum(digamma(r["cnt"] + v * word_prior) - digamma(v * word_prior) for r in topic_total.collect()))
+
+def word_prior_step(state: DataFrame, n_topics: int, word_prior: float) -> float:
+    """One fixed-point step of the symmetric word prior; the driver gets two sums and n_topics totals."""
+    word_topic, _, topic_total = counts(state)
+    return _word_prior_step(word_topic, [r["cnt"] for r in topic_total.collect()], word_topic.select("word").distinct().count(), word_prior)
 
 
 def log_gamma(x: Column) -> Column:
@@ -178,16 +191,16 @@ class Model:
 
 def weights_of(words: np.ndarray, n_doc: np.ndarray, n_word: np.ndarray, n_topic: np.ndarray, doc_prior: np.ndarray, word_prior: float, v: int, repeat_offset: bool = True) -> np.ndarray:
     """Topic weights of a clique given counts without it; n_word is word x topic."""
-    out = np.ones(len(n_topic))
+    out = np.zeros(len(n_topic))  # logarithms, as a long clique's product leaves the range of numbers
     for j, w in enumerate(words):
         seen = int((words[:j] == w).sum()) if repeat_offset and j else 0
-        out *= (doc_prior + n_doc + j) * (word_prior + n_word[w] + seen) / (v * word_prior + n_topic + j)
-    return out
+        out += np.log((doc_prior + n_doc + j) * (word_prior + n_word[w] + seen) / (v * word_prior + n_topic + j))
+    return np.exp(out - out.max())
 
 
-def sweep_rows(docs: list[list[np.ndarray]], topics: list[np.ndarray], n_word: np.ndarray, n_topic: np.ndarray, doc_prior: np.ndarray, word_prior: float, rng: np.random.Generator, repeat_offset: bool = True) -> None:
-    """One sequential sweep over documents, changing topics and counts in place."""
-    k_all, v = len(n_topic), len(n_word)
+def sweep_rows(docs: list[list[np.ndarray]], topics: list[np.ndarray], n_word: np.ndarray, n_topic: np.ndarray, doc_prior: np.ndarray, word_prior: float, v: int, rng: np.random.Generator, repeat_offset: bool = True) -> None:
+    """One sequential sweep over documents, changing topics and counts in place; v is the size of the whole vocabulary."""
+    k_all = len(n_topic)
     for cliques, z in zip(docs, topics, strict=True):
         sizes = np.array([len(c) for c in cliques])
         n_doc = np.bincount(z, weights=sizes, minlength=k_all)
@@ -214,15 +227,15 @@ def sweep_rows(docs: list[list[np.ndarray]], topics: list[np.ndarray], n_word: n
                 np.add.at(n_word[:, new], words, 1)
 
 
-STATE = "doc_id long, gs array<int>, words array<array<int>>, z array<int>"
+STATE = "block int, doc_id long, gs array<int>, words array<array<int>>, z array<int>"
 
 
-def sweep_lanes(sizes: np.ndarray, lengths: np.ndarray, tokens: np.ndarray, z: np.ndarray, n_word: np.ndarray, n_topic: np.ndarray, doc_prior: np.ndarray, word_prior: float, rng: np.random.Generator, repeat_offset: bool = True, lanes: int = 128) -> None:
+def sweep_lanes(sizes: np.ndarray, lengths: np.ndarray, tokens: np.ndarray, z: np.ndarray, n_word: np.ndarray, n_topic: np.ndarray, doc_prior: np.ndarray, word_prior: float, v: int, rng: np.random.Generator, repeat_offset: bool = True, lanes: int = 128) -> None:
     """One sweep over documents given flat: cliques a document, words a clique, word ids, topics (changed in place, as the counts).
 
     ``lanes`` documents of like size go side by side: their first cliques are drawn together, then their second ones, and so on. A
     draw sees the shared counts without the cliques drawn beside it; each document's own counts are always up to date."""
-    k_all, v_prior = len(n_topic), len(n_word) * word_prior
+    k_all, v_prior = len(n_topic), v * word_prior
     first = np.concatenate([[0], np.cumsum(sizes)])[:-1]
     at = np.concatenate([[0], np.cumsum(lengths)])[:-1]
     order = np.argsort(-sizes, kind="stable")
@@ -246,15 +259,17 @@ def sweep_lanes(sizes: np.ndarray, lengths: np.ndarray, tokens: np.ndarray, z: n
                 x = tokens[begin[on] + j]
                 np.subtract.at(n_word, (x, old[on]), 1)
                 held.append((on, x))
-            p = np.ones((live, k_all))
             for j, (on, x) in enumerate(held):
                 words = n_word[x] + word_prior
                 if repeat_offset and j:
                     words += sum((tokens[begin[on] + i] == x) for i in range(j))[:, None]
                 part = (doc_prior + j + n_doc[on]) * words / (v_prior + n_topic + j)
-                p = part if j == 0 else p
-                if j:
-                    p[on] *= part
+                if j == 0:
+                    p = np.log(part) if most > 1 else part  # logarithms, as a long clique's product leaves the range of numbers
+                else:
+                    p[on] += np.log(part)
+            if most > 1:
+                p = np.exp(p - p.max(1, keepdims=True))
             sums = np.cumsum(p, axis=1)
             new = np.minimum((sums <= (rng.random(live) * sums[:, -1])[:, None]).sum(1), k_all - 1)
             z[c] = new
@@ -264,77 +279,146 @@ def sweep_lanes(sizes: np.ndarray, lengths: np.ndarray, tokens: np.ndarray, z: n
                 np.add.at(n_word, (x, new[on]), 1)
 
 
-def _flat(batch: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    import pyarrow.compute as pc
+def _flat(table: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Cliques a document, words a clique, word ids and topics of a block's rows."""
+    words, z = (table.column(c).combine_chunks() for c in ("words", "z"))
+    inner = words.flatten()
+    numbers = lambda a: a.to_numpy(zero_copy_only=False).astype(np.int64)
+    return numbers(pc.list_value_length(words)), numbers(pc.list_value_length(inner)), numbers(inner.flatten()), numbers(z.flatten())
+
+
+def _sweep(n_topic: np.ndarray, doc_prior: np.ndarray, word_prior: float, v: int, seed: int, sweep: int, inner: int, repeat_offset: bool, exact: bool):
+    """The work of one block: its rows and the counts of its words, given as rows of ``counts_of(ids)``."""
+
+    def run(block: int, table: pa.Table, counts_of) -> pa.Table:
+        table = table.sort_by("doc_id")
+        sizes, lengths, tokens, z = _flat(table)
+        z = z.copy()
+        ids, tokens = np.unique(tokens, return_inverse=True)
+        local_word, local_topic = counts_of(ids).astype(np.float64), n_topic.astype(np.float64)
+        rng = np.random.default_rng([seed, sweep, block])  # the same block recomputed draws the same topics
+        for _ in range(inner):
+            if exact:
+                docs = np.split(np.arange(len(lengths)), np.cumsum(sizes)[:-1])
+                parts = np.split(tokens, np.cumsum(lengths)[:-1])
+                topics_of = [z[d] for d in docs]
+                sweep_rows([[parts[i] for i in d] for d in docs], topics_of, local_word, local_topic, doc_prior, word_prior, v, rng, repeat_offset)
+                z = np.concatenate(topics_of)
+            else:
+                sweep_lanes(sizes, lengths, tokens, z, local_word, local_topic, doc_prior, word_prior, v, rng, repeat_offset)
+        offsets = pa.array(np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32))
+        return pa.table({**{c: table.column(c) for c in ("block", "doc_id", "gs", "words")}, "z": pa.ListArray.from_arrays(offsets, pa.array(z.astype(np.int32)))})
 
-    inner = batch.column(2).flatten()
-    return (pc.list_value_length(batch.column(2)).to_numpy(zero_copy_only=False).astype(np.int64), pc.list_value_length(inner).to_numpy(zero_copy_only=False).astype(np.int64), inner.flatten().to_numpy(zero_copy_only=False).astype(np.int64), batch.column(3).flatten().to_numpy(zero_copy_only=False).astype(np.int64))
+    return run
 
 
-def _sweep(n_word: np.ndarray, n_topic: np.ndarray, doc_prior: np.ndarray, word_prior: float, seed: int, sweep: int, inner: int, repeat_offset: bool, exact: bool):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        local_word, local_topic = n_word.astype(np.float64), n_topic.astype(np.float64)
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            sizes, lengths, tokens, z = _flat(batch)
-            z = z.copy()
-            # the same partition recomputed draws the same topics
-            rng = np.random.default_rng([seed, sweep, int(batch.column(0)[0].as_py()) & 0x7FFFFFFF])
-            for _ in range(inner):
-                if exact:
-                    cuts = np.cumsum(sizes)[:-1]
-                    docs = np.split(np.arange(len(lengths)), cuts)
-                    parts = np.split(tokens, np.cumsum(lengths)[:-1]) if len(lengths) else []
-                    topics_of = [z[d] for d in docs]
-                    sweep_rows([[parts[i] for i in d] for d in docs], topics_of, local_word, local_topic, doc_prior, word_prior, rng, repeat_offset)
-                    z = np.concatenate(topics_of) if topics_of else z
-                else:
-                    sweep_lanes(sizes, lengths, tokens, z, local_word, local_topic, doc_prior, word_prior, rng, repeat_offset)
-            offsets = pa.array(np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32))
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), batch.column(2), pa.ListArray.from_arrays(offsets, pa.array(z.astype(np.int32)))], ["doc_id", "gs", "words", "z"])
+def block_of(key: str, labels: list[int], n: int) -> Column:
+    """The block of a key, by its hash."""
+    at = F.pmod(F.xxhash64(key), F.lit(n)).cast("int")
+    return F.get(F.array(*map(F.lit, labels)), at) if labels else at
+
+
+def block_labels(spark, n: int) -> list[int]:
+    """n block numbers that fall on n different partitions of n; none beyond a few thousand, where uneven falls even out."""
+    if n > 4096:
+        return []
+    rows = spark.range(32 * n).select(F.col("id").cast("int").alias("i")).groupBy(F.pmod(F.hash("i"), F.lit(n)).alias("at")).agg(F.min("i").alias("i")).collect()
+    found = [r["i"] for r in rows]
+    return (found + [i for i in range(32 * n) if i not in set(found)])[:n]
 
-    return run
 
+def _cells(now: DataFrame) -> DataFrame:
+    """w, k, cnt of the documents' rows."""
+    return now.select(F.explode(F.arrays_zip("words", "z")).alias("c")).select(F.explode("c.words").alias("w"), F.col("c.z").alias("k")).groupBy("w", "k").agg(F.count("*").alias("cnt"))
 
-def fit(cliques: DataFrame, n_topics: int | str = 5, sweeps: int = 20, doc_prior: float | None = None, word_prior: float = 0.01, mode: str = "partitioned", partitions: int = 8, seed: int = 7, inner_sweeps: int = 1, optimise_every: int = 0, trace_every: int = 0, repeat_offset: bool = True, k_max: int = 20, concentration: float = 1.0) -> Model:
+
+def _dense(rows: DataFrame, key: str, k: int, name: str) -> DataFrame:
+    """(key, k, cnt) as (key, array of k counts), for any number of topics."""
+    found = rows.groupBy(key).agg(F.map_from_entries(F.collect_list(F.struct("k", "cnt"))).alias("_m"))
+    return found.select(key, F.transform(F.sequence(F.lit(0), F.lit(k - 1)), lambda i: F.coalesce(F.try_element_at("_m", i), F.lit(0)).cast("double")).alias(name))
+
+
+def _doc_counts(now: DataFrame) -> DataFrame:
+    spread = now.select("doc_id", F.explode(F.arrays_zip("words", "z")).alias("c"))
+    return spread.groupBy("doc_id", F.col("c.z").alias("k")).agg(F.sum(F.size("c.words")).alias("cnt"))
+
+
+def _log_likelihood(tokens: DataFrame, now: DataFrame, cells: DataFrame, totals: np.ndarray, prior: np.ndarray, word_prior: float, places: int) -> tuple[int, float]:
+    """Tokens and their log probability, tokens being (doc_id, w, m) with null for a word without a count; ``places`` is the size of the
+    vocabulary that the word prior is spread over."""
+    k = len(prior)
+    p = F.array(*map(F.lit, prior.tolist()))
+    size = F.array(*[F.lit(float(t) + word_prior * places) for t in totals])
+    none = F.array_repeat(F.lit(0.0), k)
+    th = F.zip_with(F.coalesce("n_doc", none), p, lambda a, b: a + b)
+    ph = F.zip_with(F.coalesce("n_word", none), size, lambda a, b: (a + word_prior) / b)
+    add = lambda x: F.aggregate(x, F.lit(0.0), lambda a, b: a + b)
+    joined = tokens.join(_dense(cells, "w", k, "n_word"), "w", "left").join(_dense(_doc_counts(now), "doc_id", k, "n_doc"), "doc_id", "left")
+    rows = joined.select("m", th.alias("th"), ph.alias("ph")).select("m", (add(F.zip_with("th", "ph", lambda a, b: a * b)) / add(F.col("th"))).alias("p"))
+    n, x = rows.agg(F.sum("m"), F.sum(F.col("m") * F.log("p"))).first()
+    return n or 0, x or 0.0
+
+
+def fit(cliques: DataFrame, n_topics: int | str = 5, sweeps: int = 20, doc_prior: float | None = None, word_prior: float = 0.01, mode: str = "partitioned", partitions: int = 8, seed: int = 7, inner_sweeps: int = 1, optimise_every: int = 0, trace_every: int = 0, repeat_offset: bool = True, k_max: int = 20, concentration: float = 1.0, held: DataFrame | None = None) -> Model:
     """Gibbs sampling over cliques (doc_id, g, words).
 
     n_topics='auto' starts from k_max topics under a truncated Dirichlet-process prior: after each sweep the document prior's mass
     follows the topics' use by stick breaking, so topics without use fade. mode='exact' is one sequential task, 'partitioned' is
-    many with counts merged at every barrier, 'snapshot' is all in DataFrame operations. The vocabulary's counts go to the tasks
-    as an array; beyond SHIP_CELLS cells the fit turns to 'snapshot', which only joins. That mode has one fixed prior and one sweep a round, so it raises
-    ValueError where an automatic topic number, prior updates, a trace or inner sweeps are asked for."""
+    many blocks (at least ``partitions``, and as many as the corpus needs) with counts merged at every barrier, 'snapshot' is all in
+    DataFrame operations. optimise_every=n takes a fixed-point step of the document priors and of the word prior after every n-th
+    sweep. trace_every=n notes the training perplexity of every n-th sweep and, with ``held`` (doc_id, words), that of those
+    cliques, scored with their documents' topics; words without a count share one more place of the vocabulary.
+
+    snapshot has one fixed prior and one sweep a round, so it raises ValueError where an automatic topic number, prior updates, a
+    trace or inner sweeps are asked for. An empty table gives an empty model."""
+    from ..functions.text import dense_ids
+
     auto = n_topics == "auto"
     k = k_max if auto else int(n_topics)
     prior = np.full(k, (50 / k if doc_prior is None else doc_prior) if not auto else concentration / k)
     state = init(cliques, k, seed)
-    from ..functions.text import dense_ids
-
-    words = dense_ids(cliques.select(F.explode("words").alias("word")).groupBy("word").agg(F.count("*").alias("cnt")), F.desc("cnt"), F.col("word"), name="word_id")
-    v = words.count()
-    if mode == "snapshot" or v * k > SHIP_CELLS:
+    words = settle(dense_ids(cliques.select(F.explode("words").alias("word")).groupBy("word").agg(F.count("*").alias("cnt")), F.desc("cnt"), F.col("word"), name="word_id"), "words")
+    v, n_tokens = (x or 0 for x in words.agg(F.count("*"), F.sum("cnt")).first())
+    if mode == "snapshot":
         asked = [n for n, on in (("n_topics='auto'", auto), ("optimise_every", optimise_every), ("trace_every", trace_every), ("inner_sweeps", inner_sweeps != 1)) if on]
         if asked:
-            raise ValueError(f"snapshot mode ({v} words x {k} topics; other modes hold up to {SHIP_CELLS} cells) has no {', '.join(asked)}")
-        trace = []
+            raise ValueError(f"snapshot mode has no {', '.join(asked)}")
         for s in range(1, sweeps + 1):
-            state = settle(snapshot_sweep(state, k, s, seed, doc_prior=float(prior[0]), word_prior=word_prior, repeat_offset=repeat_offset, vocabulary=v), f"sweep-{s}")
-        return Model(state, k, prior, word_prior, trace)
-    long = state.select("doc_id", "g", "z", F.posexplode("words").alias("j", "word")).join(words.select("word", "word_id"), "word")
-    coded = long.groupBy("doc_id", "g").agg(F.first("z").alias("z"), F.transform(F.array_sort(F.collect_list(F.struct("j", "word_id"))), lambda x: x["word_id"].cast("int")).alias("ids"))
-    packed = coded.groupBy("doc_id").agg(F.array_sort(F.collect_list(F.struct("g", "ids", "z"))).alias("c")).select("doc_id", F.transform("c", lambda x: x["g"].cast("int")).alias("gs"), F.transform("c", lambda x: x["ids"]).alias("words"), F.transform("c", lambda x: x["z"]).alias("z"))
-    tasks = 1 if mode == "exact" else partitions
-    now = settle(packed.repartition(tasks, "doc_id").sortWithinPartitions("doc_id"), "docs")
+            before, state = state, settle(snapshot_sweep(state, k, s, seed, doc_prior=float(prior[0]), word_prior=word_prior, repeat_offset=repeat_offset, vocabulary=v), f"sweep-{s}")
+            discard(before)
+        return Model(state, k, prior, word_prior, [])
+    exact = mode == "exact"
+    spark = cliques.sparkSession
+    blocks = 1 if exact else max(partitions, -(-n_tokens * k // BLOCK_CELLS))
+    label = block_of("doc_id", block_labels(spark, blocks), blocks)
+    ids = words.select("word", F.col("word_id").cast("int").alias("word_id"))
+    long = state.select("doc_id", "g", "z", F.posexplode("words").alias("j", "word")).join(ids, "word")
+    coded = long.groupBy("doc_id", "g").agg(F.first("z").alias("z"), F.transform(F.array_sort(F.collect_list(F.struct("j", "word_id"))), lambda x: x["word_id"]).alias("ids"))
+    packed = coded.groupBy("doc_id").agg(F.array_sort(F.collect_list(F.struct("g", "ids", "z"))).alias("c")).select(label.alias("block"), "doc_id", F.transform("c", lambda x: x["g"].cast("int")).alias("gs"), F.transform("c", lambda x: x["ids"]).alias("words"), F.transform("c", lambda x: x["z"]).alias("z"))
+    now = settle(packed, "topic-docs")
+    ship = v * k <= SHIP_CELLS
+    needs = None if ship else settle(now.select("block", F.explode(F.flatten("words")).alias("w")).distinct(), "block-words")
+    asked = None
+    if trace_every:
+        train = now.select("doc_id", F.explode(F.flatten("words")).alias("w")).groupBy("doc_id", "w").agg(F.count("*").alias("m"))
+        if held is not None:
+            rows = held.select("doc_id", F.explode("words").alias("word")).join(ids, "word", "left")
+            asked = settle(rows.groupBy("doc_id", F.col("word_id").alias("w")).agg(F.count("*").alias("m")), "held-tokens")
     trace = []
     for s in range(sweeps + 1):
-        cells = now.select(F.explode(F.arrays_zip("words", "z")).alias("c")).select(F.explode("c.words").alias("w"), F.col("c.z").alias("k")).groupBy("w", "k").agg(F.count("*").alias("cnt")).toArrow()
-        n_word = np.zeros((v, k), np.int64)
-        n_word[cells.column("w").to_numpy(), cells.column("k").to_numpy()] = cells.column("cnt").to_numpy()
-        n_topic = n_word.sum(0)
+        cells = settle(_cells(now), f"counts-{s}")
+        n_topic = np.zeros(k, np.int64)
+        for r in cells.groupBy("k").agg(F.sum("cnt").alias("cnt")).collect():  # n_topics numbers
+            n_topic[r["k"]] = r["cnt"]
         if trace_every and s % trace_every == 0:
-            trace.append({"sweep": s, "perplexity": _training_perplexity(now, n_word, prior, word_prior), "tokens": int(n_topic.sum())})
+            n, x = _log_likelihood(train, now, cells, n_topic, prior, word_prior, v)
+            note = {"sweep": s, "tokens": n, "perplexity": math.exp(-x / max(1, n))}
+            if asked is not None:
+                n, x = _log_likelihood(asked, now, cells, n_topic, prior, word_prior, v + 1)
+                note |= {"held_tokens": n, "held_perplexity": math.exp(-x / max(1, n))}
+            trace.append(note)
         if s == sweeps:
+            discard(cells)
             break
         if auto:
             share = np.sort(n_topic)[::-1]
@@ -343,34 +427,52 @@ def fit(cliques: DataFrame, n_topics: int | str = 5, sweeps: int = 20, doc_prior
             sticks = stick * np.concatenate([[1], np.cumprod(1 - stick)[:-1]])
             prior = np.empty(k)
             prior[np.argsort(-n_topic, kind="stable")] = concentration * np.maximum(sticks / sticks.sum(), 1e-6)
-        elif optimise_every and s and s % optimise_every == 0:
-            spread = now.select("doc_id", F.explode(F.arrays_zip("gs", "words", "z")).alias("c")).select("doc_id", F.col("c.words").alias("words"), F.col("c.z").alias("z"))
-            for r in prior_step(spread, k, prior.tolist()).collect():  # n_topics numbers
-                prior[r["k"]] = max(r["prior"], 1e-6)
-        run = _sweep(n_word, n_topic, prior, word_prior, seed, s, inner_sweeps, repeat_offset, mode == "exact")
-        source = now.coalesce(1).sortWithinPartitions("doc_id") if mode == "exact" else now
-        now = settle(source.mapInArrow(run, STATE), f"sweep-{s + 1}")
+        if optimise_every and s and s % optimise_every == 0:
+            if not auto:
+                for r in _doc_prior_step(_doc_counts(now), prior.tolist()).collect():  # n_topics numbers
+                    prior[r["k"]] = max(r["prior"], 1e-6)
+            word_prior = max(_word_prior_step(cells, n_topic.tolist(), v, word_prior), 1e-6)
+        work = _sweep(n_topic, prior.copy(), word_prior, v, seed, s, inner_sweeps, repeat_offset, exact)
+        dealt = now.repartition(blocks, "block").groupBy("block")
+        if ship:
+            flat = cells.toArrow()
+            n_word = np.zeros((v, k), np.int32 if n_tokens < 1 << 31 else np.int64)
+            n_word[flat.column("w").to_numpy(), flat.column("k").to_numpy()] = flat.column("cnt").to_numpy()
+            sent = spark.sparkContext.broadcast(n_word)
+            done = dealt.applyInArrow(_by_broadcast(work, sent), STATE)
+        else:
+            listed = cells.groupBy("w").agg(F.collect_list("k").alias("ks"), F.collect_list("cnt").alias("cs"))
+            slices = needs.join(listed, "w").select("block", "w", "ks", "cs")
+            done = dealt.cogroup(slices.repartition(blocks, "block").groupBy("block")).applyInArrow(_by_slices(work, k), STATE)
+        before, now = now, settle(done, f"sweep-{s + 1}")
+        discard(before)
+        discard(cells)
+        if ship:
+            sent.destroy()
     flat = now.select("doc_id", F.posexplode(F.arrays_zip("gs", "words", "z")).alias("i", "c")).select("doc_id", F.col("c.gs").alias("g"), F.col("c.z").alias("z"), F.posexplode("c.words").alias("j", "word_id"))
-    named = flat.join(words.select("word", F.col("word_id").cast("int").alias("word_id")), "word_id").groupBy("doc_id", "g").agg(F.first("z").alias("z"), F.transform(F.array_sort(F.collect_list(F.struct("j", "word"))), lambda x: x["word"]).alias("words"))
+    named = flat.join(ids, "word_id").groupBy("doc_id", "g").agg(F.first("z").alias("z"), F.transform(F.array_sort(F.collect_list(F.struct("j", "word"))), lambda x: x["word"]).alias("words"))
     return Model(named.select("doc_id", "g", "words", "z"), k, prior, word_prior, trace)
 
 
-def _training_perplexity(now: DataFrame, n_word: np.ndarray, prior: np.ndarray, word_prior: float) -> float:
-    phis = (n_word + word_prior) / (n_word.sum(0) + word_prior * len(n_word))
+def _by_broadcast(work, sent):
+    def run(key: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
+        return work(key[0].as_py(), table, lambda ids: sent.value[ids])
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total, n = 0.0, 0
-        for batch in batches:
-            for r in batch.to_pylist():
-                sizes = np.array([len(c) for c in r["words"]])
-                th = prior + np.bincount(np.array(r["z"], np.int64), weights=sizes, minlength=len(prior))
-                ids = np.concatenate([np.array(c, np.int64) for c in r["words"]])
-                total += float(np.log(phis[ids] @ (th / th.sum())).sum())
-                n += len(ids)
-        yield pa.RecordBatch.from_pydict({"total": [total], "n": [n]})
+    return run
+
+
+def _by_slices(work, k: int):
+    def run(key: tuple[pa.Scalar, ...], table: pa.Table, slices: pa.Table) -> pa.Table:
+        def counts_of(ids: np.ndarray) -> np.ndarray:
+            out = np.zeros((len(ids), k))
+            ks, cs = slices.column("ks").combine_chunks(), slices.column("cs").combine_chunks()
+            rows = np.searchsorted(ids, slices.column("w").to_numpy())
+            out[np.repeat(rows, pc.list_value_length(ks).to_numpy(zero_copy_only=False)), ks.flatten().to_numpy()] = cs.flatten().to_numpy()
+            return out
 
-    got = now.mapInArrow(run, "total double, n long").agg(F.sum("total"), F.sum("n")).first()
-    return math.exp(-got[0] / max(1, got[1]))
+        return work(key[0].as_py(), table, counts_of)
+
+    return run
 
 
 def infer(cliques: DataFrame, phis: DataFrame, n_topics: int, sweeps: int = 10, doc_prior: float = 0.5, seed: int = 7) -> DataFrame:
@@ -385,7 +487,7 @@ def infer(cliques: DataFrame, phis: DataFrame, n_topics: int, sweeps: int = 10,
             ids, thetas = [], []
             for r in batch.to_pylist():
                 rng = np.random.default_rng([seed, r["doc_id"] & 0x7FFFFFFF])
-                like = np.array([np.prod(np.array(c["ps"]), axis=0) for c in r["cs"]])
+                like = np.array([np.log(np.array(c["ps"])).sum(0) for c in r["cs"]])
                 sizes = np.array([len(c["ps"]) for c in r["cs"]])
                 z = rng.integers(0, n_topics, len(sizes))
                 n = np.bincount(z, weights=sizes, minlength=n_topics)
@@ -393,7 +495,8 @@ def infer(cliques: DataFrame, phis: DataFrame, n_topics: int, sweeps: int = 10,
                 for s in range(sweeps):
                     for i, draw in enumerate(rng.random(len(sizes))):
                         n[z[i]] -= sizes[i]
-                        c = np.cumsum(like[i] * (doc_prior + n) ** sizes[i])
+                        p = like[i] + sizes[i] * np.log(doc_prior + n)
+                        c = np.cumsum(np.exp(p - p.max()))
                         z[i] = min(int(np.searchsorted(c, draw * c[-1], side="right")), n_topics - 1)
                         n[z[i]] += sizes[i]
                     mean += n * (s >= sweeps // 2)

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass, field
 from functools import cached_property
 
@@ -9,12 +10,17 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import text
+from ..functions.stem import stem_vocabulary
 from ..operators import mining, rank, segment, topics
 from ..sources.io import scan, settle
+from .oracles import SWEEPS
 
 
 @dataclass(frozen=True)
 class Config:
+    """Support, threshold, lengths and model of one run. stem=True mines and models stems and shows the most frequent written forms;
+    optimise_every=n re-estimates the priors after every n-th sweep (0: never)."""
+
     min_support: float = 10
     support_kind: str = "absolute"
     max_len: int | None = None
@@ -25,6 +31,8 @@ class Config:
     word_prior: float = 0.01
     mode: str = "partitioned"
     seed: int = 7
+    stem: bool = False
+    optimise_every: int = 0
 
 
 @dataclass
@@ -41,7 +49,11 @@ class Stages:
     @cached_property
     def chunks(self) -> DataFrame:
         kept = text.drop_stopwords(self.raw) if "lang" in self.docs.columns else self.raw.withColumn("at", F.sequence(F.lit(0), F.size("toks") - 1))
-        return settle(kept, "chunks")
+        if not self.config.stem:
+            return settle(kept, "chunks")
+        kept = settle(kept, "unstemmed")
+        words = kept.select(F.explode("toks").alias("word")).distinct()
+        return settle(text.apply_stems(kept, settle(stem_vocabulary(words), "stems")), "chunks")
 
     @cached_property
     def mined(self) -> mining.Mined:
@@ -61,6 +73,24 @@ class Stages:
         """Topics before the first sweep."""
         return settle(topics.init(self.cliques, self.config.n_topics, self.config.seed), "state")
 
+    @cached_property
+    def fitted(self) -> DataFrame:
+        """Topics after a few sweeps that other engines can repeat: the state that measures and rankings are shown on."""
+        return settle(self._swept(self.state), "fitted")
+
+    @cached_property
+    def fitted_words(self) -> DataFrame:
+        """The same of the word model: doc_id, chunk_no, pos, g, word, z."""
+        swept = self._swept(self.words.select("doc_id", "g", F.array("word").alias("words"), "z")).select("doc_id", "g", "z")
+        return settle(self.words.drop("z").join(swept, ["doc_id", "g"]), "fitted-words")
+
+    def _swept(self, state: DataFrame) -> DataFrame:
+        c = self.config
+        v = state.select(F.explode("words").alias("word")).distinct().count()
+        for s in range(1, SWEEPS + 1):
+            state = settle(topics.snapshot_sweep(state, c.n_topics, s, c.seed, doc_prior=c.doc_prior, word_prior=c.word_prior, vocabulary=v), f"swept-{s}")
+        return state
+
     @cached_property
     def words(self) -> DataFrame:
         """One-word cliques with topics before the first sweep: doc_id, chunk_no, pos, word, z."""
@@ -75,26 +105,35 @@ class Stages:
         spans = self.parts.join(at, ["doc_id", "chunk_no"]).select("doc_id", "chunk_no", "phrase", F.get("at", F.col("start")).alias("first_at"), F.get("at", F.col("start") + F.col("len") - 1).alias("last_at"))
         return text.surface(self.raw, spans)
 
+    @cached_property
+    def word_surfaces(self) -> DataFrame:
+        return text.word_surfaces(self.raw, self.chunks)
+
+    def view(self, state: DataFrame) -> DataFrame:
+        """Topic view in written forms."""
+        return rank.topic_view(state, surfaces=self.surfaces, word_surfaces=self.word_surfaces if self.config.stem else None)
+
     def fit(self, **options) -> topics.Model:
         c = self.config
-        return topics.fit(self.cliques, **{"n_topics": c.n_topics, "sweeps": c.sweeps, "doc_prior": c.doc_prior, "word_prior": c.word_prior, "mode": c.mode, "seed": c.seed} | options)
+        return topics.fit(self.cliques, **{"n_topics": c.n_topics, "sweeps": c.sweeps, "doc_prior": c.doc_prior, "word_prior": c.word_prior, "mode": c.mode, "seed": c.seed, "optimise_every": c.optimise_every} | options)
 
 
 def run(docs: DataFrame, config: Config | None = None) -> tuple[DataFrame, Stages, topics.Model]:
     """Topic view, stage tables and model of a corpus (doc_id, text[, lang])."""
     stages = Stages(docs, config or Config())
     model = stages.fit()
-    return rank.topic_view(model.state, surfaces=stages.surfaces), stages, model
+    return stages.view(model.state), stages, model
 
 
-_KEPT: dict[tuple[str, str, int | None], Stages] = {}
+_KEPT: dict[tuple, Stages] = {}
 
 
-def stages_of(spark: SparkSession, sf_dir: str, max_len: int | None = None) -> Stages:
-    """Stage tables of the documents in sf_dir, shared by the queries of one application."""
-    key = (spark.sparkContext.applicationId, sf_dir, max_len)
+def stages_of(spark: SparkSession, sf_dir: str, max_len: int | None = None, docs: Callable[[SparkSession, str], DataFrame] | None = None, **options) -> Stages:
+    """Stage tables of the documents in sf_dir, or of the corpus that ``docs`` makes of it, shared by the queries of one application."""
+    key = (spark.sparkContext.applicationId, sf_dir, max_len, getattr(docs, "__name__", None), tuple(sorted(options.items())))
     if key not in _KEPT:
-        _KEPT[key] = Stages(scan(spark, sf_dir, "documents", "doc_id", "text", "lang", "source"), Config(max_len=max_len))
+        corpus = docs(spark, sf_dir) if docs else scan(spark, sf_dir, "documents", "doc_id", "text", "lang", "source")
+        _KEPT[key] = Stages(corpus, Config(max_len=max_len, **options))
     return _KEPT[key]
 
 

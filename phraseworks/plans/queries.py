@@ -10,8 +10,8 @@ from pyspark.sql import functions as F
 from ..functions import sqlsurface, text
 from ..functions.stem import stem_vocabulary
 from ..operators import baselines, evaluate, mining, rank, relational, segment, topics
-from ..sources.io import scan
-from . import pipeline, workloads
+from ..sources.io import scan, settle
+from . import methods, pipeline, workloads
 from .oracles import DOC_PRIOR, K, LONGEST, SUPPORT, THRESHOLD, WORD_PRIOR, sql, unit
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -29,9 +29,9 @@ def query(oracle: str | None = None) -> Callable[[Query], Query]:
     return register
 
 
-def _stages(spark, d):
+def _stages(spark, d, **options):
     """Phrases of up to LONGEST words, as the SQL counts them."""
-    return pipeline.stages_of(spark, d, LONGEST)
+    return pipeline.stages_of(spark, d, LONGEST, **options)
 
 
 #: Phrases of any length, for queries without SQL.
@@ -42,6 +42,13 @@ def _r(c, digits: int = 6):
     return F.round(c, digits)
 
 
+_SURFACES = """SELECT phrase, arg_min(surface, struct_pack(n := -n, s := surface)) AS surface, sum(n)::BIGINT AS cnt FROM (
+    SELECT phrase, array_to_string(all_toks[ats[start + 1] + 1:ats[start + n_words] + 1], ' ') AS surface, count(*) AS n FROM part GROUP BY ALL) GROUP BY phrase"""
+_VIEWED = f"""SELECT t.k, 'word' AS kind, t.rank::INT AS rank, s.surface AS text, t.tf AS score FROM topw t JOIN (SELECT word, arg_min(surface, struct_pack(n := -n, s := surface)) AS surface FROM (
+        SELECT toks[i] AS word, all_toks[ats[i] + 1] AS surface, count(*) AS n FROM ch, unnest(range(1, len(toks) + 1)) AS x(i) GROUP BY ALL) GROUP BY word) s USING (word)
+    UNION ALL SELECT t.k, 'phrase', t.rank::INT, s.surface, t.tf FROM topp t JOIN ({_SURFACES}) s USING (phrase)"""
+
+
 # --- front end -----------------------------------------------------------------------------------------------------------
 
 
@@ -83,11 +90,35 @@ def chunk_dedup(spark, d):
     return text.unique_chunks(_stages(spark, d).chunks).agg(F.count("*").alias("chunks"), F.sum("mult").alias("copies"), F.max("mult").alias("most"))
 
 
-@query()
+@query(sql("SELECT stem, count(*) AS words, sum(cnt)::BIGINT AS cnt FROM (SELECT word, count(*) AS cnt FROM (SELECT unnest(toks) AS word FROM unstemmed) GROUP BY word) c JOIN stemmed USING (word) GROUP BY stem", "unstemmed", "stemmed", stems=True))
 def stems(spark, d):
     return stem_vocabulary(text.vocabulary(_stages(spark, d).chunks)).groupBy("stem").agg(F.count("*").alias("words"), F.sum("cnt").alias("cnt"))
 
 
+@query(sql("SELECT n, phrase, cnt FROM cnt", "cnt", stems=True))
+def stemmed_phrases(spark, d):
+    """Phrases of stems: the corpus is stemmed before it is mined."""
+    return _stages(spark, d, stem=True).mined.counts
+
+
+@query(sql(_SURFACES, "part", stems=True))
+def stemmed_surface_forms(spark, d):
+    """Written forms of phrases that were mined as stems, stop words between their words included."""
+    return _stages(spark, d, stem=True).surfaces
+
+
+@query(sql("SELECT word, arg_min(surface, struct_pack(n := -n, s := surface)) AS surface, sum(n)::BIGINT AS cnt FROM (SELECT toks[i] AS word, all_toks[ats[i] + 1] AS surface, count(*) AS n FROM ch, unnest(range(1, len(toks) + 1)) AS t(i) GROUP BY ALL) GROUP BY word", "ch", stems=True))
+def unstemmed_words(spark, d):
+    return _stages(spark, d, stem=True).word_surfaces
+
+
+@query(sql(_VIEWED, "topw", "topp", "part", "ch", stems=True, fitted=True))
+def stemmed_topic_view(spark, d):
+    """Topics of the stemmed corpus, shown in written forms."""
+    s = _stages(spark, d, stem=True)
+    return s.view(s.fitted)
+
+
 # --- mining --------------------------------------------------------------------------------------------------------------
 
 
@@ -144,10 +175,19 @@ def order_free_phrases(spark, d):
     return mining.order_free(_stages(spark, d).mined.counts)
 
 
-@query(sql("SELECT a.phrase AS a, b.phrase AS b FROM cnt a JOIN cnt b ON a.n = b.n AND a.phrase < b.phrase AND levenshtein(a.phrase, b.phrase) <= 1 WHERE regexp_full_match(a.phrase, '[a-z0-9 ]+') AND regexp_full_match(b.phrase, '[a-z0-9 ]+')", "cnt"))
+@query()
 def similar_phrases(spark, d):
-    """ASCII phrases: the two engines measure other letters differently (characters here, bytes there)."""
-    return mining.tie_similar(_stages(spark, d).mined.counts.where(F.col("phrase").rlike("^[a-z0-9 ]+$")), "edit", 1)
+    """Phrases within two edits of each other, in characters; the SQL engine's distance is in bytes, so tests hold this against brute force."""
+    return mining.tie_similar(_stages(spark, d).mined.counts, "edit", 2)
+
+
+_STEMS_OF = "(SELECT phrase, array_to_string(list_transform(string_split(phrase, ' '), lambda w: stem_of[w]), ' ') AS st FROM cnt_unstemmed, (SELECT map(list(word), list(stem)) AS stem_of FROM stemmed))"
+
+
+@query(sql(f"SELECT a.phrase AS a, b.phrase AS b FROM {_STEMS_OF} a JOIN {_STEMS_OF} b ON a.st = b.st AND a.phrase < b.phrase", "cnt_unstemmed", "stemmed", stems=True))
+def same_stems(spark, d):
+    """Different phrases whose words have the same stems."""
+    return mining.tie_similar(_stages(spark, d).mined.counts, "stem")
 
 
 @query(sql("""SELECT a.phrase AS a, b.phrase AS b FROM cnt a JOIN cnt b ON a.phrase < b.phrase WHERE a.n > 1 AND b.n > 1
@@ -234,8 +274,7 @@ def partition_check(spark, d):
     return s.chunks.agg(F.count("*").alias("chunks")).crossJoin(broken)
 
 
-@query(sql("""SELECT phrase, arg_min(surface, struct_pack(n := -n, s := surface)) AS surface, sum(n)::BIGINT AS cnt FROM (
-    SELECT phrase, array_to_string(all_toks[ats[start + 1] + 1:ats[start + n_words] + 1], ' ') AS surface, count(*) AS n FROM part GROUP BY ALL) GROUP BY phrase""", "part"))
+@query(sql(_SURFACES, "part"))
 def surface_forms(spark, d):
     return _stages(spark, d).surfaces
 
@@ -278,6 +317,22 @@ def snapshot_sweep_lda(spark, d):
     return topics.snapshot_sweep(state, K, 1, doc_prior=DOC_PRIOR, word_prior=WORD_PRIOR).select("doc_id", "g", "z")
 
 
+@query(sql("SELECT doc_id, g, z FROM z0", "z0", fitted=True))
+def snapshot_chain(spark, d):
+    """Topics of the clique model after some snapshot sweeps, each from the counts of the one before."""
+    return _stages(spark, d).fitted.select("doc_id", "g", "z")
+
+
+@query(sql("SELECT doc_id, chunk_no, pos, z FROM lw", "lw", fitted=True))
+def snapshot_chain_lda(spark, d):
+    return _stages(spark, d).fitted_words.select("doc_id", "chunk_no", "pos", "z")
+
+
+@query(sql(f"SELECT round({WORD_PRIOR} * a.up / (b.v * c.down), 9) AS prior FROM (SELECT sum(1 / ({WORD_PRIOR} + i)) AS up FROM wk, unnest(range(0, c)) AS t(i)) a, v b, (SELECT sum(part) AS down FROM (SELECT sum(1 / (v.v * {WORD_PRIOR} + i)) AS part FROM tk CROSS JOIN v, unnest(range(0, tk.c)) AS t(i) GROUP BY tk.k)) c", "wk", "tk", "v", fitted=True))
+def word_prior_fixed_point_step(spark, d):
+    return spark.createDataFrame([(topics.word_prior_step(_stages(spark, d).fitted, K, WORD_PRIOR),)], "prior double").select(_r(F.col("prior"), 9).alias("prior"))
+
+
 @query(sql(f"""SELECT a.k, round({DOC_PRIOR} * a.part / b.part, 6) AS prior FROM
     (SELECT k, sum(1 / ({DOC_PRIOR} + i)) AS part FROM dk, unnest(range(0, c)) AS t(i) GROUP BY k) a,
     (SELECT sum(1 / ({DOC_PRIOR * K} + i)) AS part FROM (SELECT doc_id, sum(c)::BIGINT AS c FROM dk GROUP BY doc_id) s, unnest(range(0, c)) AS t(i)) b""", "dk"))
@@ -291,28 +346,28 @@ def log_joint(spark, d):
     return topics.log_joint(_stages(spark, d).state, K, DOC_PRIOR, WORD_PRIOR).select(_r(F.col("log_joint"), 2).alias("log_joint"))
 
 
-@query(sql(f"SELECT t.k, rank::INT AS rank, word, round((tf + {WORD_PRIOR}) / (tk.c + {WORD_PRIOR} * v.v), 6) AS phi FROM topw t JOIN tk ON tk.k = t.k CROSS JOIN v", "topw", "tk", "v"))
+@query(sql(f"SELECT t.k, rank::INT AS rank, word, round((tf + {WORD_PRIOR}) / (tk.c + {WORD_PRIOR} * v.v), 6) AS phi FROM topw t JOIN tk ON tk.k = t.k CROSS JOIN v", "topw", "tk", "v", fitted=True))
 def phi_top_words(spark, d):
-    p = topics.phi(_stages(spark, d).state, K, WORD_PRIOR)
+    p = topics.phi(_stages(spark, d).fitted, K, WORD_PRIOR)
     return rank.top(p, 10, F.col("phi"), "word").select("k", "rank", "word", _r(F.col("phi")).alias("phi"))
 
 
-@query(sql(f"SELECT d.doc_id, ks.k, round((coalesce(dk.c, 0) + {DOC_PRIOR}) / (d.n + {DOC_PRIOR * K}), 6) AS theta FROM (SELECT doc_id, sum(c) AS n FROM dk GROUP BY doc_id) d CROSS JOIN ks LEFT JOIN dk ON dk.doc_id = d.doc_id AND dk.k = ks.k", "dk", "ks"))
+@query(sql(f"SELECT d.doc_id, ks.k, round((coalesce(dk.c, 0) + {DOC_PRIOR}) / (d.n + {DOC_PRIOR * K}), 6) AS theta FROM (SELECT doc_id, sum(c) AS n FROM dk GROUP BY doc_id) d CROSS JOIN ks LEFT JOIN dk ON dk.doc_id = d.doc_id AND dk.k = ks.k", "dk", "ks", fitted=True))
 def theta_docs(spark, d):
-    return topics.theta(_stages(spark, d).state, K, DOC_PRIOR).select("doc_id", "k", _r(F.col("theta")).alias("theta"))
+    return topics.theta(_stages(spark, d).fitted, K, DOC_PRIOR).select("doc_id", "k", _r(F.col("theta")).alias("theta"))
 
 
-@query(sql("SELECT phrase, n_words, k, tf FROM tf", "tf"))
+@query(sql("SELECT phrase, n_words, k, tf FROM tf", "tf", fitted=True))
 def topical_frequency(spark, d):
-    return rank.topical_frequency(_stages(spark, d).state)
+    return rank.topical_frequency(_stages(spark, d).fitted)
 
 
 _VIEW = "SELECT k, 'word' AS kind, rank::INT AS rank, word AS text, tf AS score FROM topw UNION ALL SELECT k, 'phrase', rank::INT, phrase, tf FROM topp"
 
 
-@query(sql(_VIEW, "topw", "topp"))
+@query(sql(_VIEW, "topw", "topp", fitted=True))
 def topic_view(spark, d):
-    return rank.topic_view(_stages(spark, d).state)
+    return rank.topic_view(_stages(spark, d).fitted)
 
 
 @query(sql("""SELECT k, phrase, round(sum(pk * ln(pk / q)), 6) AS kl, round(sum(pk * ln(q / (w / n))), 6) AS mi, round(sum(pk * ln(q / (w / n))) - sum(pk * ln(pk / q)), 6) AS score FROM (
@@ -320,30 +375,30 @@ def topic_view(spark, d):
     FROM (SELECT h.phrase, t.word, count(*) AS c FROM (SELECT DISTINCT doc_id, phrase FROM z0 WHERE phrase IN (SELECT phrase FROM tf WHERE n_words > 1 AND tf >= 5)) h JOIN tok t ON t.doc_id = h.doc_id GROUP BY ALL) x
     JOIN (SELECT h.phrase, count(*) AS s FROM (SELECT DISTINCT doc_id, phrase FROM z0 WHERE phrase IN (SELECT phrase FROM tf WHERE n_words > 1 AND tf >= 5)) h JOIN tok t ON t.doc_id = h.doc_id GROUP BY h.phrase) sz ON sz.phrase = x.phrase
     JOIN wtf p ON p.word = x.word JOIN (SELECT k, sum(tf) AS total FROM wtf GROUP BY k) s ON s.k = p.k
-    JOIN (SELECT word, sum(tf) AS w FROM wtf GROUP BY word) e ON e.word = x.word CROSS JOIN (SELECT sum(tf) AS n FROM wtf) nn) GROUP BY k, phrase""", "z0", "tf", "tok", "wtf"))
+    JOIN (SELECT word, sum(tf) AS w FROM wtf GROUP BY word) e ON e.word = x.word CROSS JOIN (SELECT sum(tf) AS n FROM wtf) nn) GROUP BY k, phrase""", "z0", "tf", "tok", "wtf", fitted=True))
 def label_kl(spark, d):
-    return rank.label_score(_stages(spark, d).state).select("k", "phrase", *[_r(F.col(c)).alias(c) for c in ("kl", "mi", "score")])
+    return rank.label_score(_stages(spark, d).fitted).select("k", "phrase", *[_r(F.col(c)).alias(c) for c in ("kl", "mi", "score")])
 
 
 @query(sql("""SELECT k, phrase, round(1.0 * s(f1, a1, b1) + 1.0 * s(f2, a2, b2) + 0.5 * s(f3, a3, b3) + 0.25 * s(f4, a4, b4), 6) AS facet_score FROM (
     SELECT *, min(f1) OVER w AS a1, max(f1) OVER w AS b1, min(f2) OVER w AS a2, max(f2) OVER w AS b2, min(f3) OVER w AS a3, max(f3) OVER w AS b3, min(f4) OVER w AS a4, max(f4) OVER w AS b4 FROM (
         SELECT tf.k, tf.phrase, ln(tf) AS f1, tf / sum(tf) OVER (PARTITION BY tf.phrase) AS f2, coalesce(sg.sig, 0.0) AS f3, n_words::DOUBLE AS f4 FROM tf LEFT JOIN (
-            SELECT c.phrase, (c.f12 - a.cnt::DOUBLE * b.cnt / l.l) / sqrt(c.f12) AS sig """.replace("s(f1, a1, b1)", "CASE WHEN b1 > a1 THEN (f1 - a1) / (b1 - a1) ELSE 0 END").replace("s(f2, a2, b2)", "CASE WHEN b2 > a2 THEN (f2 - a2) / (b2 - a2) ELSE 0 END").replace("s(f3, a3, b3)", "CASE WHEN b3 > a3 THEN (f3 - a3) / (b3 - a3) ELSE 0 END").replace("s(f4, a4, b4)", "CASE WHEN b4 > a4 THEN (f4 - a4) / (b4 - a4) ELSE 0 END") + _PAIRS + ") sg ON sg.phrase = tf.phrase WHERE n_words > 1) WINDOW w AS (PARTITION BY k))", "tf", "cnt", "l"))
+            SELECT c.phrase, (c.f12 - a.cnt::DOUBLE * b.cnt / l.l) / sqrt(c.f12) AS sig """.replace("s(f1, a1, b1)", "CASE WHEN b1 > a1 THEN (f1 - a1) / (b1 - a1) ELSE 0 END").replace("s(f2, a2, b2)", "CASE WHEN b2 > a2 THEN (f2 - a2) / (b2 - a2) ELSE 0 END").replace("s(f3, a3, b3)", "CASE WHEN b3 > a3 THEN (f3 - a3) / (b3 - a3) ELSE 0 END").replace("s(f4, a4, b4)", "CASE WHEN b4 > a4 THEN (f4 - a4) / (b4 - a4) ELSE 0 END") + _PAIRS + ") sg ON sg.phrase = tf.phrase WHERE n_words > 1) WINDOW w AS (PARTITION BY k))", "tf", "cnt", "l", fitted=True))
 def multi_facet_rank(spark, d):
     s = _stages(spark, d)
     sig = _bigrams(s).select("phrase", segment.score(F.col("f1"), F.col("f2"), F.col("f12"), s.mined.tokens).alias("sig"))
-    return rank.multi_facet(rank.topical_frequency(s.state), sig).withColumn("facet_score", _r(F.col("facet_score")))
+    return rank.multi_facet(rank.topical_frequency(s.fitted), sig).withColumn("facet_score", _r(F.col("facet_score")))
 
 
-@query(sql(f"SELECT phrase, n_words, k, tf FROM (SELECT *, round(-sum(q * ln(q)) OVER (PARTITION BY phrase), 9) AS h FROM (SELECT *, tf / sum(tf) OVER (PARTITION BY phrase) AS q FROM tf)) WHERE h <= round(0.9 * ln({K}), 9)", "tf"))
+@query(sql(f"SELECT phrase, n_words, k, tf FROM (SELECT *, round(-sum(q * ln(q)) OVER (PARTITION BY phrase), 9) AS h FROM (SELECT *, tf / sum(tf) OVER (PARTITION BY phrase) AS q FROM tf)) WHERE h <= round(0.9 * ln({K}), 9)", "tf", fitted=True))
 def background_filter(spark, d):
-    return rank.drop_background(rank.topical_frequency(_stages(spark, d).state), K)
+    return rank.drop_background(rank.topical_frequency(_stages(spark, d).fitted), K)
 
 
-@query(sql("SELECT tf.* FROM tf SEMI JOIN (SELECT unnest(list_concat(w, list_transform(range(1, len(w)), lambda i: w[i] || ' ' || w[i + 1]))) AS phrase FROM (SELECT list_filter(string_split_regex(p, '\\s+'), lambda x: x <> '') AS w FROM (SELECT unnest(string_split_regex(lower(text), '[^\\p{L}\\p{N}\\s]+|\\n')) AS p FROM benchmark))) b ON b.phrase = tf.phrase", "tf"))
+@query(sql("SELECT tf.* FROM tf SEMI JOIN (SELECT unnest(list_concat(w, list_transform(range(1, len(w)), lambda i: w[i] || ' ' || w[i + 1]))) AS phrase FROM (SELECT list_filter(string_split_regex(p, '\\s+'), lambda x: x <> '') AS w FROM (SELECT unnest(string_split_regex(lower(text), '[^\\p{L}\\p{N}\\s]+|\\n')) AS p FROM benchmark))) b ON b.phrase = tf.phrase", "tf", fitted=True))
 def candidate_pool(spark, d):
     pool = text.chunk(scan(spark, d, "benchmark"), id_col="item_id").select(F.explode(F.concat("toks", mining.ngrams_of(F.col("toks"), 2))).alias("phrase"))
-    return rank.with_candidates(rank.topical_frequency(_stages(spark, d).state), pool)
+    return rank.with_candidates(rank.topical_frequency(_stages(spark, d).fitted), pool)
 
 
 # --- measures ------------------------------------------------------------------------------------------------------------
@@ -355,10 +410,10 @@ _TH = f"(coalesce(dk.c, 0) + {DOC_PRIOR}) / (d.n + {DOC_PRIOR * K})"
 @query(sql(f"""SELECT sum(m)::BIGINT AS tokens, round(-sum(m * ln(p)) / sum(m) / ln(2), 6) AS bits, round(exp(-sum(m * ln(p)) / sum(m)), 3) AS perplexity FROM (
     SELECT t.doc_id, t.word, any_value(t.m) AS m, sum({_TH} * (coalesce(wk.c, 0) + {WORD_PRIOR}) / (tk.c + {WORD_PRIOR} * (v.v + 1))) AS p
     FROM (SELECT doc_id, word, count(*) AS m FROM tok GROUP BY ALL) t JOIN (SELECT doc_id, sum(c) AS n FROM dk GROUP BY doc_id) d ON d.doc_id = t.doc_id CROSS JOIN v JOIN tk ON true
-    LEFT JOIN dk ON dk.doc_id = t.doc_id AND dk.k = tk.k LEFT JOIN wk ON wk.word = t.word AND wk.k = tk.k GROUP BY t.doc_id, t.word)""", "tok", "dk", "wk", "tk", "v"))
+    LEFT JOIN dk ON dk.doc_id = t.doc_id AND dk.k = tk.k LEFT JOIN wk ON wk.word = t.word AND wk.k = tk.k GROUP BY t.doc_id, t.word)""", "tok", "dk", "wk", "tk", "v", fitted=True))
 def perplexity_frozen(spark, d):
     s = _stages(spark, d)
-    return evaluate.perplexity(s.state, s.cliques, K, DOC_PRIOR, WORD_PRIOR).select("tokens", _r(F.col("bits")).alias("bits"), _r(F.col("perplexity"), 3).alias("perplexity"))
+    return evaluate.perplexity(s.fitted, s.cliques, K, DOC_PRIOR, WORD_PRIOR).select("tokens", _r(F.col("bits")).alias("bits"), _r(F.col("perplexity"), 3).alias("perplexity"))
 
 
 _HELD = "substr(md5(doc_id || '|' || g), 1, 1) = '0'"
@@ -370,12 +425,12 @@ _HELD = "substr(md5(doc_id || '|' || g), 1, 1) = '0'"
     CROSS JOIN (SELECT z, count(*) AS c FROM tok WHERE NOT {_HELD} GROUP BY z) t
     LEFT JOIN (SELECT doc_id, z, count(*) AS c FROM tok WHERE NOT {_HELD} GROUP BY ALL) a ON a.doc_id = h.doc_id AND a.z = t.z
     LEFT JOIN (SELECT word, z, count(*) AS c FROM tok WHERE NOT {_HELD} GROUP BY ALL) b ON b.word = h.word AND b.z = t.z
-    LEFT JOIN (SELECT doc_id, count(*) AS c FROM tok WHERE NOT {_HELD} GROUP BY doc_id) n ON n.doc_id = h.doc_id GROUP BY h.doc_id, h.word)""", "tok"))
+    LEFT JOIN (SELECT doc_id, count(*) AS c FROM tok WHERE NOT {_HELD} GROUP BY doc_id) n ON n.doc_id = h.doc_id GROUP BY h.doc_id, h.word)""", "tok", fitted=True))
 def perplexity_held_phrases(spark, d):
     """A sixteenth of every document's phrases, hidden from the counts and scored with the document's other phrases."""
     s = _stages(spark, d)
     held = evaluate.held_phrase(F.col("doc_id"), F.col("g"))
-    return evaluate.perplexity(s.state.where(~held), s.cliques.where(held), K, DOC_PRIOR, WORD_PRIOR).select("tokens", _r(F.col("bits")).alias("bits"), _r(F.col("perplexity"), 3).alias("perplexity"))
+    return evaluate.perplexity(s.fitted.where(~held), s.cliques.where(held), K, DOC_PRIOR, WORD_PRIOR).select("tokens", _r(F.col("bits")).alias("bits"), _r(F.col("perplexity"), 3).alias("perplexity"))
 
 
 @query()
@@ -383,24 +438,42 @@ def perplexity_completion(spark, d):
     """Held-out documents by half: topics from the phrases of even number, scores on those of odd number, for both models."""
     s = _stages(spark, d)
     out = None
-    for model, state in (("clique", s.state), ("word", s.words.select("doc_id", "g", F.array("word").alias("words"), "z"))):
+    for model, state in (("clique", s.fitted), ("word", s.fitted_words.select("doc_id", "g", F.array("word").alias("words"), "z"))):
         one = evaluate.completion(state, K, DOC_PRIOR, WORD_PRIOR).select(F.lit(model).alias("model"), "*")
         out = one if out is None else out.unionByName(one)
     return out
 
 
-@query(sql(f"""SELECT question, row_number() OVER (PARTITION BY question ORDER BY m, phrase, r)::INT AS option, phrase, r = 2 AS is_intruder FROM (
+_QUESTIONS = """SELECT question, row_number() OVER (PARTITION BY question ORDER BY m, phrase, r)::INT AS option, phrase, r = 2 AS is_intruder FROM (
     SELECT q.question, q.r, p.phrase, md5('7|' || q.question || '|' || q.k || '|' || p.phrase) AS m, row_number() OVER (PARTITION BY q.question, q.r ORDER BY md5('7|' || q.question || '|' || q.k || '|' || p.phrase), p.phrase) AS at_
     FROM (SELECT * FROM (SELECT i::INT AS question, k, row_number() OVER (PARTITION BY i ORDER BY md5('7|' || i || '|' || k), k) AS r FROM range(20) AS t(i), (SELECT k FROM topp GROUP BY k HAVING count(*) >= 3)) WHERE r <= 2) q JOIN topp p ON p.k = q.k)
-    WHERE (r = 1 AND at_ <= 3) OR (r = 2 AND at_ = 1)""", "topp"))
+    WHERE (r = 1 AND at_ <= 3) OR (r = 2 AND at_ = 1)"""
+
+
+@query(sql(_QUESTIONS, "topp", fitted=True))
 def intrusion_questions(spark, d):
-    return evaluate.intrusion_questions(rank.topic_view(_stages(spark, d).state))
+    return evaluate.intrusion_questions(rank.topic_view(_stages(spark, d).fitted))
 
 
-@query()
+def _npmi_sql(items: str, units: str) -> str:
+    """grp, a, b, s: how items of one group (grp, item) go together over distinct units (unit, item)."""
+    listed = f"(SELECT * FROM {units} x WHERE item IN (SELECT item FROM {items}))"
+    return f"""(SELECT grp, a, b, CASE WHEN both_ = 0 THEN -1.0 WHEN both_ = n THEN 1.0 ELSE ln(both_ / n / (na / n * nb / n)) / -ln(both_ / n) END AS s FROM (
+        SELECT p.grp, p.a, p.b, coalesce(c.c, 0) AS both_, x.c AS na, y.c AS nb, (SELECT count(DISTINCT unit) FROM {units} z)::DOUBLE AS n FROM (SELECT l.grp, l.item AS a, r.item AS b FROM {items} l JOIN {items} r ON l.grp = r.grp AND l.item < r.item) p
+        LEFT JOIN (SELECT h.item AS a, o.item AS b, count(*) AS c FROM {listed} h JOIN {listed} o ON h.unit = o.unit AND h.item < o.item GROUP BY ALL) c ON c.a = p.a AND c.b = p.b
+        LEFT JOIN (SELECT item, count(*) AS c FROM {units} z GROUP BY item) x ON x.item = p.a LEFT JOIN (SELECT item, count(*) AS c FROM {units} z GROUP BY item) y ON y.item = p.b))"""
+
+
+def _rater_sql(rater: str, unit: str, source: str) -> str:
+    items, units = f"(SELECT question AS grp, phrase AS item FROM ({_QUESTIONS}) w)", f"(SELECT DISTINCT {unit} AS unit, phrase AS item FROM {source} WHERE n_words > 1)"
+    means = f"SELECT m.grp, m.s, o.option, o.is_intruder, row_number() OVER (PARTITION BY m.grp ORDER BY m.s, o.option) AS r, lead(m.s) OVER (PARTITION BY m.grp ORDER BY m.s, o.option) AS next_s FROM (SELECT grp, item, round(avg(s), 9) AS s FROM (SELECT grp, a AS item, s FROM {_npmi_sql(items, units)} UNION ALL SELECT grp, b, s FROM {_npmi_sql(items, units)}) GROUP BY ALL) m JOIN ({_QUESTIONS}) o ON o.question = m.grp AND o.phrase = m.item"
+    return f"SELECT '{rater}' AS rater, count(*) FILTER (WHERE next_s > s) AS answered, count(*) FILTER (WHERE next_s > s AND is_intruder) AS correct FROM ({means}) WHERE r = 1"
+
+
+@query(sql(" UNION ALL ".join((_rater_sql("document", "doc_id::VARCHAR", "part"), _rater_sql("chunk", "doc_id || '|' || chunk_no", "part"), _rater_sql("source", "source", "(SELECT part.*, documents.source FROM part JOIN documents USING (doc_id))"))), "topp", "part", fitted=True))
 def intrusion_scores(spark, d):
     s = _stages(spark, d)
-    q = evaluate.intrusion_questions(rank.topic_view(s.state))
+    q = evaluate.intrusion_questions(rank.topic_view(s.fitted))
     p = s.parts.where("len > 1")
     units = {"document": p.select(F.col("doc_id").cast("string").alias("unit"), F.col("phrase").alias("item")), "chunk": p.select(F.concat_ws("|", "doc_id", "chunk_no").alias("unit"), F.col("phrase").alias("item")), "source": p.join(s.docs.select("doc_id", "source"), "doc_id").select(F.col("source").alias("unit"), F.col("phrase").alias("item"))}
     answers = None
@@ -419,16 +492,16 @@ def _doc_words(s):
     return s.chunks.select(F.col("doc_id").alias("unit"), F.explode("toks").alias("item"))
 
 
-@query(sql(f"SELECT p.k, round(avg(CASE WHEN both_ IS NULL THEN -1.0 WHEN both_ = n THEN 1.0 ELSE ln((both_ / n) / ((na.c / n) * (nb.c / n))) / -ln(both_ / n) END), 6) AS npmi FROM {_PAIRED} GROUP BY p.k", "topw", "dw"))
+@query(sql(f"SELECT p.k, round(avg(CASE WHEN both_ IS NULL THEN -1.0 WHEN both_ = n THEN 1.0 ELSE ln((both_ / n) / ((na.c / n) * (nb.c / n))) / -ln(both_ / n) END), 6) AS npmi FROM {_PAIRED} GROUP BY p.k", "topw", "dw", fitted=True))
 def npmi_coherence(spark, d):
     s = _stages(spark, d)
-    return evaluate.coherence(rank.topic_view(s.state), _doc_words(s)).select("k", _r(F.col("coherence")).alias("npmi"))
+    return evaluate.coherence(rank.topic_view(s.fitted), _doc_words(s)).select("k", _r(F.col("coherence")).alias("npmi"))
 
 
-@query(sql(f"SELECT p.k, round(avg(ln((coalesce(both_, 0) + 1) / nb.c)), 6) AS umass FROM {_PAIRED} GROUP BY p.k", "topw", "dw"))
+@query(sql(f"SELECT p.k, round(avg(ln((coalesce(both_, 0) + 1) / nb.c)), 6) AS umass FROM {_PAIRED} GROUP BY p.k", "topw", "dw", fitted=True))
 def umass_coherence(spark, d):
     s = _stages(spark, d)
-    return evaluate.coherence(rank.topic_view(s.state), _doc_words(s), "umass").select("k", _r(F.col("coherence")).alias("umass"))
+    return evaluate.coherence(rank.topic_view(s.fitted), _doc_words(s), "umass").select("k", _r(F.col("coherence")).alias("umass"))
 
 
 @query("""WITH r AS (SELECT 'r' || (quality % 2) AS rater, 'm' || (doc_id % 3) AS method, 'quality' AS property, (1 + doc_id % 10)::DOUBLE AS rating FROM labels)
@@ -439,26 +512,32 @@ def rating_zscores(spark, d):
     return evaluate.zscore(r).select("method", "property", _r(F.col("z")).alias("z"))
 
 
-@query()
+_LISTED = "(SELECT 'clique|' || k AS grp, word AS item FROM topw UNION ALL SELECT 'word|' || z, word FROM (SELECT z, word, row_number() OVER (PARTITION BY z ORDER BY count(*) DESC, word) AS r FROM lw GROUP BY z, word) WHERE r <= 10)"
+_FOLD = "('0x' || substr(md5(doc_id::VARCHAR), 1, 4))::BIGINT % 5"
+_RATED = " UNION ALL ".join(f"SELECT {r} AS rater, split_part(grp, '|', 1) AS method, 1 + 9 * (avg(s) + 1) / 2 AS rating FROM {_npmi_sql(_LISTED, f'(SELECT doc_id AS unit, word AS item FROM dw WHERE {_FOLD} = {r})')} GROUP BY grp" for r in range(5))
+
+
+@query(sql(f"SELECT method, 'coherence' AS property, round(avg((rating - m) / s), 6) AS z FROM (SELECT *, avg(rating) OVER (PARTITION BY rater) AS m, stddev_pop(rating) OVER (PARTITION BY rater) AS s FROM ({_RATED})) GROUP BY method", "topw", "lw", "dw", fitted=True))
 def coherence_zscores(spark, d):
-    """The clique model's and the word model's lists before the first sweep, rated by five folds of the corpus."""
+    """The clique model's and the word model's lists, rated by five folds of the corpus."""
     s = _stages(spark, d)
-    one = rank.topic_view(s.state).withColumn("method", F.lit("clique"))
-    two = rank.topic_view(s.words.select("doc_id", "g", F.array("word").alias("words"), "z")).withColumn("method", F.lit("word"))
-    return evaluate.zscore(evaluate.proxy_ratings(one.unionByName(two), s.chunks.select("doc_id", F.explode("toks").alias("item"))))
+    one = rank.topic_view(s.fitted).withColumn("method", F.lit("clique"))
+    two = rank.topic_view(s.fitted_words.select("doc_id", "g", F.array("word").alias("words"), "z")).withColumn("method", F.lit("word"))
+    return evaluate.zscore(evaluate.proxy_ratings(one.unionByName(two), s.chunks.select("doc_id", F.explode("toks").alias("item")))).withColumn("z", _r(F.col("z")))
 
 
-@query()
+@query(sql(f"""SELECT phrase, ntile(10) OVER (ORDER BY r, phrase)::INT AS quality FROM (SELECT phrase, round((percent_rank() OVER (ORDER BY sig) + percent_rank() OVER (ORDER BY good)) / 2, 9) AS r FROM (
+    SELECT c.phrase, round((f12 - a.cnt::DOUBLE * b.cnt / l.l) / sqrt(f12), 9) AS sig {_PAIRS}) JOIN (SELECT phrase, avg(quality) AS good FROM part JOIN labels USING (doc_id) WHERE n_words > 1 GROUP BY phrase) USING (phrase))""", "cnt", "l", "part"))
 def phrase_quality(spark, d):
-    s = _whole(spark, d)
-    sig = _bigrams(s).select("phrase", segment.score(F.col("f1"), F.col("f2"), F.col("f12"), s.mined.tokens).alias("sig"))
+    s = _stages(spark, d)
+    sig = _bigrams(s).select("phrase", _r(segment.score(F.col("f1"), F.col("f2"), F.col("f12"), s.mined.tokens), 9).alias("sig"))
     return evaluate.phrase_quality(sig, s.parts, scan(spark, d, "labels"))
 
 
-@query(sql("SELECT count(*) AS phrases, count(*) FILTER (WHERE t = 1) AS same_topic, round(count(*) FILTER (WHERE t = 1) / count(*), 6) AS share FROM (SELECT p.doc_id, p.g, count(DISTINCT lw.z) AS t FROM part p, unnest(range(0, n_words)) AS o(i) JOIN lw ON lw.doc_id = p.doc_id AND lw.chunk_no = p.chunk_no AND lw.pos = p.start + i WHERE p.n_words > 1 GROUP BY p.doc_id, p.g)", "part", "lw"))
+@query(sql("SELECT count(*) AS phrases, count(*) FILTER (WHERE t = 1) AS same_topic, round(count(*) FILTER (WHERE t = 1) / count(*), 6) AS share FROM (SELECT p.doc_id, p.g, count(DISTINCT lw.z) AS t FROM part p, unnest(range(0, n_words)) AS o(i) JOIN lw ON lw.doc_id = p.doc_id AND lw.chunk_no = p.chunk_no AND lw.pos = p.start + i WHERE p.n_words > 1 GROUP BY p.doc_id, p.g)", "part", "lw", fitted=True))
 def conformity(spark, d):
     s = _stages(spark, d)
-    return evaluate.conformity(s.words, s.parts).withColumn("share", _r(F.col("share")))
+    return evaluate.conformity(s.fitted_words, s.parts).withColumn("share", _r(F.col("share")))
 
 
 @query(sql("SELECT 'clique' AS model, count(*) AS draws FROM part UNION ALL SELECT 'word', sum(n_words)::BIGINT FROM part", "part"))
@@ -479,36 +558,36 @@ def support_curve(spark, d):
 _DOM = "(SELECT doc_id, arg_max(k, struct_pack(c := c, k := -k)) AS k FROM dk GROUP BY doc_id)"
 
 
-@query(sql(f"SELECT lang, k, count(*) AS docs FROM {_DOM} m JOIN documents USING (doc_id) GROUP BY lang, k", "dk"))
+@query(sql(f"SELECT lang, k, count(*) AS docs FROM {_DOM} m JOIN documents USING (doc_id) GROUP BY lang, k", "dk", fitted=True))
 def topic_lang_agreement(spark, d):
     s = _stages(spark, d)
-    return evaluate.topic_agreement(s.state, s.docs)
+    return evaluate.topic_agreement(s.fitted, s.docs)
 
 
 @query(sql(f"""WITH c AS (SELECT k, lang, count(*) AS c FROM {_DOM} m JOIN documents USING (doc_id) GROUP BY ALL), f AS (SELECT c, sum(c) OVER (PARTITION BY k) AS nk, sum(c) OVER (PARTITION BY lang) AS nt, max(c) OVER (PARTITION BY k) AS best, sum(c) OVER () AS n FROM c)
-SELECT round(sum(best * c / nk / n), 6) AS purity, round(2 * sum(c / n * ln(c * n / (nk * nt))) / (sum(-c / n * ln(nk / n)) + sum(-c / n * ln(nt / n))), 6) AS nmi FROM f""".replace("WITH c AS", "SELECT * FROM (WITH c AS", 1) + ")", "dk"))
+SELECT round(sum(best * c / nk / n), 6) AS purity, round(2 * sum(c / n * ln(c * n / (nk * nt))) / (sum(-c / n * ln(nk / n)) + sum(-c / n * ln(nt / n))), 6) AS nmi FROM f""".replace("WITH c AS", "SELECT * FROM (WITH c AS", 1) + ")", "dk", fitted=True))
 def purity_nmi(spark, d):
     s = _stages(spark, d)
-    out = evaluate.agreement(evaluate.dominant_topic(s.state), s.docs.select("doc_id", "lang"), "lang")
+    out = evaluate.agreement(evaluate.dominant_topic(s.fitted), s.docs.select("doc_id", "lang"), "lang")
     return out.select(_r(F.col("purity")).alias("purity"), _r(F.col("nmi")).alias("nmi"))
 
 
 # --- baselines -----------------------------------------------------------------------------------------------------------
 
 
-@query(sql("SELECT v, w, k, count(*) AS n FROM (SELECT word AS v, z AS k, lead(word) OVER o AS w, lead(z) OVER o AS z2 FROM lw WINDOW o AS (PARTITION BY doc_id, chunk_no ORDER BY pos)) WHERE w IS NOT NULL AND k = z2 GROUP BY ALL", "lw"))
+@query(sql("SELECT v, w, k, count(*) AS n FROM (SELECT word AS v, z AS k, lead(word) OVER o AS w, lead(z) OVER o AS z2 FROM lw WINDOW o AS (PARTITION BY doc_id, chunk_no ORDER BY pos)) WHERE w IS NOT NULL AND k = z2 GROUP BY ALL", "lw", fitted=True))
 def posthoc_pairs(spark, d):
-    return baselines.adjacent_pairs(_stages(spark, d).words)
+    return baselines.adjacent_pairs(_stages(spark, d).fitted_words)
 
 
 _SETS = """(SELECT DISTINCT doc_id, z AS k, word FROM lw) """
 
 
 @query(sql(f"""SELECT a.k, a.word || ' ' || b.word AS items, count(*) AS f FROM (SELECT x.* FROM {_SETS} x JOIN (SELECT k, word FROM {_SETS} GROUP BY ALL HAVING count(*) >= 40) o ON o.k = x.k AND o.word = x.word) a
-    JOIN (SELECT x.* FROM {_SETS} x JOIN (SELECT k, word FROM {_SETS} GROUP BY ALL HAVING count(*) >= 40) o ON o.k = x.k AND o.word = x.word) b ON a.doc_id = b.doc_id AND a.k = b.k AND a.word < b.word GROUP BY ALL HAVING count(*) >= 40""", "lw"))
+    JOIN (SELECT x.* FROM {_SETS} x JOIN (SELECT k, word FROM {_SETS} GROUP BY ALL HAVING count(*) >= 40) o ON o.k = x.k AND o.word = x.word) b ON a.doc_id = b.doc_id AND a.k = b.k AND a.word < b.word GROUP BY ALL HAVING count(*) >= 40""", "lw", fitted=True))
 def itemset_pairs(spark, d):
     """Frequent word pairs of one topic in one document, without the completeness filter."""
-    rows = baselines.itemset_keyphrases(_stages(spark, d).words, min_support=40, max_size=2, complete=0.0)
+    rows = baselines.itemset_keyphrases(_stages(spark, d).fitted_words, min_support=40, max_size=2, complete=0.0)
     return rows.where(F.size("items") == 2).select("k", F.concat_ws(" ", "items").alias("items"), "f")
 
 
@@ -541,12 +620,12 @@ def basket_itemsets(spark, d):
 @query()
 def cctm_gibbs(spark, d):
     s = _whole(spark, d)
-    return rank.topic_view(s.fit(sweeps=3).state, surfaces=s.surfaces)
+    return rank.topic_view(s.fit(optimise_every=5).state, surfaces=s.surfaces)
 
 
 @query()
 def lda_gibbs(spark, d):
-    return rank.topic_view(baselines.lda(_stages(spark, d).chunks, n_topics=K, sweeps=3, doc_prior=DOC_PRIOR).state)
+    return rank.topic_view(baselines.lda(_stages(spark, d).chunks, n_topics=K, sweeps=20, doc_prior=DOC_PRIOR).state)
 
 
 @query()
@@ -554,43 +633,40 @@ def fold_in(spark, d):
     """Topic shares of the held-out eighth of the documents under word distributions of the rest."""
     s = _whole(spark, d)
     out = evaluate.held_out(F.col("doc_id"))
-    return topics.infer(s.cliques.where(out), topics.phi(s.state.where(~out), K), K, 4)
+    model = topics.fit(s.cliques.where(~out), K, sweeps=10, doc_prior=DOC_PRIOR)
+    return topics.infer(s.cliques.where(out), topics.phi(model.state, K), K)
 
 
 @query()
 def topics_auto(spark, d):
-    return rank.top(rank.word_frequency(topics.fit(_whole(spark, d).cliques, "auto", sweeps=2, k_max=8).state), 5, F.col("tf"), "word")
+    return rank.top(rank.word_frequency(topics.fit(_whole(spark, d).cliques, "auto", sweeps=20, k_max=8).state), 5, F.col("tf"), "word")
 
 
 @query()
 def posthoc_merge(spark, d):
-    rows = baselines.posthoc_merge(_stages(spark, d).words, n_perm=5, max_rounds=1)
+    rows = baselines.posthoc_merge(_stages(spark, d).words, n_perm=20, max_rounds=5)
     return rows.where(F.contains("word", F.lit(" "))).groupBy("word", "z").agg(F.count("*").alias("n"))
 
 
-def _small(spark, d):
-    """User turns of conversations, the corpus of the sequential baselines."""
-    return text.drop_stopwords(text.chunk(workloads.reviews(spark, d), keep=("lang",)))
-
-
 @query()
 def bigram_switch(spark, d):
-    return baselines.bigram_switch(_small(spark, d), n_topics=3, sweeps=2).where("len > 1").groupBy("phrase", "z").agg(F.count("*").alias("n"))
+    return baselines.bigram_switch(_stages(spark, d).chunks, n_topics=K, sweeps=10).where("len > 1").groupBy("phrase", "z").agg(F.count("*").alias("n"))
 
 
 @query()
 def pitman_yor(spark, d):
-    return baselines.pitman_yor_phrases(_small(spark, d), n_topics=3, sweeps=1).where("len > 1").groupBy("phrase", "z").agg(F.count("*").alias("n"))
+    """The sequential baseline: one task goes through all documents."""
+    return baselines.pitman_yor_phrases(_stages(spark, d).chunks, n_topics=K, sweeps=2).where("len > 1").groupBy("phrase", "z").agg(F.count("*").alias("n"))
 
 
 @query()
 def lda_variational(spark, d):
-    return baselines.lda_variational(_stages(spark, d).chunks, K, 2)
+    return baselines.lda_variational(_stages(spark, d).chunks, K, 5)
 
 
 @query()
 def pipeline_flagship(spark, d):
-    view, _, _ = pipeline.run(scan(spark, d, "documents", "doc_id", "text", "lang"), pipeline.Config(sweeps=3))
+    view, _, _ = pipeline.run(scan(spark, d, "documents", "doc_id", "text", "lang"), pipeline.Config(stem=True, optimise_every=5))
     return view
 
 
@@ -706,9 +782,9 @@ def distinct_words(spark, d):
     return _stages(spark, d).chunks.select(F.explode("toks").alias("word")).agg(F.count_distinct("word").alias("words"))
 
 
-@query(sql("SELECT phrase, coalesce(sum(tf) FILTER (WHERE k = 0), 0)::BIGINT AS t0, coalesce(sum(tf) FILTER (WHERE k = 1), 0)::BIGINT AS t1, coalesce(sum(tf) FILTER (WHERE k = 2), 0)::BIGINT AS t2, coalesce(sum(tf) FILTER (WHERE k = 3), 0)::BIGINT AS t3 FROM tf WHERE n_words > 1 GROUP BY phrase", "tf"))
+@query(sql("SELECT phrase, coalesce(sum(tf) FILTER (WHERE k = 0), 0)::BIGINT AS t0, coalesce(sum(tf) FILTER (WHERE k = 1), 0)::BIGINT AS t1, coalesce(sum(tf) FILTER (WHERE k = 2), 0)::BIGINT AS t2, coalesce(sum(tf) FILTER (WHERE k = 3), 0)::BIGINT AS t3 FROM tf WHERE n_words > 1 GROUP BY phrase", "tf", fitted=True))
 def topic_pivot(spark, d):
-    p = rank.topical_frequency(_stages(spark, d).state).where("n_words > 1").groupBy("phrase").pivot("k", list(range(K))).agg(F.sum("tf"))
+    p = rank.topical_frequency(_stages(spark, d).fitted).where("n_words > 1").groupBy("phrase").pivot("k", list(range(K))).agg(F.sum("tf"))
     return p.select("phrase", *[F.coalesce(F.col(str(k)), F.lit(0)).alias(f"t{k}") for k in range(K)])
 
 
@@ -730,17 +806,17 @@ def top_phrases_global(spark, d):
     return segment.bag(_stages(spark, d).parts).where("n_words > 1").orderBy(F.desc("cnt"), "phrase").limit(50)
 
 
-@query(sql("SELECT k, phrase, round(sum(tf) OVER (PARTITION BY k ORDER BY tf DESC, phrase ROWS UNBOUNDED PRECEDING) / sum(tf) OVER (PARTITION BY k), 9) AS cdf FROM tf WHERE n_words > 1", "tf"))
+@query(sql("SELECT k, phrase, round(sum(tf) OVER (PARTITION BY k ORDER BY tf DESC, phrase ROWS UNBOUNDED PRECEDING) / sum(tf) OVER (PARTITION BY k), 9) AS cdf FROM tf WHERE n_words > 1", "tf", fitted=True))
 def cdf_running_sum(spark, d):
-    tf = rank.topical_frequency(_stages(spark, d).state).where("n_words > 1")
+    tf = rank.topical_frequency(_stages(spark, d).fitted).where("n_words > 1")
     return relational.cumulative(tf, ["k"], [F.desc("tf"), F.col("phrase")], "tf").select("k", "phrase", _r(F.col("cdf"), 9).alias("cdf"))
 
 
-@query(sql("SELECT doc_id, run, string_agg(word, ' ' ORDER BY i) AS phrase, count(*)::INT AS len, last(z ORDER BY i) AS z FROM (SELECT *, sum(1 - x) OVER (PARTITION BY doc_id ORDER BY i ROWS UNBOUNDED PRECEDING) AS run FROM (SELECT doc_id, row_number() OVER (PARTITION BY doc_id ORDER BY chunk_no, pos) AS i, word, z, CASE WHEN pos > 0 AND z = lag(z) OVER (PARTITION BY doc_id ORDER BY chunk_no, pos) THEN 1 ELSE 0 END AS x FROM lw)) GROUP BY doc_id, run", "lw"))
+@query(sql("SELECT doc_id, run, string_agg(word, ' ' ORDER BY i) AS phrase, count(*)::INT AS len, last(z ORDER BY i) AS z FROM (SELECT *, sum(1 - x) OVER (PARTITION BY doc_id ORDER BY i ROWS UNBOUNDED PRECEDING) AS run FROM (SELECT doc_id, row_number() OVER (PARTITION BY doc_id ORDER BY chunk_no, pos) AS i, word, z, CASE WHEN pos > 0 AND z = lag(z) OVER (PARTITION BY doc_id ORDER BY chunk_no, pos) THEN 1 ELSE 0 END AS x FROM lw)) GROUP BY doc_id, run", "lw", fitted=True))
 def glued_runs(spark, d):
     """Runs of neighbours with one topic in a chunk, by gaps and islands."""
     w = Window.partitionBy("doc_id").orderBy("chunk_no", "pos")
-    rows = _stages(spark, d).words.withColumn("x", F.when((F.col("pos") > 0) & (F.col("z") == F.lag("z").over(w)), 1).otherwise(0)).select("doc_id", F.row_number().over(w).alias("i"), "word", "z", "x")
+    rows = _stages(spark, d).fitted_words.withColumn("x", F.when((F.col("pos") > 0) & (F.col("z") == F.lag("z").over(w)), 1).otherwise(0)).select("doc_id", F.row_number().over(w).alias("i"), "word", "z", "x")
     return baselines.glued_runs(rows)
 
 
@@ -847,9 +923,9 @@ def sql_significance(spark, d):
         JOIN pw_counts a ON a.n = 1 AND a.phrase = split(c.phrase, ' ')[0] JOIN pw_counts b ON b.n = 1 AND b.phrase = split(c.phrase, ' ')[1] WHERE c.n = 2""")
 
 
-@query(sql("SELECT phrase, k, tf FROM tf WHERE n_words > 1", "tf"))
+@query(sql("SELECT phrase, k, tf FROM tf WHERE n_words > 1", "tf", fitted=True))
 def sql_topical_frequency(spark, d):
-    _stages(spark, d).state.createOrReplaceTempView("pw_state")
+    _stages(spark, d).fitted.createOrReplaceTempView("pw_state")
     return spark.sql("SELECT concat_ws(' ', words) AS phrase, z AS k, count(*) AS tf FROM pw_state WHERE size(words) > 1 GROUP BY ALL")
 
 
@@ -867,11 +943,119 @@ def review_phrases(spark, d):
     return mining.frequent_phrases(text.chunk(workloads.reviews(spark, d)).select("doc_id", "toks"), 5, 3).counts
 
 
-@query()
+_ENTITIES = (("&lt;", "<"), ("&gt;", ">"), ("&quot;", '"'), ("&#39;", "''"), ("&nbsp;", " "), ("&amp;", "&"))
+
+
+def _unescaped(column: str) -> str:
+    for entity, char in _ENTITIES:
+        column = f"replace({column}, '{entity}', '{char}')"
+    return column
+
+
+_PAGE_LANG = r"""regexp_extract(html, '<html lang="(\w+)"', 1)"""
+_TITLES = rf"""SELECT 'd' || doc_id AS key, list_filter(string_split_regex(lower(text), '[^\p{{L}}\p{{N}}\s]+|\n'), lambda p: trim(p) <> '')[1] AS text, lang FROM corpus
+    UNION ALL SELECT 'p' || page_id, {_unescaped("regexp_extract(html, '(?s)<title>(.*?)</title>', 1)")}, {_PAGE_LANG} FROM pages UNION ALL SELECT 'n' || p_partkey, p_name, 'en' FROM part_names"""
+_BODY = r"regexp_replace(array_to_string(regexp_extract_all(regexp_replace(html, '(?s)<(script|style|nav)\b.*?</(script|style|nav)>|<!--.*?-->', ' ', 'g'), '(?s)<p>(.*?)</p>', 1), chr(10)), '<[^>]*>', '', 'g')"
+_BODIES = f"SELECT text, lang FROM corpus WHERE n_chars > 2500 UNION ALL SELECT {_unescaped(_BODY)}, {_PAGE_LANG} FROM pages"
+_SHARE = "('0x' || substr(md5({key}::VARCHAR), 1, 8))::BIGINT / 4294967296.0 < {part}"
+
+
+def _mined_sql(corpus: str, support: int) -> str:
+    """Counts of a corpus that a relation gives; it reads the tables by other names, as the shared expressions use theirs."""
+    whole = sql(f"SELECT n, phrase, count(*) AS cnt FROM grams GROUP BY n, phrase HAVING count(*) >= {support}", "grams").replace("FROM documents", "FROM corpus_rows")
+    rows = f"SELECT row_number() OVER () AS doc_id, text, lang, NULL::VARCHAR AS source FROM ({corpus}) x"
+    return whole.replace("WITH RECURSIVE ", f"WITH RECURSIVE corpus AS (SELECT * FROM documents), part_names AS (SELECT p_partkey, p_name FROM part), corpus_rows AS MATERIALIZED ({rows}),\n", 1)
+
+
+def _mined(docs, support: int):
+    return mining.frequent_phrases(text.drop_stopwords(text.chunk(docs, keep=("lang",))), support, LONGEST).counts
+
+
+@query(_mined_sql(_TITLES, 5))
 def title_phrases(spark, d):
-    return mining.frequent_phrases(text.drop_stopwords(text.chunk(workloads.titles(spark, d), keep=("lang",))), 5, 4).counts
+    return _mined(workloads.titles(spark, d), 5)
 
 
-@query()
+@query(_mined_sql(f"SELECT text, lang FROM ({_TITLES}) t WHERE {_SHARE.format(key='key', part='1.0 / 38')}", 2))
+def title_phrases_sampled(spark, d):
+    """The workload is a sample."""
+    return _mined(workloads.titles(spark, d, 1 / 38), 2)
+
+
+@query(_mined_sql("SELECT string_split(text, chr(10))[1] AS text, lang FROM corpus", 5))
+def venue_title_phrases(spark, d):
+    return _mined(workloads.by_source(spark, d), 5)
+
+
+@query(_mined_sql("SELECT text, lang FROM corpus WHERE n_chars <= 2500 AND lang = 'en'", 5))
+def abstract_phrases(spark, d):
+    return _mined(workloads.abstracts(spark, d), 5)
+
+
+@query(_mined_sql(f"SELECT text, lang FROM corpus WHERE n_chars <= 2500 AND lang = 'en' AND {_SHARE.format(key='doc_id', part='20.0 / 529')}", 2))
+def abstract_phrases_sampled(spark, d):
+    """The workload is a sample."""
+    return _mined(workloads.sampled(workloads.abstracts(spark, d), 20 / 529), 2)
+
+
+@query(_mined_sql(_BODIES, 10))
 def article_phrases(spark, d):
-    return mining.frequent_phrases(text.drop_stopwords(text.chunk(workloads.articles(spark, d), keep=("lang",))), 10, 4).counts
+    return _mined(workloads.articles(spark, d), 10)
+
+
+# --- compared methods on fitted models -----------------------------------------------------------------------------------
+
+
+@query()
+def phrase_lists_by_method(spark, d):
+    """Ten phrases a topic of each of the five methods, all fitted on all documents."""
+    return methods.lists_of(_stages(spark, d))
+
+
+@query()
+def intrusion_by_method(spark, d):
+    """Twenty questions a method, three simulated raters (documents, chunks and sources as units)."""
+    s = _stages(spark, d)
+    view = methods.lists_of(s)
+    words = s.chunks.select("doc_id", "chunk_no", "source", F.explode("toks").alias("item"))
+    units = {"document": F.col("doc_id").cast("string"), "chunk": F.concat_ws("|", "doc_id", "chunk_no"), "source": F.col("source")}
+    held = {rater: settle(evaluate.holders(words.select(unit.alias("unit"), "item"), view), "holders") for rater, unit in units.items()}
+    out = None
+    for method in methods.METHODS:
+        q = settle(evaluate.intrusion_questions(view.where(F.col("method") == method).drop("method")), "questions")
+        for rater, u in held.items():
+            one = evaluate.intrusion_score(q, evaluate.simulated_answers(q, u, rater)).select(F.lit(method).alias("method"), "rater", "answered", "correct")
+            out = one if out is None else out.unionByName(one)
+    return out
+
+
+@query()
+def coherence_by_method(spark, d):
+    """Mean standardised coherence of each method's lists, five raters."""
+    s = _stages(spark, d)
+    view = methods.lists_of(s)
+    held = evaluate.holders(s.chunks.select(F.col("doc_id").alias("unit"), F.explode("toks").alias("item")), view)
+    return evaluate.zscore(evaluate.proxy_ratings(view, held.select(F.col("unit").alias("doc_id"), "item"), item_kind="phrase"))
+
+
+@query()
+def quality_by_method(spark, d):
+    """Mean standardised phrase quality of each method's lists, five raters."""
+    s = _stages(spark, d)
+    return evaluate.zscore(evaluate.proxy_qualities(methods.lists_of(s), s.chunks))
+
+
+@query()
+def perplexity_by_sweep(spark, d):
+    """Training and held-out perplexity of both models after every second sweep, on abstracts and reviews. A sixteenth of the chunks is
+    held out, the same for both models, and scored with its document's topics."""
+    out = []
+    for corpus, docs, support, threshold in (("abstracts", workloads.abstracts, 5, 3.0), ("reviews", workloads.reviews, 3, 1.0)):
+        s = pipeline.stages_of(spark, d, None, docs, n_topics=10, min_support=support, sig_threshold=threshold)
+        hidden = evaluate.held_phrase(F.col("doc_id"), F.col("chunk_no"))
+        held = s.chunks.where(hidden).select("doc_id", F.col("toks").alias("words"))
+        cliques = s.parts.where(~hidden).select("doc_id", "g", F.split("phrase", " ").alias("words"))
+        for model, units in (("cliques", cliques), ("words", topics.singletons(s.chunks.where(~hidden)))):
+            trace = topics.fit(units, 10, sweeps=10, doc_prior=0.5, trace_every=2, held=held).trace
+            out += [(corpus, model, t["sweep"], t["tokens"], t["perplexity"], t["held_tokens"], t["held_perplexity"]) for t in trace]
+    return spark.createDataFrame(out, "corpus string, model string, sweep int, tokens long, perplexity double, held_tokens long, held_perplexity double")

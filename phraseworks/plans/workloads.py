@@ -18,13 +18,14 @@ def first_line(t: Column) -> Column:
     return F.get(F.split(t, "\n", -1), F.lit(0))
 
 
-def titles(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Short texts: each document's first chunk, page titles and part names."""
+def titles(spark: SparkSession, sf_dir: str, fraction: float = 1.0) -> DataFrame:
+    """Short texts: each document's first chunk, page titles and part names, or a hash sample of them."""
     docs = scan(spark, sf_dir, "documents", "doc_id", "text", "lang")
     firsts = docs.select(F.concat(F.lit("d"), F.col("doc_id")).alias("key"), F.get(F.filter(F.split(F.lower("text"), text.BOUNDARY, -1), lambda p: F.trim(p) != ""), F.lit(0)).alias("text"), "lang")
     pages = scan(spark, sf_dir, "pages", "page_id", "html").select(F.concat(F.lit("p"), F.col("page_id")).alias("key"), text.page_title(F.col("html")).alias("text"), F.regexp_extract("html", r'<html lang="(\w+)"', 1).alias("lang"))
     parts = scan(spark, sf_dir, "part", "p_partkey", "p_name").select(F.concat(F.lit("n"), F.col("p_partkey")).alias("key"), F.col("p_name").alias("text"), F.lit("en").alias("lang"))
-    return firsts.unionByName(pages).unionByName(parts).where("text is not null").withColumn("doc_id", F.xxhash64("key")).drop("key")
+    rows = firsts.unionByName(pages).unionByName(parts).where("text is not null")
+    return (rows if fraction >= 1 else rows.where(share(F.col("key")) < fraction)).withColumn("doc_id", F.xxhash64("key")).drop("key")
 
 
 def sampled(docs: DataFrame, fraction: float) -> DataFrame:

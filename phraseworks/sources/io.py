@@ -5,7 +5,7 @@ from __future__ import annotations
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
@@ -26,10 +26,12 @@ def scan(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFram
 
 
 def read_corpus(spark: SparkSession, path: str, kind: str = "parquet", schema: StructType | str | None = None, **options) -> DataFrame:
-    """Documents from Parquet, ORC, CSV, JSON lines or plain text (a line a document, numbered within its file)."""
+    """Documents from Parquet, ORC, CSV, JSON lines or plain text. A line of text is a document; its id is a hash of the file, of the
+    line and of the line's number among equal lines of the file, so it is the same however the files are split for reading."""
     if kind == "text":
-        lines = spark.read.text(path, **options)
-        return lines.select(F.xxhash64(F.input_file_name(), F.monotonically_increasing_id()).alias("doc_id"), F.col("value").alias("text"))
+        lines = spark.read.text(path, **options).select(F.input_file_name().alias("file"), F.col("value").alias("text"))
+        same = Window.partitionBy("file", "text").orderBy(F.lit(0))
+        return lines.withColumn("nth", F.row_number().over(same)).select(F.xxhash64("file", "text", "nth").alias("doc_id"), "text")
     reader = spark.read.format(kind).options(**options)
     return (reader.schema(schema) if schema is not None else reader).load(path)
 
@@ -68,6 +70,8 @@ def shared_folder(spark: SparkSession) -> str:
     """The session's checkpoint folder; a local one only where none is set."""
     folder = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not folder:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         spark.sparkContext.setCheckpointDir("file://" + tempfile.mkdtemp(prefix="phraseworks-"))
         folder = spark.sparkContext.getCheckpointDir()
     return folder.rstrip("/")
@@ -77,4 +81,14 @@ def settle(df: DataFrame, label: str) -> DataFrame:
     """df written to the shared folder as Parquet and read back: the plan ends here, and lost executors lose nothing."""
     path = f"{shared_folder(df.sparkSession)}/{label}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out._settled_at = path
+    return out
+
+
+def discard(df: DataFrame) -> None:
+    """Delete the table that ``settle`` wrote for df, once nothing reads it any more; other DataFrames stay as they are."""
+    path, spark = getattr(df, "_settled_at", None), df.sparkSession
+    if path:
+        place = spark._jvm.org.apache.hadoop.fs.Path(path)
+        place.getFileSystem(spark._jsc.hadoopConfiguration()).delete(place, True)

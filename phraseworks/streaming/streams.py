@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 from ..functions import text
 from ..operators import mining, segment
 
-#: Frozen phrases or words that may travel with a stream's tasks.
+#: Frozen phrases or words that may travel with a stream's tasks; more of them are joined.
 SHIPPED = 2_000_000
 
 
@@ -70,7 +70,9 @@ def deduplicated(docs: DataFrame, key: str, at: str, late: str = "1 hour") -> Da
 
 def user_sequences(events: DataFrame, n: int = 2, gap_seconds: int = 1800) -> DataFrame:
     """user_id, phrase: every run of n actions of one user with no gap between neighbours, over the borders of micro-batches. A
-    user's state is the last n - 1 actions and their times; it goes when the gap has passed in event time."""
+    user's state is the last n - 1 actions and their times; it goes when the gap has passed in event time. Rows more than an hour
+    behind the latest row of an earlier batch are late and dropped, so files that arrive out of the order of their times lose
+    rows: write them in order, or set maxFilesPerTrigger so that a batch holds all that may overtake each other."""
 
     def run(key: tuple, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
         tail: list[tuple[float, str]] = []
@@ -98,45 +100,53 @@ def user_sequences(events: DataFrame, n: int = 2, gap_seconds: int = 1800) -> Da
     return rows.groupBy("user_id").applyInPandasWithState(run, "user_id long, phrase string", "times array<double>, kinds array<string>", "append", "EventTimeTimeout")
 
 
-def _frozen(counts: DataFrame) -> dict[str, int]:
-    """A dictionary of frozen counts, if its size allows it to go with the tasks."""
-    n = counts.count()
-    if n > SHIPPED:
-        raise ValueError(f"{n} phrases, over {SHIPPED}: raise the support or segment in batches")
-    return {r["phrase"]: r["cnt"] for r in counts.select("phrase", "cnt").toLocalIterator()}
-
-
 def segmented(docs: DataFrame, counts: DataFrame, tokens: int, threshold: float) -> DataFrame:
-    """doc_id, chunk_no, start, phrase of arriving documents, by counts that are frozen at the start."""
-    known = _frozen(counts)
-    longest = max((p.count(" ") + 1 for p in known), default=1)
+    """doc_id, chunk_no, start, phrase of arriving documents, by counts (n, phrase, cnt) that are frozen at the start: up to SHIPPED
+    phrases go with the tasks; of a larger table each micro-batch joins those that its own chunks may hold."""
+    longest = counts.agg(F.max("n")).first()[0] or 1
+    chunks = text.chunk(docs)
+    few = counts.count() <= SHIPPED
+    if few:
+        known = {r["phrase"]: r["cnt"] for r in counts.select("phrase", "cnt").toLocalIterator()}
+        rows = chunks.select("doc_id", "chunk_no", "toks", F.lit(None).cast("map<string,bigint>").alias("known"))
+    else:
+        # a chunk's own n-grams; duplicates of (doc, chunk) in a batch meet in one group with the same tokens
+        grams = F.array_distinct(F.flatten(F.array(*[mining.ngrams_of(F.col("toks"), n) for n in range(1, longest + 1)])))
+        rows = chunks.select("doc_id", "chunk_no", "toks", F.explode(grams).alias("gram")).join(counts.select("phrase", "cnt"), F.col("gram") == F.col("phrase"), "left")
+        rows = rows.groupBy("doc_id", "chunk_no", "toks").agg(F.map_from_entries(F.collect_set(F.when(F.col("cnt").isNotNull(), F.struct("gram", "cnt")))).alias("known"))
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
             out = []
-            for doc, no, toks in zip(f["doc_id"], f["chunk_no"], f["toks"], strict=True):
-                toks = list(toks)
-                spans = {(i, m): c for i in range(len(toks)) for m in range(1, min(longest, len(toks) - i) + 1) if (c := known.get(" ".join(toks[i : i + m])))}
+            for doc, no, toks, own in zip(f["doc_id"], f["chunk_no"], f["toks"], f["known"], strict=True):
+                toks, look = list(toks), known if few else dict(own)
+                spans = {(i, m): c for i in range(len(toks)) for m in range(1, min(longest, len(toks) - i) + 1) if (c := look.get(" ".join(toks[i : i + m])))}
                 units, _ = segment.merge_chunk(len(toks), spans, threshold, tokens)
                 out += [(doc, no, a, " ".join(toks[a : a + m])) for a, m in units]
             yield pd.DataFrame(out, columns=["doc_id", "chunk_no", "start", "phrase"])
 
-    return text.chunk(docs).mapInPandas(run, "doc_id long, chunk_no int, start int, phrase string")
+    return rows.mapInPandas(run, "doc_id long, chunk_no int, start int, phrase string")
 
 
-def inferred(chunks: DataFrame, phis: dict[str, list[float]], n_topics: int, doc_prior: float = 0.5, rounds: int = 10) -> DataFrame:
-    """doc_id, chunk_no, theta of arriving chunks under frozen word distributions (word -> a probability a topic), by repeated
-    expectation: stateless, so it appends."""
-    if len(phis) > SHIPPED:
-        raise ValueError(f"{len(phis)} words, over {SHIPPED}")
+def inferred(chunks: DataFrame, phis: dict[str, list[float]] | DataFrame, n_topics: int, doc_prior: float = 0.5, rounds: int = 10) -> DataFrame:
+    """doc_id, chunk_no, theta of arriving chunks under frozen word distributions, by repeated expectation. A dict (word -> a
+    probability a topic) of up to SHIPPED words goes with the tasks, so the stream is stateless; a table (word, phi array) is
+    joined and needs foreachBatch or update mode."""
+    joined = not isinstance(phis, dict) or len(phis) > SHIPPED
+    if joined:
+        table = phis if not isinstance(phis, dict) else chunks.sparkSession.createDataFrame(list(phis.items()), "word string, phi array<double>")
+        words = chunks.select("doc_id", "chunk_no", F.explode("toks").alias("word")).join(table, "word", "left")
+        rows = words.groupBy("doc_id", "chunk_no").agg(F.collect_list("phi").alias("likes"))
+    else:
+        rows = chunks.select("doc_id", "chunk_no", F.col("toks").alias("likes"))
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         import numpy as np
 
         for f in frames:
             out = []
-            for toks in f["toks"]:
-                like = np.array([phis[t] for t in toks if t in phis])
+            for likes in f["likes"]:
+                like = np.array([list(x) for x in likes] if joined else [phis[t] for t in likes if t in phis])
                 th = np.full(n_topics, 1 / n_topics)
                 for _ in range(rounds if len(like) else 0):
                     share = like * th
@@ -145,11 +155,12 @@ def inferred(chunks: DataFrame, phis: dict[str, list[float]], n_topics: int, doc
                 out.append(th.tolist())
             yield pd.DataFrame({"doc_id": f["doc_id"], "chunk_no": f["chunk_no"], "theta": out})
 
-    return chunks.select("doc_id", "chunk_no", "toks").mapInPandas(run, "doc_id long, chunk_no int, theta array<double>")
+    return rows.mapInPandas(run, "doc_id long, chunk_no int, theta array<double>")
 
 
 def clicks_to_purchases(events: DataFrame, within: str = "1 hour", late: str = "1 hour") -> DataFrame:
-    """click_id, purchase_id: purchases that follow a click of the same user in time; both sides' states end with the watermarks."""
+    """click_id, purchase_id: purchases that follow a click of the same user in time; both sides' states end with the watermarks. Rows
+    later than ``late`` behind the latest of an earlier batch are dropped, as in ``user_sequences``."""
     events = timed(events)
     a = events.where("event_type = 'click'").select(F.col("event_id").alias("click_id"), F.col("user_id").alias("u"), F.col("ts").alias("t0")).withWatermark("t0", late)
     b = events.where("event_type = 'purchase'").select(F.col("event_id").alias("purchase_id"), "user_id", F.col("ts").alias("t1")).withWatermark("t1", late)

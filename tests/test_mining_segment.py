@@ -141,3 +141,94 @@ def test_phrases_of_any_length(spark):
     assert got() == want == got(prune_positions=False)
     assert got(max_len=6) == {k: c for k, c in want.items() if k[0] <= 6}
     assert Config().max_len is None
+
+
+def exhaustive(rows, least):
+    truth = Counter(" ".join(w[i : i + n]) for w in rows for n in range(1, len(w) + 1) for i in range(len(w) - n + 1))
+    return {p: c for p, c in truth.items() if c >= least}
+
+
+def test_doubled_lengths_equal_exhaustive(spark, monkeypatch):
+    """Runs of one word, copied lines and chance repeats, by steps of one word and by doubling from two words on: the same phrases,
+    spans and partitions; documents as the unit of support too."""
+    rng = random.Random(8)
+    line = [f"w{i}" for i in range(23)]
+    rows = [["x"] * 70, ["x"] * 41, ["x", "y"] * 20] + [line[rng.randint(0, 6) : rng.randint(9, 23)] for _ in range(12)] + [[rng.choice("abc") for _ in range(rng.randint(1, 15))] for _ in range(60)]
+    df = spark.createDataFrame([(i, r) for i, r in enumerate(rows)], "doc_id long, toks array<string>")
+    want, seen = exhaustive(rows, 4), []
+    for steps in (2, 3, 8):
+        monkeypatch.setattr(mining, "STEPS", steps)
+        m = mining.frequent_phrases(df, 4)
+        assert {r["phrase"]: r["cnt"] for r in m.counts.collect()} == want
+        spans = m.spans.join(m.chunks, "uid").select(F.concat_ws(" ", F.slice("toks", F.col("at") + 1, F.col("n"))).alias("p"), "cnt", "mult").groupBy("p").agg(F.max("cnt").alias("c"), F.sum("mult").alias("m")).collect()
+        assert {r["p"]: (r["c"], r["m"]) for r in spans} == {p: (c, c) for p, c in want.items() if " " in p}
+        seen.append({(tuple(r["toks"]), tuple(map(tuple, r["units"]))) for r in segment.segment_unique(m, 1.0).select("toks", "units").collect()})
+    assert seen[0] == seen[1] == seen[2]
+    monkeypatch.setattr(mining, "STEPS", 2)
+    held = Counter(p for r in rows for p in {" ".join(r[i : i + n]) for n in range(1, len(r) + 1) for i in range(len(r) - n + 1)})
+    by_doc = mining.frequent_phrases(df, 4, support_by="document").counts
+    assert {r["phrase"]: r["cnt"] for r in by_doc.collect()} == {p: c for p, c in held.items() if c >= 4}
+    capped = mining.frequent_phrases(df, 4, 7).counts
+    assert {r["phrase"]: r["cnt"] for r in capped.collect()} == {p: c for p, c in want.items() if p.count(" ") < 7}
+
+
+def edits(a, b):
+    row = list(range(len(b) + 1))
+    for i, x in enumerate(a, 1):
+        row, last = [i], row
+        for j, y in enumerate(b, 1):
+            row.append(min(last[j] + 1, row[-1] + 1, last[j - 1] + (x != y)))
+    return row[-1]
+
+
+@pytest.mark.parametrize("bound", [0, 1, 2, 3])
+def test_similar_by_edits(spark, bound):
+    rng = random.Random(bound)
+    words = {"kitten", "sitting", "a", "é", "ab", "naïve", "naive", "b"} | {"".join(rng.choice("abé") for _ in range(rng.randint(1, 9))) for _ in range(150)}
+    phrases = sorted(words | {f"{rng.choice(sorted(words))} {rng.choice(sorted(words))}" for _ in range(60)})
+    counts = spark.createDataFrame([(p.count(" ") + 1, p) for p in phrases], "n int, phrase string")
+    want = {(a, b) for i, a in enumerate(phrases) for b in phrases[i + 1 :] if a.count(" ") == b.count(" ") and edits(a, b) <= bound}
+    assert {tuple(r) for r in mining.tie_similar(counts, "edit", bound).collect()} == want
+    assert bound < 3 or ("kitten", "sitting") in want
+
+
+@pytest.mark.parametrize("bound", [0.3, 0.5, 0.6, 1.0])
+def test_similar_by_words_and_stems(spark, bound):
+    rng = random.Random(3)
+    phrases = sorted({" ".join(rng.choice(["cat", "cats", "run", "running", "tree", "trees", "a", "b"]) for _ in range(rng.randint(1, 5))) for _ in range(200)})
+    counts = spark.createDataFrame([(p.count(" ") + 1, p) for p in phrases], "n int, phrase string")
+    sets = {p: set(p.split()) for p in phrases if " " in p}
+    want = {(a, b) for a in sets for b in sets if a < b and len(sets[a] & sets[b]) / len(sets[a] | sets[b]) >= bound}
+    assert {tuple(r) for r in mining.tie_similar(counts, "jaccard", bound).collect()} == want
+    stems = {p: [stem(w) for w in p.split()] for p in phrases}
+    assert {tuple(r) for r in mining.tie_similar(counts, "stem").collect()} == {(a, b) for a in phrases for b in phrases if a < b and stems[a] == stems[b]}
+    with pytest.raises(ValueError, match="whole number"):
+        mining.tie_similar(counts, "edit", 1.5)
+
+
+def test_raw_titles_are_stemmed_and_shown_as_written(spark):
+    """From raw titles to brackets: inflected words count as one, and views show the most frequent written form."""
+    rows = [(i, t, "en") for i, t in enumerate(["Mining frequent patterns", "Mining frequent patterns", "Mined frequent patterns.", "The mining of frequent patterns", "Frequent pattern, and others", "Mining the frequent patterns"] * 3)]
+    s = Stages(spark.createDataFrame(rows, "doc_id long, text string, lang string"), Config(min_support=3, sig_threshold=1.0, stem=True, n_topics=2, sweeps=3))
+    counts = {r["phrase"]: r["cnt"] for r in s.mined.counts.collect()}
+    assert counts["mine"] == 15 and counts["frequent pattern"] == 18 and counts["mine frequent"] == 15
+    shown = {r["phrase"]: r["surface"] for r in s.surfaces.collect()}
+    assert shown["mine frequent pattern"] == "mining frequent patterns"
+    assert {r["word"]: r["surface"] for r in s.word_surfaces.collect()}["pattern"] == "patterns"
+    view = s.view(s.fit().state)
+    assert {r["text"] for r in view.where("kind = 'word'").collect()} <= {"mining", "frequent", "patterns", "others"}
+
+
+def test_table_function_segments_texts(spark):
+    from phraseworks.functions import sqlsurface
+
+    rows = [(i, "new york is large; new york city", "en") for i in range(6)] + [(9, "a café, york", "fr")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    s = Stages(docs, Config(min_support=3, sig_threshold=0.5))
+    sqlsurface.register(spark, s.mined.counts, 0.5, s.mined.tokens)
+    docs.createOrReplaceTempView("pw_docs")
+    got = spark.sql("SELECT d.doc_id, p.chunk_no, p.start, p.phrase FROM pw_docs d, LATERAL phrases(d.text, d.lang) p")
+    want = s.parts.select("doc_id", "chunk_no", "start", "phrase")
+    assert Counter(map(tuple, got.collect())) == Counter(map(tuple, want.collect()))
+    words = spark.sql("SELECT w.word, w.kept FROM pw_docs d, LATERAL phrase_words(d.text, d.lang) w WHERE d.doc_id = 9")
+    assert [tuple(r) for r in words.collect()] == [("a", True), ("café", True), ("york", True)]

@@ -1,6 +1,9 @@
 """Registered queries against their SQL on the small tables, plans' shapes, and the entry point."""
 
 import math
+import subprocess
+import sys
+from pathlib import Path
 
 import duckdb
 import pandas as pd
@@ -51,6 +54,13 @@ def test_registry():
     assert "MATERIALIZED" in oracles.sql("SELECT 1", "cnt")
 
 
+def test_entry_without_the_optional_parts():
+    """The core's queries are there when the training-data operators cannot be imported, for whatever reason."""
+    code = "import sys; sys.modules['public_tokenizers'] = None; import __spark_entry__ as e; q = e.queries(); print(len(q), any(n.startswith('op1') for n in q), 'pipeline' in q, len(e.oracle_sql()))"
+    out = subprocess.run([sys.executable, "-c", code], capture_output=True, text=True, cwd=Path(entry_point.__file__).parent, check=True).stdout.split()
+    assert out[1:3] == ["False", "False"] and int(out[0]) == len(QUERIES) and int(out[3]) == len(SQL)
+
+
 def test_entry(spark):
     df = entry_point.entry(spark)
     assert df.columns == ["k", "kind", "rank", "text", "score"] and df.count() > 0
@@ -82,6 +92,19 @@ def test_sources_and_sinks(spark, sf, tmp_path):
         assert back.exceptAll(one).count() == 0 and back.count() == one.count()
     (tmp_path / "lines.txt").write_text("one\ntwo\n")
     assert {r["text"] for r in io.read_corpus(spark, f"{tmp_path}/lines.txt", "text").collect()} == {"one", "two"}
+    (tmp_path / "many.txt").write_text("".join(f"line {i % 700}\n" for i in range(1000)))
+    whole = {tuple(r) for r in io.read_corpus(spark, f"{tmp_path}/many.txt", "text").collect()}
+    spark.conf.set("spark.sql.files.maxPartitionBytes", "1000")
+    try:
+        assert {tuple(r) for r in io.read_corpus(spark, f"{tmp_path}/many.txt", "text").collect()} == whole and len({i for i, _ in whole}) == 1000
+    finally:
+        spark.conf.unset("spark.sql.files.maxPartitionBytes")
+    io.write_bucketed(one.limit(50), "pw_bucketed", "doc_id", 4)
+    try:
+        back = spark.table("pw_bucketed")
+        assert back.exceptAll(one).count() == 0 and back.count() == 50 and "Exchange" not in plan_of(back.groupBy("doc_id").count())
+    finally:
+        spark.sql("DROP TABLE pw_bucketed")
     io.write_partitioned(docs, f"{tmp_path}/by_lang", "lang")
     assert "PartitionFilters: [isnotnull(lang" in plan_of(spark.read.parquet(f"{tmp_path}/by_lang").where("lang = 'en'"))
     view = spark.createDataFrame([(0, "word", 1, "a", 3), (0, "phrase", 1, "a b", 2)], "k int, kind string, rank int, text string, score long")

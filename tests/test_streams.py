@@ -1,5 +1,7 @@
 """Streams give what their batch twins give."""
 
+import os
+
 import pytest
 from pyspark.sql import functions as F
 
@@ -13,10 +15,19 @@ from phraseworks.streaming import streams
 @pytest.fixture(scope="module")
 def event_files(spark, sf, tmp_path_factory):
     folder = str(tmp_path_factory.mktemp("events"))
-    io.scan(spark, sf, "events").repartitionByRange(4, "ts").sortWithinPartitions("ts").write.mode("overwrite").parquet(folder)
+    write_in_order(io.scan(spark, sf, "events").orderBy("ts", "event_id").toPandas(), folder, range(4))
     return folder
 
 
+def write_in_order(rows, folder, order):
+    """Quarters of the rows as files, numbered by time; the source takes them by their modification times, in the given order."""
+    for nth, part in enumerate(order):
+        cut = [len(rows) * i // 4 for i in range(5)]
+        path = f"{folder}/part-{part}.parquet"
+        rows.iloc[cut[part] : cut[part + 1]].to_parquet(path, coerce_timestamps="us")
+        os.utime(path, (1_700_000_000 + nth, 1_700_000_000 + nth))
+
+
 @pytest.fixture(scope="module")
 def doc_files(spark, sf, tmp_path_factory):
     folder = str(tmp_path_factory.mktemp("docs"))
@@ -47,6 +58,23 @@ def test_user_sequences(spark, sf, event_files):
     assert {tuple(r) for r in got.collect()} == {(r["phrase"], r["cnt"]) for r in want.collect()}
 
 
+def test_files_out_of_order_lose_late_rows(spark, sf, tmp_path):
+    """A file that comes after later ones holds late rows: they are dropped, and nothing else is."""
+    rows = io.scan(spark, sf, "events").orderBy("ts", "event_id").toPandas()
+    write_in_order(rows, str(tmp_path), [0, 3, 1, 2])
+    drain(streams.user_sequences(events(spark, str(tmp_path)), 1, 86_400), "late_seqs")
+    cut = [len(rows) * i // 4 for i in range(5)]
+    kept = rows.iloc[[*range(cut[0], cut[1]), *range(cut[3], cut[4])]]
+    got = {r["user_id"]: r["count"] for r in spark.table("late_seqs").groupBy("user_id").count().collect()}
+    most, least = rows.groupby("user_id").size().to_dict(), kept.groupby("user_id").size().to_dict()
+    assert sum(got.values()) < len(rows) and all(least.get(u, 0) <= n <= most[u] for u, n in got.items()) and set(least) <= set(got)
+    drain(streams.clicks_to_purchases(events(spark, str(tmp_path))), "late_join")
+    ev = io.scan(spark, sf, "events")
+    a, b = ev.where("event_type = 'click'").alias("a"), ev.where("event_type = 'purchase'").alias("b")
+    every = {tuple(r) for r in a.join(b, F.expr("a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR")).select("a.event_id", "b.event_id").collect()}
+    assert {tuple(r) for r in spark.table("late_join").collect()} < every
+
+
 def test_interval_join(spark, sf, event_files):
     drain(streams.clicks_to_purchases(events(spark, event_files)), "joined")
     ev = io.scan(spark, sf, "events")

@@ -153,8 +153,31 @@ def test_baselines_find_planted_pairs(spark):
     assert sets.where(F.array_contains("items", "new") & F.array_contains("items", "york")).count() == 1
     with pytest.raises(ValueError, match="transaction"):
         baselines.itemset_keyphrases(tokens, largest_set=3)
+    many = spark.createDataFrame([(d, 0, i, f"w{i}", 0) for d in range(2) for i in range(6000)], "doc_id long, chunk_no int, pos int, word string, z int")
+    assert baselines.itemset_keyphrases(many.where("pos < 40 or doc_id = 0"), min_support=2, complete=0.0).where(F.size("items") == 2).count() == 40 * 39 // 2
 
 
+def test_switch_counts_are_merged(spark):
+    """Blocks start every sweep from the counts of all documents: what one block has seen shows in the others."""
+    rng = np.random.default_rng(4)
+    rows = [(d, 0, [w for _ in range(8) for w in (["new", "york"] if rng.random() < 0.4 else [f"w{rng.integers(20)}"])]) for d in range(80)]
+    chunks = spark.createDataFrame(rows, "doc_id long, chunk_no int, toks array<string>")
+    got = baselines.bigram_switch(chunks, n_topics=2, sweeps=12, partitions=8)
+    pairs = sum(t[i : i + 2] == ["new", "york"] for _, _, t in rows for i in range(len(t)))
+    assert got.where("phrase = 'new york'").count() > 0.5 * pairs
+    assert got.agg(F.sum("len")).first()[0] == sum(len(t) for _, _, t in rows)
+
+
+def test_permutations_in_parts(spark, monkeypatch):
+    """Successors dealt within parts of a topic find the planted pair as those dealt in the whole do."""
+    rng = np.random.default_rng(5)
+    rows = [(d, 0, i, w, 0) for d in range(60) for i, w in enumerate(w for _ in range(12) for w in (["new", "york"] if rng.random() < 0.4 else [f"w{rng.integers(30)}"]))]
+    tokens = spark.createDataFrame(rows, "doc_id long, chunk_no int, pos int, word string, z int")
+    for deal in (250_000, 100):
+        monkeypatch.setattr(baselines, "DEAL", deal)
+        found = {(r["v"], r["w"]) for r in baselines.posthoc_round(tokens, n_perm=20).collect()}
+        assert ("new", "york") in found and len(found) <= 3
+
 def test_intrusion_answers(spark):
     view = spark.createDataFrame([(k, "phrase", r + 1, f"p{k}{r}", 9) for k in range(3) for r in range(5)], "k int, kind string, rank int, text string, score long")
     q = evaluate.intrusion_questions(view, 12)
@@ -164,13 +187,68 @@ def test_intrusion_answers(spark):
     assert got["answered"] == got["correct"] == 12
 
 
-@pytest.mark.parametrize("options", [{"n_topics": "auto"}, {"optimise_every": 1}, {"trace_every": 1}, {"inner_sweeps": 2}])
-def test_no_other_model_beyond_the_size(spark, monkeypatch, options):
-    """A vocabulary that is too large for the counts to travel is no silent end of the options that snapshot mode lacks."""
-    monkeypatch.setattr(topics, "SHIP_CELLS", 1)
+@pytest.mark.parametrize("options", [{"n_topics": "auto", "k_max": 4}, {"optimise_every": 1}, {"inner_sweeps": 2}, {}])
+def test_the_way_counts_travel_changes_nothing(spark, planted, monkeypatch, options):
+    """Broadcast or joined block by block: the same topics, priors and traces."""
+    got = []
+    for cells in (topics.SHIP_CELLS, 0):
+        monkeypatch.setattr(topics, "SHIP_CELLS", cells)
+        m = topics.fit(planted, **{"n_topics": 3, "sweeps": 3, "doc_prior": 0.5, "partitions": 3, "trace_every": 1} | options)
+        got.append(({(r.doc_id, r.g, r.z) for r in m.state.collect()}, m.doc_prior.tolist(), m.word_prior, m.trace))
+    assert got[0][:1] == got[1][:1] and np.allclose(got[0][1], got[1][1]) and math.isclose(got[0][2], got[1][2])
+    assert all(math.isclose(a["perplexity"], b["perplexity"]) for a, b in zip(got[0][3], got[1][3], strict=True))
+
+
+def test_blocks_follow_the_size(spark, planted, monkeypatch):
+    """More blocks where words times topics would be too many for one, and no word lost."""
+    monkeypatch.setattr(topics, "BLOCK_CELLS", 500)
+    m = topics.fit(planted, 3, sweeps=2, doc_prior=0.5, partitions=1)
+    assert m.state.count() == planted.count()
+    assert topics.fit(planted.limit(0), 3, sweeps=2).state.count() == 0
+
+
+def test_snapshot_has_no_other_options(spark):
     rows = spark.createDataFrame([(1, 0, ["a"]), (1, 1, ["b", "c"])], "doc_id long, g int, words array<string>")
-    with pytest.raises(ValueError, match="snapshot"):
-        topics.fit(rows, **{"n_topics": 2, "sweeps": 1, "seed": 1} | options)
+    for options in ({"n_topics": "auto"}, {"optimise_every": 1}, {"trace_every": 1}, {"inner_sweeps": 2}):
+        with pytest.raises(ValueError, match="snapshot"):
+            topics.fit(rows, **{"n_topics": 2, "sweeps": 1, "seed": 1, "mode": "snapshot"} | options)
+
+
+def test_long_cliques_keep_their_weights(spark):
+    """The product over hundreds of words leaves the range of numbers; its logarithm does not."""
+    rng = np.random.default_rng(2)
+    rows = [(d, g, [f"t{d % 2}w{rng.integers(3)}"] * (400 if g == 0 else 1)) for d in range(20) for g in range(8)]
+    df = spark.createDataFrame(rows, "doc_id long, g int, words array<string>")
+    for mode in ("exact", "partitioned"):
+        m = topics.fit(df, 2, sweeps=8, doc_prior=0.1, mode=mode, partitions=2)
+        truth = df.select("doc_id").distinct().withColumn("block", (F.col("doc_id") % 2).cast("string"))
+        assert evaluate.agreement(evaluate.dominant_topic(m.state), truth, "block").first()["purity"] > 0.9
+
+
+def test_held_out_trace_is_the_measure(spark, planted):
+    """The trace's held-out perplexity is that of evaluate.perplexity on the last state, and training alone is what is counted."""
+    train, held = planted.where("g % 5 <> 0"), planted.where("g % 5 = 0").unionByName(spark.createDataFrame([(0, 99, ["never"])], planted.schema))
+    m = topics.fit(train, 3, sweeps=4, doc_prior=0.5, partitions=2, trace_every=4, held=held)
+    want = evaluate.perplexity(m.state, held, 3, 0.5, 0.01).first()
+    assert m.trace[-1]["held_tokens"] == want["tokens"] and math.isclose(m.trace[-1]["held_perplexity"], want["perplexity"], rel_tol=1e-9)
+    assert m.trace[-1]["held_perplexity"] < m.trace[0]["held_perplexity"]
+
+
+def test_digamma(spark):
+    """Against differences that are finite sums."""
+    rows = spark.createDataFrame([(0.01, 1), (0.01, 50), (0.5, 7), (3.0, 200)], "a double, n int")
+    for r in rows.select("a", "n", (topics.digamma(F.col("a") + F.col("n")) - topics.digamma(F.col("a"))).alias("d")).collect():
+        assert math.isclose(r["d"], sum(1 / (r["a"] + i) for i in range(r["n"])), rel_tol=1e-9)
+
+
+def test_old_sweeps_are_deleted(spark, planted, tmp_path, monkeypatch):
+    """However many sweeps, the shared folder keeps one generation of the documents."""
+    from phraseworks.sources import io
+
+    monkeypatch.setattr(io, "shared_folder", lambda _: f"file://{tmp_path}")
+    topics.fit(planted, 3, sweeps=4, doc_prior=0.5, partitions=2)
+    assert len([p for p in tmp_path.iterdir() if p.name.startswith("sweep-")]) == 1
+    assert not [p for p in tmp_path.iterdir() if p.name.startswith("counts-")]
 
 
 def test_variational_reads_everything(spark, monkeypatch):
