@@ -27,6 +27,8 @@ from ..sources.io import discard, settle
 
 #: Counts that may be broadcast, and counts that a block may hold: words times topics.
 SHIP_CELLS, BLOCK_CELLS = 20_000_000, 32_000_000
+#: Words up to which a clique's weight is a plain product; that of a longer one leaves the range of numbers, so logarithms are added.
+SHORT = 16
 
 
 def uniform(seed: int, sweep: int, *keys: Column) -> Column:
@@ -191,11 +193,13 @@ class Model:
 
 def weights_of(words: np.ndarray, n_doc: np.ndarray, n_word: np.ndarray, n_topic: np.ndarray, doc_prior: np.ndarray, word_prior: float, v: int, repeat_offset: bool = True) -> np.ndarray:
     """Topic weights of a clique given counts without it; n_word is word x topic."""
-    out = np.zeros(len(n_topic))  # logarithms, as a long clique's product leaves the range of numbers
+    long = len(words) > SHORT
+    out = np.zeros(len(n_topic)) if long else np.ones(len(n_topic))
     for j, w in enumerate(words):
         seen = int((words[:j] == w).sum()) if repeat_offset and j else 0
-        out += np.log((doc_prior + n_doc + j) * (word_prior + n_word[w] + seen) / (v * word_prior + n_topic + j))
-    return np.exp(out - out.max())
+        part = (doc_prior + n_doc + j) * (word_prior + n_word[w] + seen) / (v * word_prior + n_topic + j)
+        out = out + np.log(part) if long else out * part
+    return np.exp(out - out.max()) if long else out
 
 
 def sweep_rows(docs: list[list[np.ndarray]], topics: list[np.ndarray], n_word: np.ndarray, n_topic: np.ndarray, doc_prior: np.ndarray, word_prior: float, v: int, rng: np.random.Generator, repeat_offset: bool = True) -> None:
@@ -264,11 +268,15 @@ def sweep_lanes(sizes: np.ndarray, lengths: np.ndarray, tokens: np.ndarray, z: n
                 if repeat_offset and j:
                     words += sum((tokens[begin[on] + i] == x) for i in range(j))[:, None]
                 part = (doc_prior + j + n_doc[on]) * words / (v_prior + n_topic + j)
+                if most > SHORT:
+                    part = np.log(part)
                 if j == 0:
-                    p = np.log(part) if most > 1 else part  # logarithms, as a long clique's product leaves the range of numbers
+                    p = part
+                elif most > SHORT:
+                    p[on] += part
                 else:
-                    p[on] += np.log(part)
-            if most > 1:
+                    p[on] *= part
+            if most > SHORT:
                 p = np.exp(p - p.max(1, keepdims=True))
             sums = np.cumsum(p, axis=1)
             new = np.minimum((sums <= (rng.random(live) * sums[:, -1])[:, None]).sum(1), k_all - 1)
@@ -290,13 +298,14 @@ def _flat(table: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarr
 def _sweep(n_topic: np.ndarray, doc_prior: np.ndarray, word_prior: float, v: int, seed: int, sweep: int, inner: int, repeat_offset: bool, exact: bool):
     """The work of one block: its rows and the counts of its words, given as rows of ``counts_of(ids)``."""
 
-    def run(block: int, table: pa.Table, counts_of) -> pa.Table:
+    def run(table: pa.Table, counts_of) -> pa.Table:
         table = table.sort_by("doc_id")
         sizes, lengths, tokens, z = _flat(table)
         z = z.copy()
         ids, tokens = np.unique(tokens, return_inverse=True)
         local_word, local_topic = counts_of(ids).astype(np.float64), n_topic.astype(np.float64)
-        rng = np.random.default_rng([seed, sweep, block])  # the same block recomputed draws the same topics
+        # the same block recomputed draws the same topics
+        rng = np.random.default_rng([seed, sweep, table.column("doc_id")[0].as_py() & 0x7FFFFFFF])
         for _ in range(inner):
             if exact:
                 docs = np.split(np.arange(len(lengths)), np.cumsum(sizes)[:-1])
@@ -314,7 +323,7 @@ def _sweep(n_topic: np.ndarray, doc_prior: np.ndarray, word_prior: float, v: int
 
 def block_of(key: str, labels: list[int], n: int) -> Column:
     """The block of a key, by its hash."""
-    at = F.pmod(F.xxhash64(key), F.lit(n)).cast("int")
+    at = F.pmod(F.hash(key), F.lit(n))
     return F.get(F.array(*map(F.lit, labels)), at) if labels else at
 
 
@@ -400,7 +409,7 @@ def fit(cliques: DataFrame, n_topics: int | str = 5, sweeps: int = 20, doc_prior
     needs = None if ship else settle(now.select("block", F.explode(F.flatten("words")).alias("w")).distinct(), "block-words")
     asked = None
     if trace_every:
-        train = now.select("doc_id", F.explode(F.flatten("words")).alias("w")).groupBy("doc_id", "w").agg(F.count("*").alias("m"))
+        train = settle(now.select("doc_id", F.explode(F.flatten("words")).alias("w")).groupBy("doc_id", "w").agg(F.count("*").alias("m")), "train-tokens")
         if held is not None:
             rows = held.select("doc_id", F.explode("words").alias("word")).join(ids, "word", "left")
             asked = settle(rows.groupBy("doc_id", F.col("word_id").alias("w")).agg(F.count("*").alias("m")), "held-tokens")
@@ -455,14 +464,14 @@ def fit(cliques: DataFrame, n_topics: int | str = 5, sweeps: int = 20, doc_prior
 
 
 def _by_broadcast(work, sent):
-    def run(key: tuple[pa.Scalar, ...], table: pa.Table) -> pa.Table:
-        return work(key[0].as_py(), table, lambda ids: sent.value[ids])
+    def run(table: pa.Table) -> pa.Table:
+        return work(table, lambda ids: sent.value[ids])
 
     return run
 
 
 def _by_slices(work, k: int):
-    def run(key: tuple[pa.Scalar, ...], table: pa.Table, slices: pa.Table) -> pa.Table:
+    def run(table: pa.Table, slices: pa.Table) -> pa.Table:
         def counts_of(ids: np.ndarray) -> np.ndarray:
             out = np.zeros((len(ids), k))
             ks, cs = slices.column("ks").combine_chunks(), slices.column("cs").combine_chunks()
@@ -470,7 +479,7 @@ def _by_slices(work, k: int):
             out[np.repeat(rows, pc.list_value_length(ks).to_numpy(zero_copy_only=False)), ks.flatten().to_numpy()] = cs.flatten().to_numpy()
             return out
 
-        return work(key[0].as_py(), table, counts_of)
+        return work(table, counts_of)
 
     return run
 

@@ -217,7 +217,7 @@ def test_snapshot_has_no_other_options(spark):
 def test_long_cliques_keep_their_weights(spark):
     """The product over hundreds of words leaves the range of numbers; its logarithm does not."""
     rng = np.random.default_rng(2)
-    rows = [(d, g, [f"t{d % 2}w{rng.integers(3)}"] * (400 if g == 0 else 1)) for d in range(20) for g in range(8)]
+    rows = [(d, g, [f"t{d % 2}w{rng.integers(3)}" for _ in range(400 if g == 0 else 1)]) for d in range(20) for g in range(8)]
     df = spark.createDataFrame(rows, "doc_id long, g int, words array<string>")
     for mode in ("exact", "partitioned"):
         m = topics.fit(df, 2, sweeps=8, doc_prior=0.1, mode=mode, partitions=2)
