@@ -148,11 +148,11 @@ def percent_ranks(rows: DataFrame, value: str, name: str) -> DataFrame:
     """rows with the share of the other rows whose value is smaller, by ranges of the sorted values: no task holds all rows."""
     from ..functions.text import dense_ids
 
-    at = dense_ids(rows, F.col(value), name="_at")
-    first = at.groupBy(F.col(value).alias("_value")).agg(F.min("_at").alias("_first"))
+    placed = dense_ids(rows, F.col(value), name="_place")
+    first = placed.groupBy(F.col(value).alias("_value")).agg(F.min("_place").alias("_first"))
     n = rows.agg(F.count("*").alias("_all"))
-    joined = at.join(first, F.col(value) == F.col("_value")).crossJoin(n)  # one row on the right
-    return joined.withColumn(name, F.when(F.col("_all") > 1, F.col("_first") / (F.col("_all") - 1)).otherwise(0.0)).drop("_at", "_value", "_first", "_all")
+    joined = placed.join(first, F.col(value) == F.col("_value")).crossJoin(n)  # one row on the right
+    return joined.withColumn(name, F.when(F.col("_all") > 1, F.col("_first") / (F.col("_all") - 1)).otherwise(0.0)).drop("_place", "_value", "_first", "_all")
 
 
 def phrase_quality(scores: DataFrame, parts: DataFrame, labels: DataFrame) -> DataFrame:

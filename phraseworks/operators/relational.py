@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..sources.io import settle
+
 
 def asof_join(left: DataFrame, right: DataFrame, key: str, left_at: str, right_at: str, values: list[str]) -> DataFrame:
     """left with the values of right's last row at or before left's time, for the same key: one shuffle and one window over both."""
@@ -32,6 +34,16 @@ def containment(counts: DataFrame) -> DataFrame:
 
 
 def cumulative(rows: DataFrame, group: list[str], order: list[Column], value: str, name: str = "cdf") -> DataFrame:
-    """rows with the running share of value in their group, for inverse-law draws."""
-    w = Window.partitionBy(*group).orderBy(*order)
-    return rows.withColumn(name, F.sum(value).over(w.rowsBetween(Window.unboundedPreceding, 0)) / F.sum(value).over(Window.partitionBy(*group)))
+    """rows with the running share of value in their group, for inverse-law draws. Rows are sorted by ranges and summed within a range;
+    a range then starts from the sums of those before it, so no task holds a whole group."""
+    ranged = settle(rows.orderBy(*group, *order).withColumn("_at", F.monotonically_increasing_id()).withColumn("_part", F.shiftright("_at", 33)), "ranges")
+    sums = ranged.groupBy(*group, "_part").agg(F.sum(value).alias("_sum"))
+    # a row for each group and range that meet
+    line = Window.partitionBy(*group)
+    starts = sums.select(*[F.col(g).alias(f"_{g}") for g in group], F.col("_part").alias("_of"), (F.sum("_sum").over(line.orderBy("_part")) - F.col("_sum")).alias("_start"), F.sum("_sum").over(line).alias("_whole"))
+    same = F.col("_part") == F.col("_of")
+    for g in group:
+        same &= F.col(g).eqNullSafe(F.col(f"_{g}"))
+    within = F.sum(value).over(Window.partitionBy(*group, "_part").orderBy("_at").rowsBetween(Window.unboundedPreceding, 0))
+    out = ranged.withColumn("_run", within).join(starts, same)
+    return out.withColumn(name, (F.col("_start") + F.col("_run")) / F.col("_whole")).select(*rows.columns, name)

@@ -59,7 +59,9 @@ def counts(state: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame]:
 
 
 def _vectors(rows: DataFrame, key: str, n_topics: int, name: str) -> DataFrame:
-    """(key, k, cnt) as (key, array of n_topics counts)."""
+    """(key, k, cnt) as (key, array of n_topics counts): an expression a topic while they are few, a map for any number."""
+    if n_topics > 64:
+        return _dense(rows, key, n_topics, name).withColumn(name, F.col(name).cast("array<bigint>"))
     return rows.groupBy(key).agg(F.array(*[F.coalesce(F.sum(F.when(F.col("k") == k, F.col("cnt"))), F.lit(0)) for k in range(n_topics)]).alias(name))
 
 

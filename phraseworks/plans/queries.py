@@ -935,6 +935,12 @@ def hash_sample_docs(spark, d):
     return workloads.sampled(scan(spark, d, "documents", "doc_id", "lang"), 0.25)
 
 
+@query("SELECT doc_id, lang FROM documents WHERE ('0x' || substr(md5(doc_id::VARCHAR), 1, 8))::BIGINT / 4294967296.0 < CASE lang WHEN 'en' THEN 0.1 WHEN 'de' THEN 0.5 WHEN 'fr' THEN 0.5 ELSE 0.0 END")
+def stratified_sample_docs(spark, d):
+    """A sampling operator: a share of its own for each language."""
+    return workloads.stratified(scan(spark, d, "documents", "doc_id", "lang"), "lang", {"en": 0.1, "de": 0.5, "fr": 0.5})
+
+
 _RAW_OF = r"(SELECT " + _TOKENS_OF + r" AS toks FROM (SELECT unnest(string_split_regex(lower(text), '[^\p{L}\p{N}\s]+|\n')) AS p FROM {src}))"
 
 

@@ -32,6 +32,14 @@ def sampled(docs: DataFrame, fraction: float) -> DataFrame:
     return docs.where(share(F.col("doc_id")) < fraction)
 
 
+def stratified(docs: DataFrame, key: str, shares: dict[str, float]) -> DataFrame:
+    """A hash sample with a share of its own for each value of key; other values have none. The same rows everywhere, unlike sampleBy's."""
+    part = F.lit(0.0)
+    for value, of in shares.items():
+        part = F.when(F.col(key) == value, of).otherwise(part)
+    return docs.where(share(F.col("doc_id")) < part)
+
+
 def by_source(spark: SparkSession, sf_dir: str) -> DataFrame:
     """First lines of documents; sources stand for venues."""
     return scan(spark, sf_dir, "documents", "doc_id", "text", "lang", "source").withColumn("text", first_line(F.col("text")))
