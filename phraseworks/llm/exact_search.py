@@ -2,10 +2,10 @@
 
 On a segment of L components, a.b is at most L * mean(a) * mean(b) + |a - mean(a)| * |b - mean(b)|; summed over segments
 this bounds the whole product from above (the squared distance from below), the more closely the finer the segments.
-Queries and candidates meet in tiles of bounded size. In a tile, ``GROUP`` queries of like coarse means go through it together:
-the coarsest level bounds all candidates, and the exact scores of the most promising ones give each query a first k-th score.
-Only candidates that some query of the group may still need go on to the next level, with the columns of that level; those
-left after the finest get exact scores, one by one where few pairs are left. Tiles return k rows a query, and the last step
+Queries and candidates meet in tiles of bounded size. In a tile, ``GROUP`` queries that lie close go through it together: the
+coarsest level bounds all candidates, and the exact scores of those that look best give each query a first k-th score, which
+every level raises. Only candidates that some query of the group may still need go on to the next level; those left after
+the finest get exact scores, one by one where few pairs are left. Tiles return k rows a query, and the last step
 keeps the k best of all tiles.
 
 Edge cases: vectors that are null, empty, or hold null or non-finite components take no part; vectors are compared with
@@ -29,7 +29,9 @@ TILE_ROWS, TILE_QUERIES = 16_384, 4_096
 LEAST_TILES = 32
 SEGMENTS = (1, 4, 16, 32)
 #: Queries that go through a tile together, and candidates that give each its first bar.
-GROUP, SEEDS = 64, 64
+GROUP, SEEDS = 32, 32
+#: Candidates that the queries are put in order by.
+PIVOTS = 64
 
 
 def features(x: np.ndarray, segments: int) -> np.ndarray:
@@ -58,31 +60,31 @@ def tile_top(q_ids: np.ndarray, q: np.ndarray, ids: np.ndarray, x: np.ndarray, k
     q_levels, levels = [features(q, s) for s in sizes], [features(x, s) for s in sizes]
     q_norm, norm = np.linalg.norm(q, axis=1), np.linalg.norm(x, axis=1)
     looked, out = np.zeros(len(sizes) + 1), []
-    # queries whose means have like signs and sizes meet in a group, so that they need like candidates
-    order = np.lexsort(np.vstack([q_levels[0][:, 0], *(features(q, 4)[:, :4] > 0).T]))
+    # queries that lie next to the same of some candidates meet in a group, so that they need like candidates
+    order = np.argsort((q @ x[:: -(-len(x) // PIVOTS)].T).argmax(1), kind="stable")
     for begin in range(0, len(order), GROUP):
         rows = order[begin : begin + GROUP]
-        slack = lambda cols, rows=rows: 1e-9 * np.outer(q_norm[rows], norm[cols]) + 1e-6
         cols = np.arange(len(ids))
         alive = q_ids[rows, None] != ids[None, :]
-        bounds = np.where(alive, q_levels[0][rows] @ levels[0].T + slack(cols), -np.inf)
-        looked[0] += bounds.size
-        take = min(max(SEEDS, 4 * k), len(ids))
-        first = np.argpartition(-bounds, take - 1, axis=1)[:, :take]
-        seeds = np.einsum("qd,qsd->qs", q[rows], x[first])
-        seeds = np.where(np.take_along_axis(alive, first, 1), seeds, -np.inf)
-        bar = -np.partition(-seeds, k - 1, axis=1)[:, k - 1] if take >= k else np.full(len(rows), -np.inf)
-        # scores beyond a long are equal, so no bar is higher than the highest of them
-        bar = np.minimum(bar, 2.0**63) - 1e-9 * q_norm[rows] * norm.max(initial=0) - 1e-6
-        alive &= bounds >= bar[:, None]
-        for n, (mine, theirs) in enumerate(zip(q_levels[1:], levels[1:], strict=True), 1):
+        bar = np.full(len(rows), -np.inf)
+        slack = 1e-9 * q_norm[rows] * norm.max(initial=0) + 1e-6
+        for n, (mine, theirs) in enumerate(zip(q_levels, levels, strict=True)):
+            bounds = np.where(alive, mine[rows] @ theirs[cols].T, -np.inf)
+            looked[n] += bounds.size
+            # the candidates that look best at this level raise the bar
+            take = min(max(SEEDS, 4 * k), len(cols))
+            first = np.argpartition(-bounds, take - 1, axis=1)[:, :take]
+            if take >= k:
+                seeds = np.einsum("qd,qsd->qs", q[rows], x[cols[first]])
+                seeds = np.where(np.take_along_axis(alive, first, 1), seeds, -np.inf)
+                # scores beyond a long are equal, so no bar is higher than the highest of them
+                bar = np.maximum(bar, np.minimum(-np.partition(-seeds, k - 1, axis=1)[:, k - 1], 2.0**63) - slack)
+            alive &= bounds + slack[:, None] >= bar[:, None]
             needed = alive.any(0)
             cols, alive = cols[needed], alive[:, needed]
-            alive &= mine[rows] @ theirs[cols].T + slack(cols) >= bar[:, None]
-            looked[n] += alive.size
-        needed = alive.any(0)
-        cols, alive = cols[needed], alive[:, needed]
-        if alive.mean() > 0.05 if alive.size else False:
+            if not len(cols):
+                break
+        if alive.size and alive.mean() > 0.05:
             scores = _products(q[rows], x[cols])
             looked[-1] += alive.size
             lists = [(np.flatnonzero(a), s[a]) for a, s in zip(alive, scores, strict=True)]
