@@ -1,15 +1,20 @@
 """Approximate nearest neighbours by cosine: an inverted file of coarse centroids with product-quantised residuals.
 
-Centroids, residual codebooks and the number of lists to probe are fitted in numpy on a bounded sample (``SAMPLE`` rows,
-chosen by a hash of the id); every row is indexed. A query visits its nearest lists; there an asymmetric table (its inner
-products with all codewords) scores the codes, and the best ``rerank`` codes of a tile get the exact cosine of the
-original vectors. A list longer than ``TILE_ROWS`` is cut into tiles, as are the queries that visit it, so no list is one
-task's work. The probes are as many as the sample needs to hold ``TARGET`` of its true neighbours.
+Centroids and residual codebooks are fitted in numpy on a bounded sample (``SAMPLE`` rows, chosen by a hash of the id);
+every row is indexed. A query visits its nearest lists; there an asymmetric table (its inner products with all codewords)
+scores the codes. The best ``rerank`` codes of a tile get the exact cosine of the original vectors, and after them every
+code that may still be above the k-th of these: its estimate is off by at most ``reach`` times its own error. A list longer
+than ``TILE_ROWS`` is cut into tiles, as are the queries that visit it, so no list is one task's work.
+
+How many lists to probe, and the reach, are measured: ``ASKED`` of the queries themselves, chosen by a hash, are compared with
+all rows (one pass, linear in the rows). The probes hold ``TARGET`` of these true neighbours and the reach ``SURE`` of them, so
+neither rests on how alike queries and rows are, nor on how tight the groups of vectors lie.
 
 Vectors meet vectors of their own length. The most frequent length, and others with over ``FEW`` vectors (at most ``INDEXES``
 lengths), have an index each; the vectors of rarer lengths are compared with each other exactly, in tiles.
 
-Edge cases: vectors that are null, empty, zero, or hold null or non-finite components take no part; rows repeating an id and a
+Edge cases: vectors that are null, empty, zero, or hold null or non-finite components take no part; components of any size are scaled
+by powers of two, so their squares neither overflow nor vanish; rows repeating an id and a
 vector count once; a query is never its own candidate (by id); ties go to the smaller id; probes go on until they hold more
 than k rows, so small tables return all candidates; an empty table gives no rows; other columns are not read, whatever their names.
 """
@@ -27,7 +32,8 @@ from pyspark.sql import functions as F
 from .common import settle
 from .vectors import best, matrix, once, usable
 
-SAMPLE, TARGET, MOST_LISTS = 20_000, 0.97, 1024
+SAMPLE, MOST_LISTS = 20_000, 1024
+ASKED, TARGET, SURE = 400, 0.97, 0.995
 TILE_ROWS, TILE_QUERIES = 4_096, 2_048
 WORDS, PART = 256, 4
 FEW, INDEXES = 4_096, 16
@@ -50,7 +56,8 @@ class Index:
     centres: np.ndarray
     books: list[np.ndarray]
     cuts: list[np.ndarray]
-    probes: int
+    probes: int = 1
+    reach: float = 1.0
 
     def lists(self, unit: np.ndarray) -> np.ndarray:
         return np.argmin((self.centres**2).sum(1)[None, :] - 2 * unit @ self.centres.T, axis=1)
@@ -59,28 +66,74 @@ class Index:
         rest = unit - self.centres[lists]
         return np.stack([np.argmin((b**2).sum(1)[None, :] - 2 * rest[:, c] @ b.T, axis=1) for b, c in zip(self.books, self.cuts, strict=True)], 1).astype(np.uint8)
 
+    def decoded(self, codes: np.ndarray) -> np.ndarray:
+        """The residuals that the codes stand for."""
+        return np.concatenate([b[codes[:, m]] for m, b in enumerate(self.books)], 1)
+
     def order(self, unit: np.ndarray) -> np.ndarray:
         return np.argsort((self.centres**2).sum(1)[None, :] - 2 * unit @ self.centres.T, axis=1, kind="stable")
 
 
 def fit(sample: np.ndarray, lists: int, seed: int = 7) -> Index:
     rng = np.random.default_rng(seed)
-    unit = sample / np.linalg.norm(sample, axis=1, keepdims=True)
+    unit = units(sample)
     cuts = np.array_split(np.arange(unit.shape[1]), max(1, unit.shape[1] // PART))
-    index = Index(lloyd(unit, lists, 10, rng), [], cuts, 1)
-    home = index.lists(unit)
-    rest = unit - index.centres[home]
+    index = Index(lloyd(unit, lists, 10, rng), [], cuts)
+    rest = unit - index.centres[index.lists(unit)]
     index.books = [lloyd(rest[:, c], WORDS, 6, rng) for c in cuts]
-    asked = rng.choice(len(unit), min(400, len(unit)), replace=False)
-    near = unit[asked] @ unit.T
-    near[np.arange(len(asked)), asked] = -np.inf
-    order = index.order(unit[asked])
-    place = np.argsort(order, axis=1)
-    found = np.sort([place[i, home[j]] for i in range(len(asked)) for j in np.argsort(-near[i])[: min(5, len(unit) - 1)]] or [0])
-    index.probes = int(found[min(len(found) - 1, int(TARGET * len(found)))]) + 1
     return index
 
 
+def measure(index: Index, placed: DataFrame, is_query: Column, k: int) -> None:
+    """Set the index's probes and reach by the true neighbours of some of the queries among all rows placed."""
+    some = placed.where(is_query).select("id", "vec").orderBy(F.xxhash64("id", F.lit(5)), "id").limit(ASKED).toArrow()
+    if not len(some):
+        return
+    asked_ids, asked = some.column("id").to_numpy(), units(matrix(some.column("vec")))
+
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """The k nearest rows of the task for each query asked."""
+        names = ["query", "id", "score", "list", "off"]
+        held: list[list[tuple[np.ndarray, ...]]] = [[] for _ in asked_ids]
+        for batch in batches:
+            for start in range(0, batch.num_rows, TILE_ROWS):
+                ids, vec, home, codes, err = batch.slice(start, TILE_ROWS).columns
+                ids, home, err, unit = ids.to_numpy(), home.to_numpy(), err.to_numpy(), units(matrix(vec))
+                known = index.centres[home] + index.decoded(np.frombuffer(b"".join(codes.to_pylist()), np.uint8).reshape(len(ids), -1))
+                scores = asked @ unit.T
+                for i, own in enumerate(asked_ids):
+                    near = best(ids, np.where(ids == own, -np.inf, scores[i]), k)
+                    near = near[ids[near] != own]
+                    off = (scores[i, near] - known[near] @ asked[i]) / np.maximum(err[near], 1e-12)
+                    held[i].append((ids[near], scores[i, near], home[near], off))
+        for i, parts in enumerate(held):
+            if parts:
+                ids, scores, home, off = (np.concatenate(x) for x in zip(*parts, strict=True))
+                top = best(ids, scores, k)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(top), i, np.int32)), *(pa.array(x[top]) for x in (ids, scores, home, off))], names)
+
+    near = placed.select("id", "vec", "list", "codes", "err").mapInArrow(compare, "query int, id long, score double, list int, off double").dropDuplicates(["query", "id", "score"])
+    rank = F.row_number().over(Window.partitionBy("query").orderBy(F.desc("score"), "id"))
+    # k rows for each query asked
+    true = near.withColumn("rank", rank).where(F.col("rank") <= k).toArrow()
+    if len(true):
+        place = np.argsort(index.order(asked), axis=1)
+        found = np.sort(place[true.column("query").to_numpy(), true.column("list").to_numpy()])
+        off = np.sort(true.column("off").to_numpy())
+        index.probes = int(found[min(len(found) - 1, int(TARGET * len(found)))]) + 1
+        index.reach = float(np.clip(off[min(len(off) - 1, int(SURE * len(off)))], 0, 1))
+
+
+def scaled(x: np.ndarray) -> np.ndarray:
+    """Rows times powers of two that bring their largest component to between 0.5 and 1."""
+    return np.ldexp(x, -np.frexp(np.abs(x).max(1, keepdims=True))[1]) if len(x) else x
+
+
+def units(x: np.ndarray) -> np.ndarray:
+    x = scaled(x)
+    return x / np.linalg.norm(x, axis=1, keepdims=True) if len(x) else x
+
+
 def exact_cosines(q: np.ndarray, x: np.ndarray) -> np.ndarray:
     """Row by row in one order of summation, so equal vectors have equal scores wherever they lie."""
     return (x * q).sum(1) / (np.sqrt((x * x).sum(1)) * np.sqrt((q * q).sum()))
@@ -121,7 +174,7 @@ def _compared(good: DataFrame, is_query: Column, k: int) -> DataFrame:
             for t in (queries, candidates):
                 ids, x = t.column("id").to_numpy(), matrix(t.column("vec"))
                 keep = once(ids, x)
-                sides.append((ids[keep], x[keep]))
+                sides.append((ids[keep], scaled(x[keep])))
             (q_ids, q), (ids, x) = sides
             for i in range(len(q_ids)):
                 near = np.flatnonzero(ids != q_ids[i])
@@ -147,12 +200,14 @@ def _indexed(good: DataFrame, n: int, is_query: Column, k: int, rerank: int) ->
             x = matrix(batch.column(1))
             if not len(x):
                 continue
-            unit = x / np.linalg.norm(x, axis=1, keepdims=True)
+            unit = units(x)
             home = index.lists(unit)
             codes = index.codes(unit, home)
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(home.astype(np.int32)), pa.array([c.tobytes() for c in codes], pa.binary())], ["id", "vec", "list", "codes"])
+            err = np.linalg.norm(unit - index.centres[home] - index.decoded(codes), axis=1)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(home.astype(np.int32)), pa.array([c.tobytes() for c in codes], pa.binary()), pa.array(err)], ["id", "vec", "list", "codes", "err"])
 
-    placed = settle(good.mapInArrow(place, "id long, vec array<double>, list int, codes binary"), "ann-index")
+    placed = settle(good.mapInArrow(place, "id long, vec array<double>, list int, codes binary, err double"), "ann-index")
+    measure(index, placed, is_query, k)
     # at most MOST_LISTS counts
     sizes = np.zeros(len(index.centres), np.int64)
     for r in placed.groupBy("list").count().collect():
@@ -163,7 +218,7 @@ def _indexed(good: DataFrame, n: int, is_query: Column, k: int, rerank: int) ->
             x = matrix(batch.column(1))
             if not len(x):
                 continue
-            order = index.order(x / np.linalg.norm(x, axis=1, keepdims=True))
+            order = index.order(units(x))
             enough = (np.cumsum(sizes[order], axis=1) <= k).sum(1) + 1
             lists = [o[: max(index.probes, e)].astype(np.int32) for o, e in zip(order, enough, strict=True)]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array([o[sizes[o] > 0] for o in lists], pa.list_(pa.int32()))], ["id", "vec", "lists"])
@@ -177,29 +232,36 @@ def _indexed(good: DataFrame, n: int, is_query: Column, k: int, rerank: int) ->
     every = lambda c: F.explode(F.sequence(F.lit(0), F.col(c) - 1))
     mine = lambda c: F.pmod(F.xxhash64("id"), F.col(c)).cast("int")
     left = visits.join(shape, "list").select("list", every("tiles").alias("tile"), mine("q_tiles").alias("q_tile"), "id", "vec")
-    right = placed.join(shape, "list").select("list", mine("tiles").alias("tile"), every("q_tiles").alias("q_tile"), "id", "vec", "codes")
+    right = placed.join(shape, "list").select("list", mine("tiles").alias("tile"), every("q_tiles").alias("q_tile"), "id", "vec", "codes", "err")
     keys = ["list", "tile", "q_tile"]
 
-    def run(queries: pa.Table, candidates: pa.Table) -> pa.Table:
+    def run(key: tuple[pa.Scalar, ...], queries: pa.Table, candidates: pa.Table) -> pa.Table:
         out = []
         if len(queries) and len(candidates):
             q_ids, q = queries.column("id").to_numpy(), matrix(queries.column("vec"))
             ids, x = candidates.column("id").to_numpy(), matrix(candidates.column("vec"))
             codes = np.frombuffer(b"".join(candidates.column("codes").to_pylist()), np.uint8).reshape(len(ids), -1)
             keep = once(q_ids, q)
-            q_ids, q = q_ids[keep], q[keep]
+            q_ids, q = q_ids[keep], scaled(q[keep])
             keep = once(ids, x)
             by_id = keep[np.argsort(ids[keep], kind="stable")]
-            ids, x, codes = ids[by_id], x[by_id], codes[by_id]
+            ids, x, codes = ids[by_id], scaled(x[by_id]), codes[by_id]
+            slack = index.reach * candidates.column("err").to_numpy()[by_id] + 1e-9
+            centre = index.centres[key[0].as_py()]
             for i in range(len(q_ids)):
                 unit = q[i] / np.linalg.norm(q[i])
-                looks = np.zeros(len(ids))
+                looks = np.full(len(ids), centre @ unit)
                 for m, (b, c) in enumerate(zip(index.books, index.cuts, strict=True)):
                     looks += (b @ unit[c])[codes[:, m]]
                 looks[ids == q_ids[i]] = -np.inf
                 near = best(ids, looks, rerank)
                 near = near[ids[near] != q_ids[i]]
                 scores = exact_cosines(q[i], x[near])
+                if len(scores) >= k:
+                    may = looks + slack >= np.partition(scores, len(scores) - k)[len(scores) - k]
+                    may[near] = False
+                    more = np.flatnonzero(may)
+                    near, scores = np.concatenate([near, more]), np.concatenate([scores, exact_cosines(q[i], x[more])])
                 top = best(ids[near], scores, k)
                 out.append((np.full(len(top), q_ids[i]), ids[near[top]], scores[top]))
         cols = [np.concatenate(c) for c in zip(*out, strict=True)] if out else [np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)]
