@@ -232,3 +232,12 @@ def test_table_function_segments_texts(spark):
     assert Counter(map(tuple, got.collect())) == Counter(map(tuple, want.collect()))
     words = spark.sql("SELECT w.word, w.kept FROM pw_docs d, LATERAL phrase_words(d.text, d.lang) w WHERE d.doc_id = 9")
     assert [tuple(r) for r in words.collect()] == [("a", True), ("café", True), ("york", True)]
+
+
+def test_similar_phrases_never_broadcast_their_keys(spark, tmp_path):
+    """A phrase has some 75 keys, which the size of its table does not show."""
+    spark.createDataFrame([(2, f"word{i} other{i}", 10) for i in range(50)], "n int, phrase string, cnt long").write.parquet(f"{tmp_path}/counts")
+    found = mining.tie_similar(spark.read.parquet(f"{tmp_path}/counts"), "edit", 2)
+    assert "Broadcast" not in found._jdf.queryExecution().executedPlan().toString()
+    phrases = [f"word{i} other{i}" for i in range(50)]
+    assert {(r["a"], r["b"]) for r in found.collect()} == {(a, b) for a in phrases for b in phrases if a < b and edits(a, b) <= 2}
