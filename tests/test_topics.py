@@ -261,3 +261,13 @@ def test_variational_reads_everything(spark, monkeypatch):
     chunks = spark.createDataFrame([(i, [f"w{i}", "a"]) for i in range(20)], "doc_id long, toks array<string>")
     assert baselines.lda_variational(chunks, 2, 1).count() == 20
     assert asked["subsamplingRate"] == 1.0 and asked["vocabSize"] == 21
+
+
+def test_snapshot_sweep_moves_no_token_rows_while_tables_are_small(spark, tmp_path):
+    """Cliques meet their words' and documents' counts where they are; only those of several words are brought together."""
+    rows = [(i % 40, i // 40, [f"w{i % 17}"] if i % 9 else [f"w{i % 5}", f"w{i % 7}"], i % 3) for i in range(800)]
+    spark.createDataFrame(rows, "doc_id long, g int, words array<string>, z int").write.parquet(f"{tmp_path}/state")
+    state = spark.read.parquet(f"{tmp_path}/state")
+    swept = topics.snapshot_sweep(state, 3, 1)
+    assert swept._jdf.queryExecution().executedPlan().toString().count("Exchange hashpartitioning") <= 1
+    assert {(r["doc_id"], r["g"], tuple(r["words"])) for r in swept.collect()} == {(d, g, tuple(w)) for d, g, w, _ in rows}
