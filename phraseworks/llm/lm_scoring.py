@@ -17,6 +17,9 @@ their names; where nothing is in training all counts are 0 and the score is the
 
 from __future__ import annotations
 
+from collections import defaultdict
+from itertools import count
+
 import numpy as np
 import pyarrow as pa
 import xxhash
@@ -53,12 +56,12 @@ class Block:
     """Tokens of some documents, with the hash of the n-gram that ends at each token."""
 
     def __init__(self, texts: pa.ChunkedArray, order: int) -> None:
-        known: dict[bytes, int] = {}
+        known: dict[bytes, int] = defaultdict(count().__next__)
         ids, lengths = [], []
         for text in texts:
             words = (text.as_py() or "").encode().lower().split()
             words.append(b"")  # no word is empty, so this is the end token, and as a context the start
-            ids.append(np.array([known.setdefault(w, len(known)) for w in words], np.int32))
+            ids.append(np.fromiter(map(known.__getitem__, words), np.int32, len(words)))
             lengths.append(len(words))
         self.lengths = np.array(lengths, np.int64)
         self.starts = np.concatenate([[0], np.cumsum(self.lengths)[:-1]]).astype(np.int64)
@@ -75,7 +78,9 @@ class Block:
                 inside = at >= k
                 earlier[inside] = words[np.flatnonzero(inside) - k]
                 grams = _mixed(grams + _mixed(earlier + np.uint64(k)))
-            keys, back = np.unique(grams, return_inverse=True)
+            # the words' hashes are sorted once a distinct word
+            keys, back = np.unique(grams if k else own, return_inverse=True)
+            back = back if k else back[tokens]
             self.keys.append(keys)
             self.back.append(back.astype(np.int32))
         self.doc, self.first = doc, at == 0
@@ -183,11 +188,15 @@ def _histogram(order: int, n: int, v: int):
         block = Block(docs.column("text"), order)
         e = Estimates(block, _totals(replies, order), n, v, deleted=True)
         use = docs.column("train").to_numpy()[block.doc] == 1
-        cols = []
+        cols, low = [], []
         for r, c in zip(e.ratios, e.classes, strict=True):
+            low += [0, -99]
             cols += [c[use], np.where(r[use] > 0, np.clip(np.floor(4 * np.log2(np.maximum(r[use], 1e-12))), -60, 160), -99).astype(np.int64)]
-        grid, back = np.unique(np.stack(cols, 1), axis=0, return_inverse=True)
-        back = back.ravel()
+        # one column joins at a time: the cells so far, numbered, and the column make one number, as rows of columns are slow to sort
+        grid, back = np.zeros((1, 0), np.int64), np.zeros(int(use.sum()), np.int64)
+        for c, least in zip(cols, low, strict=True):
+            cells, back = np.unique(back * 260 + (c - least), return_inverse=True)
+            grid = np.column_stack([grid[cells // 260], cells % 260 + least])
         out = {x: pa.array(grid[:, i].astype(np.int32)) for i, x in enumerate(names)}
         out["n"] = pa.array(np.bincount(back, minlength=len(grid)).astype(np.int64))
         return pa.table(out | {x: pa.array(np.bincount(back, weights=r[use], minlength=len(grid)).astype(np.float64)) for x, r in zip(sums, e.ratios, strict=True)})
