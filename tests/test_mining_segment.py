@@ -12,6 +12,7 @@ from phraseworks.functions import text
 from phraseworks.functions.stem import stem
 from phraseworks.operators import mining, segment
 from phraseworks.plans.pipeline import Config, Stages
+from phraseworks.sources import io
 
 M1 = {"frequent pattern mine": 6, "mine frequent pattern": 4, "frequent pattern tree approach": 2, "tree search": 5, "approach search": 3, "mine": 5, "data stream": 6, "data": 4, "frequent data": 1}
 M2 = {"mine frequent pattern candidate generation": 1, "frequent pattern tree approach": 1, "frequent pattern mine": 7, "current status future direction": 1, "mine frequent pattern": 5, "frequent pattern": 8, "tree search": 4, "frequent query": 3, "mine": 3, "data stream": 40}
@@ -241,3 +242,26 @@ def test_similar_phrases_never_broadcast_their_keys(spark, tmp_path):
     assert "Broadcast" not in found._jdf.queryExecution().executedPlan().toString()
     phrases = [f"word{i} other{i}" for i in range(50)]
     assert {(r["a"], r["b"]) for r in found.collect()} == {(a, b) for a in phrases for b in phrases if a < b and edits(a, b) <= 2}
+
+
+def test_phrases_are_listed_after_the_order_of_chunks(spark):
+    """Documents are put in order by rows of chunks, not by rows of phrases, and places count through a document."""
+    chunks = spark.createDataFrame([(d, c, ["new", "york", "is", f"w{d}"][: 4 - c]) for d in range(30) for c in range(3)], "doc_id long, chunk_no int, toks array<string>")
+    parts = segment.partition(chunks, mining.frequent_phrases(chunks, 5), 3.0)
+    plan = parts._jdf.queryExecution().optimizedPlan().toString()
+    assert 0 <= plan.index("Generate posexplode") < plan.index("Window")
+    got = [tuple(r) for r in parts.where("doc_id = 4").orderBy("g").select("chunk_no", "g", "start", "len", "phrase").collect()]
+    assert got == [(0, 0, 0, 3, "new york is"), (0, 1, 3, 1, "w4"), (1, 2, 0, 3, "new york is"), (2, 3, 0, 2, "new york")]
+
+
+def test_mining_keeps_no_tables_that_nothing_reads(spark, tmp_path, monkeypatch):
+    """Candidates and one-word positions go once the next level is written; long phrases meet by a sort-merge join."""
+    monkeypatch.setattr(io, "shared_folder", lambda _: f"file://{tmp_path}")
+    plans, real = {}, io.settle
+    monkeypatch.setattr(mining, "settle", lambda df, label: (plans.setdefault(label, df._jdf.queryExecution().executedPlan().toString()), real(df, label))[1])
+    passage = [f"w{i}" for i in range(20)]
+    mined = mining.frequent_phrases(spark.createDataFrame([(d, [*passage, f"x{d}"]) for d in range(12)], "doc_id long, toks array<string>"), 10)
+    assert mined.counts.where("n > 1").count() == 20 * 19 // 2 and mined.spans.count() == 12 * 20 * 19 // 2
+    left = {p.name.rsplit("-", 1)[0] for p in tmp_path.iterdir()}
+    assert not [x for x in left if x.startswith(("candidates", "pairs"))] and "alive-1" not in left and "alive-2" in left
+    assert "level-16" in plans and "BroadcastHashJoin" not in plans["level-16"]
