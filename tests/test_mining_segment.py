@@ -265,3 +265,13 @@ def test_mining_keeps_no_tables_that_nothing_reads(spark, tmp_path, monkeypatch)
     left = {p.name.rsplit("-", 1)[0] for p in tmp_path.iterdir()}
     assert not [x for x in left if x.startswith(("candidates", "pairs"))] and "alive-1" not in left and "alive-2" in left
     assert "level-16" in plans and "BroadcastHashJoin" not in plans["level-16"]
+
+
+def test_single_words_need_no_raw_chunks(spark, monkeypatch):
+    """Surfaces of single words don't go through the join with the raw chunks; phrases keep their stop words, and stems their forms."""
+    seen, real = [], text.surface
+    monkeypatch.setattr(text, "surface", lambda raw, spans, *rest: (seen.append(spans), real(raw, spans, *rest))[1])
+    docs = spark.createDataFrame([(d, f"bank of england rates w{d}", "en") for d in range(20)], "doc_id long, text string, lang string")
+    got = {r["phrase"]: (r["surface"], r["cnt"]) for r in Stages(docs, Config(min_support=10, sig_threshold=2.0)).surfaces.collect()}
+    assert got["bank england rates"] == ("bank of england rates", 20) and got["w3"] == ("w3", 1) and len(got) == 21
+    assert seen[0].count() == 20
