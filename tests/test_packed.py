@@ -44,3 +44,13 @@ def test_pairs_of_packed_documents(spark):
     found = packed.adjacent_pairs(docs)
     assert {(r.v, r.w, r.k): r.n for r in found.collect()} == want
     assert "Window" not in found._jdf.queryExecution().toString()
+
+
+def test_runs_of_packed_documents(spark):
+    docs = spark.createDataFrame([(3, ["a", "b", "c", "d"], [0, 0, 1, 1], [0, 1, 0, 1]), (1, ["x"], [2], [0]), (2, ["p", "q", "r"], [1, 1, 0], [1, 0, 0]), (4, [], [], [])], "doc_id long, toks array<string>, z array<int>, x array<int>")
+    found = packed.glued_runs(docs)
+    assert {tuple(r) for r in found.collect()} == {(3, 1, "a b", 2, 0), (3, 2, "c d", 2, 1), (1, 1, "x", 1, 2), (2, 0, "p", 1, 1), (2, 1, "q", 1, 1), (2, 2, "r", 1, 0)}
+    assert "Window" not in found._jdf.queryExecution().toString()
+    flags = packed.same_topic(packed.snapshot(_chunks(spark), 2, 1)).join(packed.snapshot(_chunks(spark), 2, 1).select("doc_id", "pos", F.col("z").alias("z2")), "doc_id")
+    for r in flags.collect():
+        assert r.x == [int(p > 0 and r.z[i] == r.z[i - 1]) for i, p in enumerate(r.pos)] and r.z == r.z2
