@@ -90,3 +90,28 @@ def test_merging_writes_no_slot(spark, monkeypatch):
                 slots = parts.groupBy("k", "perm").agg(F.sum(F.aggregate(F.zip_with(*side, lambda a, b: a * b), F.lit(0).cast("long"), lambda a, x: a + x)).alias("n")).select("n").distinct().collect()
                 assert len(slots) == 1
             assert parts.where("part > 0").count() > 10
+
+
+class _Counted:
+    """A generator that counts its calls: one a step of draws."""
+
+    def __init__(self) -> None:
+        self.rng, self.steps = np.random.default_rng(3), 0
+
+    def random(self, n: int) -> np.ndarray:
+        self.steps += 1
+        return self.rng.random(n)
+
+
+def test_long_documents_are_drawn_in_pieces():
+    """A document of 9,000 cliques takes no 9,000 steps; the counts stay those of the topics."""
+    rng, k, v = np.random.default_rng(6), 4, 500
+    sizes = np.array([9_000, *rng.integers(1, 400, 250), 0])
+    lengths = np.where(rng.random(sizes.sum()) < 0.9, 1, rng.integers(2, 20, sizes.sum()))
+    tokens, z = rng.integers(0, v, lengths.sum()), rng.integers(0, k, len(lengths))
+    tally = lambda: np.bincount(tokens * k + np.repeat(z, lengths), minlength=v * k).reshape(v, k).astype(float)
+    words, counted = tally(), _Counted()
+    total, before = words.sum(0), z.copy()
+    topics.sweep_lanes(sizes, lengths, tokens, z, words, total, np.full(k, 0.5), 0.01, v, counted)
+    assert counted.steps < 1_500 and (words == tally()).all() and (total == words.sum(0)).all()
+    assert 0.5 < (z != before).mean() < 0.95 and z.min() == 0 and z.max() == k - 1
