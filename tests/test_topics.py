@@ -305,3 +305,79 @@ def test_snapshot_sweep_moves_no_token_rows_while_tables_are_small(spark, tmp_pa
     swept = topics.snapshot_sweep(state, 3, 1)
     assert swept._jdf.queryExecution().executedPlan().toString().count("Exchange hashpartitioning") <= 1
     assert {(r["doc_id"], r["g"], tuple(r["words"])) for r in swept.collect()} == {(d, g, tuple(w)) for d, g, w, _ in rows}
+
+
+def test_pitman_yor_blocks_seat_as_one_task_would(spark):
+    """Customers counted from the phrases, and those a block keeps while it sweeps, are those of seating word by word."""
+    rng = np.random.default_rng(5)
+    docs = [(rng.zipf(1.4, n) % 20).tolist() for n in rng.integers(2, 40, 30)] + [[1, 2] * 60]
+    rows = [(d, 0, [f"w{w}" for w in ids]) for d, ids in enumerate(docs)]
+    chunks = spark.createDataFrame(rows, "doc_id long, chunk_no int, toks array<string>")
+    out = baselines.pitman_yor_phrases(chunks, n_topics=2, sweeps=2, partitions=3, stay=0.6)
+    assert out.agg(F.sum("len")).first()[0] == sum(map(len, docs)) and out.agg(F.max("len")).first()[0] > 2
+    ints = lambda lists: pa.array(lists, pa.list_(pa.int32()))
+    start = pa.table({"block": pa.array([0] * len(docs), pa.int32()), "doc_id": range(len(docs)), "ids": ints(docs), "inner": ints([[0] + [1] * (len(d) - 1) for d in docs]), "z": ints([rng.integers(0, 2, len(d)) for d in docs]), "x": ints([[0] * len(d) for d in docs])})
+    v = len({w for d in docs for w in d})
+    seats = []
+
+    class Kept(baselines.Seats):
+        def __init__(self, *args):
+            super().__init__(*args)
+            seats.append((self, args[0]))
+
+    def seated(state):
+        count = {}
+        for r in state.to_pylist():
+            own = ()
+            for i, w in enumerate(r["ids"]):
+                context = own = (*own, r["ids"][i - 1]) if r["x"][i] else (r["z"][i],)
+                while True:
+                    here = count.setdefault(context, {})
+                    here[w] = here.get(w, 0) + 1
+                    if not context or here[w] > 1:
+                        break
+                    context = context[:-1]
+        return count
+
+    def prob(count, context, w):
+        below = prob(count, context[:-1], w) if context else 1 / v
+        here = count.get(context)
+        n = sum(here.values()) if here else 0
+        return max(here.get(w, 0) - 0.5, 0) / (1 + n) + (1 + 0.5 * len(here)) / (1 + n) * below if here else below
+
+    sampler, baselines.Seats = baselines.Seats, Kept
+    try:
+        for sweep in range(3):
+            given = baselines._pitman_yor_counts(spark.createDataFrame(start))
+            table = given.toArrow()
+            heads = [[r for r in table.to_pylist() if r["k"] == k and r["depth"] == 0] for k in range(2)]
+            assert sum(r["n"] for r in table.to_pylist()) == sum(m for c, h in seated(start).items() if c for m in h.values())
+            sums, sizes = np.array([sum(r["n"] for r in h) for h in heads]), np.array([len(h) for h in heads])
+            start = baselines._pitman_yor_sweep(sums, sizes, 0.5, 1.0, 0.5, 0.6, v, 7, sweep)((pa.scalar(0),), start, table)
+    finally:
+        baselines.Seats = sampler
+    last, words = seats[-1]
+    count, at = seated(start), {s: divmod(key, last.size) for key, s in last.edges.items()}
+
+    def path(s):
+        context, w = (at[s][0], at[s][1]) if s in at else divmod(s - last.k, last.size)
+        return (*(path(context) if context >= last.k else (context,)), int(words[w]))
+
+    kept = {path(s): int(last.n[s]) for s in range(last.k, last.used) if last.n[s]}
+    assert kept == {(*c, w): m for c, h in count.items() if c for w, m in h.items()} and max(map(len, kept)) > 4
+    every = np.arange(last.size)
+    heads = last.heads(every)
+    np.testing.assert_allclose(heads, [[prob(count, (k,), w) for k in range(2)] for w in words.tolist()])
+    for s in range(last.k, last.used, 5):
+        want = [prob(count, path(s), w) for w in words.tolist()]
+        np.testing.assert_allclose(last.behind(np.full(last.size, s), every, heads), want)
+        np.testing.assert_allclose(last.behind(np.full(1, s), every[:1], heads[:1]), want[:1])
+
+
+def test_pitman_yor_long_phrases(spark):
+    """A phrase may be longer than Python's stack is deep."""
+    rows = [(d, 0, ["run"] * n) for d, n in enumerate([3000, 5, 2500, 1])]
+    out = baselines.pitman_yor_phrases(spark.createDataFrame(rows, "doc_id long, chunk_no int, toks array<string>"), n_topics=2, sweeps=2, stay=0.9999)
+    assert {r["doc_id"]: r["n"] for r in out.groupBy("doc_id").agg(F.sum("len").alias("n")).collect()} == {0: 3000, 1: 5, 2: 2500, 3: 1}
+    assert out.agg(F.max("len")).first()[0] > 1000
+    assert out.where(F.size(F.split("phrase", " ")) != F.col("len")).count() == 0
