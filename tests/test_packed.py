@@ -115,3 +115,25 @@ def test_long_documents_are_drawn_in_pieces():
     topics.sweep_lanes(sizes, lengths, tokens, z, words, total, np.full(k, 0.5), 0.01, v, counted)
     assert counted.steps < 1_500 and (words == tally()).all() and (total == words.sum(0)).all()
     assert 0.5 < (z != before).mean() < 0.95 and z.min() == 0 and z.max() == k - 1
+
+
+def test_snapshot_of_packed_cliques_draws_what_rows_draw(spark, monkeypatch):
+    """Repeated words in a clique, long cliques and blocks of a few tokens too; and the state needs neither joins nor windows by row."""
+    rng = np.random.default_rng(8)
+    rows = []
+    for d in range(30):
+        for g in range(int(rng.integers(1, 12))):
+            words = [f"w{i}" for i in rng.integers(0, 9, 1 if rng.random() < 0.6 else rng.integers(2, 25))]
+            rows.append((d * 5 - 20, g, len(words), " ".join(words)))
+    rows += [(5_000_000_000, 0, 1, "one"), (5_000_000_000, 1, 3, "one one one")]
+    parts = spark.createDataFrame(rows, "doc_id long, g int, len int, phrase string")
+    state = topics.init(topics.make_cliques(parts), 3)
+    for s in (1, 2):
+        state = topics.snapshot_sweep(state, 3, s)
+    want = {(r.doc_id, r.g, tuple(r.words), r.z) for r in state.collect()}
+    assert len(want) == len(rows)
+    for tokens, held in ((500_000, 65_536), (40, 7)):
+        monkeypatch.setattr(packed, "BLOCK_TOKENS", tokens)
+        monkeypatch.setattr(packed, "SLICE", held)
+        found = packed.snapshot_cliques(parts, 3, 2)
+        assert {(r.doc_id, r.g, tuple(r.words), r.z) for r in found.collect()} == want
