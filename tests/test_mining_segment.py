@@ -275,3 +275,31 @@ def test_single_words_need_no_raw_chunks(spark, monkeypatch):
     got = {r["phrase"]: (r["surface"], r["cnt"]) for r in Stages(docs, Config(min_support=10, sig_threshold=2.0)).surfaces.collect()}
     assert got["bank england rates"] == ("bank of england rates", 20) and got["w3"] == ("w3", 1) and len(got) == 21
     assert seen[0].count() == 20
+
+
+@pytest.mark.parametrize("bound", [0, 1, 2, 4])
+def test_short_and_long_phrases_meet_by_edits(spark, bound):
+    """Around the length at which keys change, with the empty text, one letter, and letters of more than one byte."""
+    rng = random.Random(bound)
+    phrases = {"", "a", "é", "ab"}
+    for size in (3, 5, 6, 7, 12, 13, 14, 15, 16, 99, 100, 101):
+        for _ in range(4):
+            text = [rng.choice("abß") for _ in range(size)]
+            phrases.add("".join(text))
+            for _ in range(bound):
+                i = rng.randrange(len(text) + 1)
+                text[i : i + rng.randint(0, 1)] = rng.choice(["", "a", "ßb"])[:1]
+            phrases.add("".join(text))
+    phrases = sorted(phrases)
+    counts = spark.createDataFrame([(1, p) for p in phrases], "n int, phrase string")
+    want = {(a, b) for i, a in enumerate(phrases) for b in phrases[i + 1 :] if abs(len(a) - len(b)) <= bound and edits(a, b) <= bound}
+    assert {tuple(r) for r in mining.tie_similar(counts, "edit", bound).collect()} == want
+
+
+def test_similar_words_do_not_meet_by_a_few_letters(spark):
+    """3,000 words that begin alike: few meet as candidates, not each pair of words."""
+    rng = random.Random(9)
+    words = sorted({f"zz{''.join(rng.choice('abcdefghijklmnopqrstuvwxy') for _ in range(6))}" for _ in range(3000)})
+    short, keyed = mining.edit_keys(spark.createDataFrame([(1, w) for w in words], "n int, phrase string"), 2)
+    met = keyed.groupBy("key").agg(F.count("*").alias("m")).agg(F.sum(F.col("m") * (F.col("m") - 1) / 2)).first()[0]
+    assert short >= 8 and met < 30_000 < len(words) ** 2 / 100
